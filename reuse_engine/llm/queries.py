@@ -6,12 +6,26 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from reuse_engine.llm.chat_format import OP7_SQL, op7_chat_formatting
+from reuse_engine.llm.decontaminate import OP1_SQL, op1_benchmark_decontamination
 from reuse_engine.llm.jaccard_join import op2_ngram_jaccard_join
+from reuse_engine.llm.line_dedup import OP5_SQL, op5_line_dedup
+from reuse_engine.llm.quality_rules import op3_quality_rules
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op2_ngram_jaccard_join": op2_ngram_jaccard_join}
+    return {
+        "op1_benchmark_decontamination": op1_benchmark_decontamination,
+        "op2_ngram_jaccard_join": op2_ngram_jaccard_join,
+        "op3_quality_rules": op3_quality_rules,
+        "op5_line_dedup": op5_line_dedup,
+        "op7_chat_formatting": op7_chat_formatting,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op1_benchmark_decontamination": OP1_SQL,
+        "op5_line_dedup": OP5_SQL,
+        "op7_chat_formatting": OP7_SQL,
+    }
