@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from reuse_engine.plans import methods, workloads  # noqa: F401
+from reuse_engine.plans import methods, stream_queries, surround, workloads  # noqa: F401
 from reuse_engine.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]

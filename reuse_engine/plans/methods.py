@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reuse_engine.functions.symbols import ALPHABET, piece_hash, score_bp, symbol
+from reuse_engine.functions.symbols import piece_hash, score_bp, symbol
 from reuse_engine.operators import fingerprints, homogeneity, pairing, preprocess
 from reuse_engine.plans import sqltext as S
 from reuse_engine.plans.registry import query
@@ -276,5 +276,3 @@ def _m40(spark, d):
     ends = g.select(F.col("a").alias("vertex"), "score_bp").unionByName(g.select(F.col("b").alias("vertex"), "score_bp"))
     return ends.groupBy("vertex").agg(F.count("*").alias("degree"), F.sum("score_bp").alias("weight"))
 
-
-assert len(ALPHABET) == 64
