@@ -9,8 +9,10 @@ Jaccard similarity of at least 3/4, tested on integers (``7 * both >= 3 *
 2. The global order puts shingles that repeat inside partitions last, by their
    summed counts, and all others by hash.  A set's prefix is its first
    ``n - ceil(3n/4) + 1`` shingles: linked sets share one of them.
-3. Shingles in the prefixes of two or more sets give candidate edges; their
-   components are *families*.  No link leaves a family.
+3. Shingles in the prefixes of two or more sets give candidate edges.  Pairs
+   that met by chance go by a bitmap bound (no more shingles can be shared than
+   have their bit set on the other side), which is exact too.  The components of
+   the remaining edges are *families*; no link leaves a family.
 4. A family is one block (large ones are dealt into chunks of ``CHUNK`` sets).
    A block is stored as a path-compressed trie, and a probe descends it with
    the overlap of the shared path, cutting subtrees that cannot reach the
@@ -36,14 +38,15 @@ from pyspark.sql import functions as F
 
 from reuse_engine.graph import connected_components
 from reuse_engine.llm.shingles import Shingler, set_digest
+from reuse_engine.llm.worker_cache import only
 from reuse_engine.storage import materialize, spread
 
 #: Most shingles that the broadcast part of the global order holds: 12 bytes each.
 ORDER_LIMIT = 1_000_000
 #: Shingles found in up to so many prefixes give all their pairs, others a star.
-SMALL = 16
+SMALL = 128
 #: Sets in one block.
-CHUNK = 2048
+CHUNK = 1024
 #: Sets that every chunk of a large family is probed with first.
 HUBS = 8
 #: Vertices that may be broadcast (8 bytes each) to pick the texts of families.
@@ -53,14 +56,28 @@ _FEATURES = "id long, n long, sig binary, token long, cnt long"
 _ENTRIES = "token long, id64 long, n int, pos int"
 
 
+#: Rows of a batch that are Python objects at one time.
+SLICE_ROWS = 1_000
+
+
 def _bytes(batch: pa.RecordBatch, name: str) -> list:
     return batch.column(batch.schema.get_field_index(name)).to_pylist()
 
 
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for at in range(0, len(batch), SLICE_ROWS):
+            yield batch.slice(at, SLICE_ROWS)
+
+
+def _shingler() -> Shingler:
+    return only("shingler", Shingler)
+
+
 def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """A row per text, then a row per shingle that two sets of the partition have."""
-    shingler, seen, tokens = Shingler(), set(), []
-    for batch in batches:
+    shingler, seen, tokens = _shingler(), set(), []
+    for batch in _slices(batches):
         ids, ns, sigs = _bytes(batch, "id"), [], []
         for text in _bytes(batch, "body"):
             s = shingler.distinct(text)
@@ -104,8 +121,8 @@ def prefix_length(n: int) -> int:
 def _prefixes(order):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         late, weight = order.value
-        shingler, seen = Shingler(), set()
-        for batch in batches:
+        shingler, seen = _shingler(), set()
+        for batch in _slices(batches):
             parts, ids, ns, pos = [], [], [], []
             for text in _bytes(batch, "body"):
                 s = shingler.distinct(text)
@@ -126,66 +143,117 @@ def _prefixes(order):
     return run
 
 
-def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    shingler = Shingler()
+def bitmap(s: np.ndarray) -> bytes:
+    """A power of two of bits, at least two for each shingle; shingle h sets bit h mod size."""
+    bits = 1 << max(6, min(17, int(2 * len(s) - 1).bit_length()))
+    flags = np.zeros(bits, np.uint8)
+    flags[(s & np.uint64(bits - 1)).astype(np.int64)] = 1
+    return np.packbits(flags, bitorder="little").tobytes()
+
+
+def _folded(bits: int, size: int, to: int) -> int:
+    while size > to:
+        size //= 2
+        bits = (bits >> size) | (bits & ((1 << size) - 1))
+    return bits
+
+
+def may_link(a: bytes, na: int, b: bytes, nb: int) -> bool:
+    """False only for sets that cannot be linked."""
+    size = 8 * min(len(a), len(b))
+    x = _folded(int.from_bytes(a, "little"), 8 * len(a), size)
+    y = _folded(int.from_bytes(b, "little"), 8 * len(b), size)
+    return 7 * min(na - (x & ~y).bit_count(), nb - (y & ~x).bit_count()) >= 3 * (na + nb)
+
+
+def _made(column: str, make):
+    """(id, column): ``make`` of the shingles of each text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingler = _shingler()
+        for batch in _slices(batches):
+            made = pa.array([make(shingler.distinct(t)) for t in _bytes(batch, "body")], pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("id")), made], names=["id", column])
+
+    return run
+
+
+def _plausible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        sets = [shingler.distinct(t).tobytes() for t in _bytes(batch, "body")]
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(batch.schema.get_field_index("id")), pa.array(sets, pa.binary())], names=["id", "shingles"]
-        )
+        rows = zip(*[_bytes(batch, c) for c in ("bits_a", "na", "bits_b", "nb")], strict=True)
+        keep = pa.array([may_link(*r) for r in rows], pa.bool_())
+        yield batch.select(["a", "b"]).filter(keep)
 
 
 class Trie:
     """Path-compressed trie over sets, most frequent shingle first.
 
-    ``edges`` holds (tokens, last rank, depth at its end, child edges, least and
-    largest set size below, sets that end here).
+    An edge is (tokens, depth at its end, child edges, least and largest set size
+    below, first and last place of the sets below, sets that end here).
     """
 
     def __init__(self, sets: list[np.ndarray]) -> None:
-        self.sets = sets
-        u, first, inverse, counts = np.unique(np.concatenate(sets), return_index=True, return_inverse=True, return_counts=True)
+        u, inverse, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
         rank = np.empty(len(u), np.int64)
         rank[np.lexsort((u, -counts))] = np.arange(len(u))
         self.vocabulary, self.rank = u, rank
         ends = np.cumsum([len(s) for s in sets])
         self.ranked = [np.sort(rank[inverse[e - len(s) : e]]) for s, e in zip(sets, ends, strict=True)]
         self.n = np.array([len(s) for s in sets])
-        order = sorted(range(len(sets)), key=lambda i: self.ranked[i].astype(">i8").tobytes())
-        self.root = self._build(order, 0)
+        self.order = np.array(sorted(range(len(sets)), key=lambda i: self.ranked[i].astype(">i8").tobytes()))
+        self.root = self._build()
+        self.bits = 1 << max(6, min(16, int(2 * np.median(self.n) - 1).bit_length()))
+        self.maps = np.stack([self._map(s) for s in sets])
 
-    def _build(self, order: list[int], depth: int) -> list:
-        """Children of a node at ``depth`` that ``order`` (sorted sets) passes."""
+    def _map(self, s: np.ndarray) -> np.ndarray:
+        flags = np.zeros(self.bits, np.uint8)
+        flags[(s & np.uint64(self.bits - 1)).astype(np.int64)] = 1
+        return np.packbits(flags).view(np.uint64)
+
+    def _build(self) -> list:
         top: list = []
-        work = [(order, depth, top)]
+        work = [(0, len(self.order), 0, top)]  # places of sets that share their first ``depth`` shingles
         while work:
-            group, depth, out = work.pop()
-            i = 0
-            while i < len(group):
-                head = self.ranked[group[i]]
-                lo, hi = i + 1, len(group)  # the run of sets that share head[depth]
+            i, stop, depth, out = work.pop()
+            while i < stop:
+                head = self.ranked[self.order[i]]
+                lo, hi = i + 1, stop  # the run of sets that share head[depth]
                 while lo < hi:
                     mid = (lo + hi) // 2
-                    if self.ranked[group[mid]][depth] == head[depth]:
+                    if self.ranked[self.order[mid]][depth] == head[depth]:
                         lo = mid + 1
                     else:
                         hi = mid
-                run, last = group[i:lo], self.ranked[group[lo - 1]]
+                last = self.ranked[self.order[lo - 1]]
                 k = min(len(head), len(last))
-                differ = np.nonzero(head[depth:k] != last[depth:k])[0]  # first and last of a sorted run differ first
+                differ = np.nonzero(head[depth:k] != last[depth:k])[0]  # of a sorted run, first and last differ first
                 end = depth + int(differ[0]) if len(differ) else k
-                here = [j for j in run if len(self.ranked[j]) == end]
-                below = run[len(here) :]
+                here = i
+                while here < lo and len(self.ranked[self.order[here]]) == end:
+                    here += 1
+                below = self.n[self.order[i:lo]]
                 kids: list = []
-                out.append((head[depth:end], end, kids, int(self.n[run].min()), int(self.n[run].max()), here))
-                if below:
-                    work.append((below, end, kids))
+                out.append((head[depth:end], end, kids, int(below.min()), int(below.max()), i, lo, here))
+                if here < lo:
+                    work.append((here, lo, end, kids))
                 i = lo
         return top
 
-    def probe(self, s: np.ndarray) -> list[int]:
-        """Indexes of the sets linked with ``s`` (itself too, if it is one of them)."""
-        nx = len(s)
+    def probe(self, s: np.ndarray, wanted: np.ndarray | None = None) -> list[int]:
+        """Indexes of the (wanted) sets linked with ``s``.
+
+        Sets that the bitmap bound excludes are not wanted, and a subtree without
+        a wanted set is not entered.
+        """
+        nx, x = len(s), self._map(s)
+        mine_only = np.bitwise_count(x & ~self.maps).sum(axis=1, dtype=np.int64)
+        theirs_only = np.bitwise_count(self.maps & ~x).sum(axis=1, dtype=np.int64)
+        may = 7 * np.minimum(nx - mine_only, self.n - theirs_only) >= 3 * (nx + self.n)
+        if wanted is not None:
+            may &= wanted
+        if not may.any():
+            return []
+        upto = np.concatenate([[0], np.cumsum(may[self.order])]).tolist()
         at = np.minimum(np.searchsorted(self.vocabulary, s), len(self.vocabulary) - 1)
         mine = self.rank[at[self.vocabulary[at] == s]]
         has = np.zeros(len(self.vocabulary) + 1, np.int32)
@@ -195,57 +263,60 @@ class Trie:
         found, stack = [], [(self.root, 0)]
         while stack:
             edges, overlap = stack.pop()
-            for tokens, depth, kids, least, largest, here in edges:
+            for tokens, depth, kids, least, largest, first, stop, here in edges:
+                if upto[first] == upto[stop]:
+                    continue
                 both = overlap + int(has[tokens].sum())
                 left = total - int(until[int(tokens[-1]) + 1])
                 if 7 * (both + min(largest - depth, left)) < 3 * (nx + least):
                     continue
-                if here and 7 * both >= 3 * (nx + depth):
-                    found += here
+                if here > first and 7 * both >= 3 * (nx + depth):
+                    found += [j for j in self.order[first:here].tolist() if may[j]]
                 if kids:
                     stack.append((kids, both))
         return found
 
 
 class Forest:
-    """Union-find over 0..n-1; the least index is the root."""
+    """Components of 0..n-1 as labels; the least index names each."""
 
     def __init__(self, n: int) -> None:
-        self.up = list(range(n))
+        self.label = np.arange(n)
 
     def find(self, i: int) -> int:
-        while self.up[i] != i:
-            self.up[i] = self.up[self.up[i]]
-            i = self.up[i]
-        return i
+        return int(self.label[i])
 
     def join(self, i: int, j: int) -> None:
-        i, j = self.find(i), self.find(j)
+        i, j = sorted((self.find(i), self.find(j)))
         if i != j:
-            self.up[max(i, j)] = min(i, j)
+            self.label[self.label == j] = i
 
     def rest(self) -> list[int]:
         """All that are not in the largest component."""
-        roots = [self.find(i) for i in range(len(self.up))]
-        if not roots:
+        if not len(self.label):
             return []
-        names, counts = np.unique(roots, return_counts=True)
-        main = names[counts.argmax()]
-        return [i for i, r in enumerate(roots) if r != main]
+        names, counts = np.unique(self.label, return_counts=True)
+        return np.nonzero(self.label != names[counts.argmax()])[0].tolist()
 
 
 def block_links(sets: list[np.ndarray], probes: list[int] | None = None) -> Forest:
-    """Components of a block; ``probes`` limits who is probed (all are stored)."""
+    """Components of a block; ``probes`` limits who is probed (all are stored).
+
+    A probe asks only for sets of other components than its own.
+    """
     trie, forest = Trie(sets), Forest(len(sets))
+
+    def ask(i: int) -> None:
+        for j in trie.probe(sets[i], forest.label != forest.label[i]):
+            forest.join(i, j)
+
     if probes is None:
-        first = list(range(min(HUBS, len(sets))))
-        for i in first:
-            for j in trie.probe(sets[i]):
-                forest.join(i, j)
-        probes = [i for i in forest.rest() if i >= len(first)]
+        first = min(HUBS, len(sets))
+        for i in range(first):
+            ask(i)
+        probes = [i for i in forest.rest() if i >= first]
     for i in probes:
-        for j in trie.probe(sets[i]):
-            forest.join(i, j)
+        ask(i)
     return forest
 
 
@@ -269,8 +340,8 @@ def _small_enough(ids: DataFrame) -> DataFrame:
     return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
 
-def _candidate_edges(entries: DataFrame) -> DataFrame:
-    """Edges between sets that share a prefix shingle.
+def _candidate_edges(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(star edges, pairs) between sets that share a prefix shingle.
 
     ``entries``: (token, id, n, pos), distinct.  A frequent shingle gives a star
     around its least set; a rare one its pairs that pass the size and position
@@ -279,14 +350,14 @@ def _candidate_edges(entries: DataFrame) -> DataFrame:
     sized = entries.withColumn("m", F.count("*").over(Window.partitionBy("token")))
     many = sized.where(F.col("m") > SMALL)
     hubs = many.groupBy("token").agg(F.min("id").alias("a"))
-    star = many.join(hubs, "token").where("a <> id").select("a", F.col("id").alias("b"))
+    star = many.join(hubs, "token").where("a <> id").select("a", F.col("id").alias("b")).distinct()
     few = sized.where(F.col("m") <= SMALL)
     x = few.select("token", F.col("id").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
     y = few.select("token", F.col("id").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
     pairs = x.join(y, "token").where(
         "a < b and 4 * least(na, nb) >= 3 * greatest(na, nb) and 7 * least(na - pa, nb - pb) >= 3 * (na + nb)"
     )
-    return star.unionByName(pairs.select("a", "b")).distinct()
+    return star, pairs.select("a", "na", "b", "nb").distinct()
 
 
 def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -316,11 +387,16 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     reps = texts.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.first("n").alias("n"))
     named = reps.withColumn("id64", _low_long("sig")).select("id64", "rep", F.col("n").cast("int").alias("n"))
     on = shared.join(named, ["id64", "n"]).select("token", F.col("rep").alias("id"), "n", "pos")
-    families = connected_components(_candidate_edges(on), label="jaccard-family")
+    star, pairs = _candidate_edges(materialize(on, "jaccard-entries"))
+    star, pairs = materialize(star, "jaccard-star"), materialize(pairs, "jaccard-pairs")
+    ends = [star.select("a"), star.select("b"), pairs.select("a"), pairs.select("b")]
+    ids = ends[0].toDF("id").union(ends[1]).union(ends[2]).union(ends[3]).distinct()
+    bits = _of_texts(body, ids, "bits", bitmap)
+    weighed = pairs.join(bits.toDF("a", "bits_a"), "a").join(bits.toDF("b", "bits_b"), "b")
+    plausible = weighed.mapInArrow(_plausible, "a long, b long")
+    families = connected_components(star.unionByName(plausible), label="jaccard-family")
     families = materialize(families.select(F.col("vertex").alias("id"), F.col("component").alias("family")), "jaccard-families")
-
-    wanted = body.join(_small_enough(families.select("id")), "id", "left_semi")
-    sets = materialize(wanted.mapInArrow(_sets, "id long, shingles binary").dropDuplicates(["id"]), "jaccard-sets")
+    sets = _of_texts(body, families.select("id"), "shingles", np.ndarray.tobytes)
     links = _links(families, sets)
     roots = connected_components(links, label="jaccard-links")
 
@@ -331,6 +407,13 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     )
 
 
+def _of_texts(body: DataFrame, ids: DataFrame, column: str, make) -> DataFrame:
+    """(id, column) for the texts of some ids: only these are shingled again, and no text is shuffled if the ids can be broadcast."""
+    wanted = body.join(_small_enough(materialize(ids, f"jaccard-{column}-ids")), "id", "left_semi")
+    made = wanted.mapInArrow(_made(column, make), f"id long, {column} binary")
+    return materialize(made, f"jaccard-{column}").dropDuplicates(["id"])
+
+
 def _low_long(sig: str):
     """First eight bytes of a digest as a little-endian signed long."""
     digits = F.hex(F.substring(F.col(sig), 1, 8))
@@ -390,8 +473,8 @@ def _run_blocks(rows: DataFrame) -> DataFrame:
 def keep_one_per_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows of ``docs`` whose id is the least of its component; texts without words stay."""
     groups = jaccard_components(docs, id_col, text_col)
-    drop = groups.where(F.col(id_col) != F.col("component_id")).select(id_col).distinct()
-    return docs.join(drop, id_col, "left_anti")
+    drop = materialize(groups.where(F.col(id_col) != F.col("component_id")).select(id_col).distinct(), "jaccard-drop")
+    return docs.join(_small_enough(drop), id_col, "left_anti")
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

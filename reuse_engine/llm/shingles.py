@@ -13,7 +13,7 @@ import xxhash
 
 WIDTH = 5
 #: Words whose hashes a task remembers before it starts anew.
-REMEMBERED_WORDS = 400_000
+REMEMBERED_WORDS = 150_000
 
 _MIX = [np.uint64(k) for k in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63)]
 _SHIFT = np.uint64(29)
