@@ -14,7 +14,8 @@ a shuffle; the only exchange is the count of vote patterns.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+import math
+from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,7 +27,7 @@ from reuse_engine.storage import materialize, spread
 MIN_WORDS, MAX_REPEAT_SHARE = 10, 20
 #: Smallest posterior that is kept.
 KEEP_FROM = 0.5
-ROUNDS, SETTLED = 40, 1e-7
+ROUNDS, SETTLED = 40, 1e-5
 #: Start of the estimation: share of good documents, and how often a vote is right on good and on bad ones.
 START_GOOD, START_RIGHT_GOOD, START_RIGHT_BAD = 0.9, 0.98, 0.5
 #: Pseudo-votes that hold an accuracy near its start when few documents vote.
@@ -108,17 +109,21 @@ def rule_votes() -> dict[str, Column]:
 class RuleModel:
     """Share of good documents; per rule, how often its vote is right on good and on bad ones."""
 
-    good: float = START_GOOD
-    right_good: dict[str, float] = field(default_factory=dict)
-    right_bad: dict[str, float] = field(default_factory=dict)
-
-    def posterior(self) -> Column:
-        """Probability of being good, from vote columns ``v_<rule>``; abstentions say nothing."""
-        odds = F.log(F.lit(self.good / (1 - self.good)))
-        for r, p in self.right_good.items():
-            q = self.right_bad[r]
-            v = F.col(f"v_{r}")
-            odds = odds + F.when(v == 1, F.log(F.lit(p / (1 - q)))).when(v == 0, F.log(F.lit((1 - p) / q))).otherwise(F.lit(0.0))
+    good: float
+    right_good: list[float]
+    right_bad: list[float]
+
+    def posterior(self, votes: str) -> Column:
+        """Probability of being good, from an array of votes; abstentions say nothing.
+
+        The weights are one array constant, so that every round of the estimation
+        runs the same generated code.
+        """
+        prior = math.log(self.good / (1 - self.good))
+        weights = [(math.log(p / (1 - q)), math.log((1 - p) / q)) for p, q in zip(self.right_good, self.right_bad, strict=True)]
+        table = F.array(*[F.array(F.lit(a), F.lit(b)) for a, b in weights])
+        said = F.zip_with(F.col(votes), table, lambda v, w: F.when(v == 1, w[0]).when(v == 0, w[1]).otherwise(F.lit(0.0)))
+        odds = F.aggregate(said, F.get(F.array(F.lit(prior)), F.lit(0)), lambda a, x: a + x)
         return F.lit(1.0) / (F.lit(1.0) + F.exp(-odds))
 
 
@@ -132,32 +137,29 @@ def _bounded(x: float, bounds: tuple[float, float]) -> float:
     return min(bounds[1], max(bounds[0], x))
 
 
-def estimate(patterns: DataFrame, rules: list[str]) -> RuleModel:
-    """Expectation-maximisation on (v_<rule> ..., n).  No row gives the start values."""
-    model = RuleModel(START_GOOD, dict.fromkeys(rules, START_RIGHT_GOOD), dict.fromkeys(rules, START_RIGHT_BAD))
+def estimate(patterns: DataFrame, n_rules: int) -> RuleModel:
+    """Expectation-maximisation on (votes, n).  No row gives the start values.
+
+    A round is one aggregate whose result has a row per rule and vote.
+    """
+    model = RuleModel(START_GOOD, [START_RIGHT_GOOD] * n_rules, [START_RIGHT_BAD] * n_rules)
     for _ in range(ROUNDS):
-        p, n = model.posterior(), F.col("n")
-        sums = [F.sum(n).alias("all"), F.sum(n * p).alias("good")]
-        for r in rules:
-            v = F.col(f"v_{r}")
-            sums += [
-                F.sum(F.when(v.isNotNull(), n * p).otherwise(0.0)).alias(f"{r}__voted_good"),
-                F.sum(F.when(v == 1, n * p).otherwise(0.0)).alias(f"{r}__right_good"),
-                F.sum(F.when(v.isNotNull(), n * (1 - p)).otherwise(0.0)).alias(f"{r}__voted_bad"),
-                F.sum(F.when(v == 0, n * (1 - p)).otherwise(0.0)).alias(f"{r}__right_bad"),
-            ]
-        got = patterns.agg(*sums).first()
-        if not got["all"]:
+        weighed = patterns.select("votes", "n", model.posterior("votes").alias("p"))
+        cast = weighed.select("n", "p", F.posexplode(F.concat("votes", F.array(F.lit(1).cast("tinyint")))).alias("rule", "vote"))
+        sums = cast.where("vote is not null").groupBy("rule", "vote").agg(F.sum(F.col("n") * F.col("p")).alias("good"), F.sum("n").alias("n"))
+        got = {(r["rule"], r["vote"]): (r["good"], r["n"] - r["good"]) for r in sums.collect()}
+        if not got:
             return model
+        good, bad = got[n_rules, 1]  # the appended vote counts every document
         share = lambda right, voted, start, bounds: _bounded((right + PRIOR_VOTES * start) / (voted + PRIOR_VOTES), bounds)
-        new = RuleModel(
-            min(0.999, max(0.001, (got["good"] + PRIOR_VOTES * START_GOOD) / (got["all"] + PRIOR_VOTES))),
-            {r: share(got[f"{r}__right_good"], got[f"{r}__voted_good"], START_RIGHT_GOOD, GOOD_BOUNDS) for r in rules},
-            {r: share(got[f"{r}__right_bad"], got[f"{r}__voted_bad"], START_RIGHT_BAD, BAD_BOUNDS) for r in rules},
-        )
-        moved = max([abs(new.good - model.good)] + [abs(new.right_good[r] - model.right_good[r]) + abs(new.right_bad[r] - model.right_bad[r]) for r in rules])
+        new = RuleModel(min(0.999, max(0.001, (good + PRIOR_VOTES * START_GOOD) / (good + bad + PRIOR_VOTES))), [], [])
+        for r in range(n_rules):
+            (yes_good, yes_bad), (no_good, no_bad) = got.get((r, 1), (0.0, 0.0)), got.get((r, 0), (0.0, 0.0))
+            new.right_good.append(share(yes_good, yes_good + no_good, START_RIGHT_GOOD, GOOD_BOUNDS))
+            new.right_bad.append(share(no_bad, yes_bad + no_bad, START_RIGHT_BAD, BAD_BOUNDS))
+        was, now = [[m.good, *m.right_good, *m.right_bad] for m in (model, new)]
         model = new
-        if moved < SETTLED:
+        if max(abs(x - y) for x, y in zip(was, now, strict=True)) < SETTLED:
             break
     return model
 
@@ -169,14 +171,13 @@ def judged(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     each.  Other columns are ignored.  An empty table gives an empty result.
     """
     base = measured(docs, id_col, text_col)
-    votes = rule_votes()
-    voted = materialize(base.select("*", *[v.cast("tinyint").alias(f"v_{r}") for r, v in votes.items()]), "rules-votes")
-    names = [f"v_{r}" for r in votes]
+    votes = F.array(*[v.cast("tinyint") for v in rule_votes().values()])
+    voted = materialize(base.withColumn("votes", votes), "rules-votes")
     n = F.col("n_words")
     failed = (n < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_SHARE * n)
-    patterns = materialize(voted.where(~failed).groupBy(*names).agg(F.count("*").alias("n")).coalesce(1), "rules-patterns")
-    model = estimate(patterns, list(votes))
-    out = voted.withColumn("base_failed", failed).withColumn("quality_prob", model.posterior())
+    patterns = materialize(voted.where(~failed).groupBy("votes").agg(F.count("*").alias("n")).coalesce(1), "rules-patterns")
+    model = estimate(patterns, len(rule_votes()))
+    out = voted.withColumn("base_failed", failed).withColumn("quality_prob", model.posterior("votes"))
     return out.withColumn("kept", ~F.col("base_failed") & (F.col("quality_prob") >= KEEP_FROM)).withColumnRenamed("id", id_col)
 
 
