@@ -19,8 +19,9 @@ from pyspark.sql import functions as F
 from reuse_engine.functions.symbols import bound, reaches, score_bp
 
 THRESHOLD = 70
-#: Lengths in one bucket differ by less than 30 %; the base leaves room for rounding.
-BAND_BASE = 0.69
+#: Lengths that may pair lie in one bucket or in neighbours: a bucket spans the least
+#: ratio that the rule allows, less one hundredth for rounding.
+LENGTH_RATIO = 70
 SIDE = ["unit_id", "fp", "fp_len", "n_ops", "n_pieces", "n_distinct_ops", "n_terminators", "n_operand_bytes", "n_bytes"]
 ATTRIBUTES = ["n_ops", "n_pieces", "n_distinct_ops", "n_terminators", "n_operand_bytes", "n_bytes"]
 
@@ -63,9 +64,9 @@ def theta_candidates(fps: DataFrame, condition: str) -> DataFrame:
     return a.join(b, ["corpus", "origin"]).where(f"unit_id_a < unit_id_b and {condition}")
 
 
-def band_candidates(fps: DataFrame, condition: str, by: str = "n_ops") -> DataFrame:
+def band_candidates(fps: DataFrame, condition: str, by: str = "n_ops", ratio: int = LENGTH_RATIO) -> DataFrame:
     """Each pair meets once: the left side visits its bucket and both neighbours."""
-    bucket = F.floor(F.log(F.greatest(F.col(by), F.lit(1)).cast("double")) / F.log(F.lit(1 / BAND_BASE))).cast("int")
+    bucket = F.floor(F.log(F.greatest(F.col(by), F.lit(1)).cast("double")) / F.log(F.lit(100 / (ratio - 1)))).cast("int")
     banded = fps.withColumn("bucket", bucket)
     a = _side(banded, "a", ["bucket"]).withColumn("bucket", F.explode(F.array(*[F.col("bucket") + k for k in (-1, 0, 1)])))
     b = _side(banded, "b", ["bucket"])
@@ -105,7 +106,7 @@ def qgram_candidates(fps: DataFrame, condition: str, threshold: int = THRESHOLD)
     by_gram = x.join(y, ["corpus", "origin", "gram"]).where(near).select("corpus", "origin", "a", "b")
     short = sized.where("least <= 0 and edits = 0").select("corpus", "origin", "unit_id", "fp")
     equal = short.withColumnRenamed("unit_id", "a").join(short.withColumnRenamed("unit_id", "b"), ["corpus", "origin", "fp"]).where("a < b")
-    loose = band_candidates(sized.where("least <= 0 and edits > 0"), prune_condition("fp_len", threshold), "fp_len")
+    loose = band_candidates(sized.where("least <= 0 and edits > 0"), prune_condition("fp_len", threshold), "fp_len", threshold)
     loose = loose.select("corpus", "origin", F.col("unit_id_a").alias("a"), F.col("unit_id_b").alias("b"))
     return _complete(fps, by_gram.unionByName(equal.select("corpus", "origin", "a", "b")).unionByName(loose).distinct(), condition)
 
@@ -129,11 +130,11 @@ def minhash_candidates(fps: DataFrame, condition: str, bands: int = 20, rows: in
 
 def candidate_pairs(fps: DataFrame, how: str = "band", prune: str | None = "length", threshold: int = THRESHOLD) -> DataFrame:
     condition = prune_condition(prune, threshold)
-    if how == "band" and prune == "attrs":
-        how = "theta"  # a pair may differ in length alone, so no bucket holds both
+    if how == "band" and prune not in ("length", "fp_len", "bag"):
+        how = "theta"  # the rule does not bound lengths, so no bucket holds both
     made = {
         "theta": lambda: theta_candidates(fps, condition),
-        "band": lambda: band_candidates(fps, condition, "n_ops" if prune == "length" else "fp_len"),
+        "band": lambda: band_candidates(fps, condition) if prune == "length" else band_candidates(fps, condition, "fp_len", threshold),
         "qgram": lambda: qgram_candidates(fps, condition, threshold),
         "minhash": lambda: minhash_candidates(fps, condition),
     }[how]()

@@ -458,7 +458,6 @@ def _(spark, d):
 FNV_START, FNV_PRIME = 2166136261, 16777619
 
 
-@pandas_udf("long")
 def fnv1a32(texts: pd.Series) -> pd.Series:
     """32-bit FNV-1a of UTF-8 bytes; there is no built-in for it."""
 
@@ -475,10 +474,9 @@ def fnv1a32(texts: pd.Series) -> pd.Series:
 
 @query("q_udf_scalar")
 def _(spark, d):
-    return units_of(spark, d, ["scripts"]).select("unit_id", "origin", fnv1a32("tok").alias("fnv"))
+    return units_of(spark, d, ["scripts"]).select("unit_id", "origin", pandas_udf(fnv1a32, "long")("tok").alias("fnv"))
 
 
-@pandas_udf("double")
 def gini(sizes: pd.Series) -> float:
     s = sizes.sort_values().reset_index(drop=True)
     n = len(s)
@@ -488,10 +486,9 @@ def gini(sizes: pd.Series) -> float:
 @query("q_udf_agg")
 def _(spark, d):
     """Gini coefficient of group sizes, on the histogram's few rows per origin."""
-    return units_of(spark, d, ["scripts"]).groupBy("origin").agg(gini("n_dup").alias("gini"))
+    return units_of(spark, d, ["scripts"]).groupBy("origin").agg(pandas_udf(gini, "double")("n_dup").alias("gini"))
 
 
-@udtf(returnType="pos int, piece string")
 class CutPieces:
     """Text to (position, piece); pieces end with p or e."""
 
@@ -509,7 +506,7 @@ class CutPieces:
 @query("q_udtf_pieces")
 def _(spark, d):
     units_of(spark, d, ["scripts"]).select("unit_id", "tok").createOrReplaceTempView("reuse_units")
-    spark.udtf.register("cut_pieces", CutPieces)
+    spark.udtf.register("cut_pieces", udtf(CutPieces, returnType="pos int, piece string"))
     return spark.sql("select unit_id, pos, piece from reuse_units, lateral cut_pieces(tok)")
 
 
