@@ -12,6 +12,7 @@ distinct segment (or text), and every text is decoded and compared.
 
 from __future__ import annotations
 
+import hashlib
 import os
 import re
 import struct
@@ -23,6 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from reuse_engine.llm.worker_cache import only
 from reuse_engine.storage import spread
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
@@ -181,7 +183,7 @@ class PieceCodec:
         others = self.other.encode([s.replace(MARK, " ") for s in new], num_threads=self.threads)
         for s, mine, other in zip(new, found, others, strict=True):
             self.known[s] = np.array(mine.ids, np.int32).tobytes()
-            if mine.ids != other:
+            if mine.ids != (other if s else [self.other.piece_to_id(MARK)]):  # the library gives an empty text no marker
                 self.bad.add(s)
 
     def encode(self, texts: list[str]) -> list[tuple[np.ndarray, bool]]:
@@ -222,9 +224,6 @@ def _parts(texts: list[str]) -> Iterator[list[str]]:
         yield part
 
 
-_codecs: dict = {}
-
-
 def encode_documents(docs: DataFrame, model_file: str = MODEL_FILE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(``id_col``, n_tokens, tokens, round_trip, parity) for each row.
 
@@ -238,9 +237,7 @@ def encode_documents(docs: DataFrame, model_file: str = MODEL_FILE, id_col: str
         held = docs.sparkSession.sparkContext.broadcast(f.read())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if "codec" not in _codecs or _codecs["of"] != held.value:
-            _codecs.update({"of": held.value, "codec": PieceCodec(held.value)})
-        codec = _codecs["codec"]
+        codec = only(("pieces", hashlib.sha1(held.value).digest()), lambda: PieceCodec(held.value))
         for batch in batches:
             for at in range(0, len(batch), 500):
                 part = batch.slice(at, 500)

@@ -193,7 +193,7 @@ def export_archives(archives: DataFrame, uri: str) -> DataFrame:
         for batch in batches:
             names, datas = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for name, data in zip(names, datas, strict=True):
-                with store.open_output_stream(f"{base}/{name}") as out:
+                with store.open_output_stream(f"{base}/{name}", compression=None) as out:
                     out.write(data)
             yield pa.RecordBatch.from_arrays([pa.array(names), pa.array([len(d) for d in datas], pa.int64())], names=["name", "bytes"])
 
