@@ -57,12 +57,14 @@ def connected_components(edges: DataFrame, u: str = "a", v: str = "b", label: st
     """
     current = materialize(_ordered(edges.where(F.col(u).isNotNull() & F.col(v).isNotNull()), u, v), f"{label}-0")
     mark = _mark(current)
-    for i in range(1, MAX_ROUNDS):
+    for i in range(1, MAX_ROUNDS if mark[0] else 1):
         current, before = materialize(_small_star(_large_star(current)), f"{label}-{i}"), mark
         mark = _mark(current)
         if mark == before:
             break
     else:
+        if not mark[0]:
+            return current.select(F.col("hi").alias("vertex"), F.col("lo").alias("component"))
         raise RuntimeError(f"components did not converge in {MAX_ROUNDS} rounds")
     members = current.select(F.col("hi").alias("vertex"), F.col("lo").alias("component"))
     return members.unionByName(current.select(F.col("lo").alias("vertex"), F.col("lo").alias("component")).distinct())
