@@ -94,8 +94,8 @@ def contained_items(
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows of ``docs`` that hold no benchmark item."""
-    held = contained_items(docs, benchmark, id_col, text_col).select(id_col).distinct()
-    return docs.join(held, id_col, "left_anti")
+    held = materialize(contained_items(docs, benchmark, id_col, text_col).select(id_col).distinct(), "decontaminate-held")
+    return docs.join(_bounded(held), id_col, "left_anti")
 
 
 def op1_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from reuse_engine.graph import connected_components
 from reuse_engine.llm.shingles import Shingler, set_digest
-from reuse_engine.llm.worker_cache import only
+from reuse_engine.llm.worker_cache import only, small_batches
 from reuse_engine.storage import materialize, spread
 
 #: Most shingles that the broadcast part of the global order holds: 12 bytes each.
@@ -93,8 +93,11 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             names=["id", "n", "sig", "token", "cnt"],
         )
     if tokens:
-        u, c = np.unique(np.concatenate(tokens), return_counts=True)
-        u, c = u[c > 1].view(np.int64), c[c > 1]
+        every = np.concatenate(tokens)
+        tokens.clear()
+        every.sort()
+        u, c = np.unique(every[1:][every[1:] == every[:-1]], return_counts=True)  # all but the first of each
+        u, c = u.view(np.int64), c + 1
         for i in range(0, len(u), 50_000):
             k = len(u[i : i + 50_000])
             nothing = pa.nulls(k, pa.int64())
@@ -367,6 +370,11 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     words: one shingle.  Rows that repeat an id give a row each; null ids keep a
     null component.  Other columns are ignored, whatever their names.
     """
+    with small_batches(docs.sparkSession):
+        return _components(docs, id_col, text_col)
+
+
+def _components(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     spark = docs.sparkSession
     body = spread(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("body")))
     features = materialize(body.mapInArrow(_features, _FEATURES), "jaccard-features")
@@ -451,6 +459,8 @@ def _links(families: DataFrame, sets: DataFrame) -> DataFrame:
     everywhere = F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1))
     first = stored.unionByName(hubs.withColumn("chunk", everywhere))
     near = materialize(_run_blocks(first), "jaccard-near")
+    if not large.limit(1).count():
+        return near
 
     # Large families: who is outside the largest component is probed everywhere.
     roots = connected_components(near.join(placed.where("chunks > 1").select(F.col("id").alias("b")), "b", "left_semi"), label="jaccard-chunks")

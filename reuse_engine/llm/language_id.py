@@ -25,14 +25,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from reuse_engine.llm.worker_cache import only
 from reuse_engine.storage import spread
 
-SYMBOLS = 64
-BITS = 6
+SYMBOLS = 48
 LEARN_DOCS = 1_000
 #: Code lengths are kept in 1/2048 bit: 16 bits hold up to 32 bits.
 SCALE = 2048
-#: Order 3 takes 32 MB a language; more languages than this use order 2.
+#: Order 3 takes 11 MB a language; more languages than this use order 2.
 ORDER3_LANGUAGES = 6
 #: Bytes over which a lead in code length counts in full towards the score.
 EVIDENCE_BYTES = 64
@@ -126,15 +126,10 @@ class FrozenModel:
         return self.langs[best], float(1.0 / np.exp2(-np.minimum(lead, 500)).sum())
 
 
-_loaded: dict = {}
-
-
 def _model(held) -> FrozenModel:
     """The table is laid out once for each Python worker."""
-    if held.value["key"] not in _loaded:
-        _loaded.clear()
-        _loaded[held.value["key"]] = FrozenModel(held.value["langs"], held.value["grams"], held.value["counts"])
-    return _loaded[held.value["key"]]
+    m = held.value
+    return only(("language", m["key"]), lambda: FrozenModel(m["langs"], m["grams"], m["counts"]))
 
 
 def learn(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", learn_docs: int = LEARN_DOCS) -> dict:
@@ -175,11 +170,22 @@ def identify(docs: DataFrame, counts: dict, id_col: str = "doc_id", text_col: st
     return rows.mapInArrow(run, f"id {kind}, held_out boolean, lang_pred string, score double").withColumnRenamed("id", id_col)
 
 
-def keep_identified(docs: DataFrame, least_score: float = 0.5) -> DataFrame:
-    """Rows of ``docs`` (with doc_id, text, lang) whose language is known with at least that score."""
-    found = identify(docs, learn(docs))
-    bad = found.where((F.col("lang_pred") == UNKNOWN) | (F.col("score") < least_score)).select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti")
+def keep_identified(docs: DataFrame, text_col: str = "text", least_score: float = 0.5) -> DataFrame:
+    """Rows of ``docs`` whose language is known with at least that score.
+
+    Rows are kept or dropped where they stand, with all their columns, so nothing
+    is shuffled.
+    """
+    held = docs.sparkSession.sparkContext.broadcast(learn(docs, text_col=text_col))
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = _model(held)
+        for batch in batches:
+            found = [model.predict(b) for b in batch.column(at).cast(pa.binary()).to_pylist()]
+            yield batch.filter(pa.array([lang != UNKNOWN and score >= least_score for lang, score in found], pa.bool_()))
+
+    return spread(docs).mapInArrow(run, docs.schema)
 
 
 def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

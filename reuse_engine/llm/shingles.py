@@ -13,30 +13,31 @@ import xxhash
 
 WIDTH = 5
 #: Words whose hashes a task remembers before it starts anew.
-REMEMBERED_WORDS = 150_000
+REMEMBERED_WORDS = 300_000
 
 _MIX = [np.uint64(k) for k in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63)]
 _SHIFT = np.uint64(29)
 
 
+class _Hashes(dict):
+    """Word to eight hash bytes; a word that is not known yet is hashed."""
+
+    def __missing__(self, word: bytes) -> bytes:
+        h = self[word] = xxhash.xxh64_digest(word)
+        return h
+
+
 class Shingler:
     """Sorted distinct shingle hashes of texts; remembers word hashes."""
 
     def __init__(self) -> None:
-        self.known: dict[bytes, int] = {}
+        self.known = _Hashes()
 
     def word_hashes(self, text: bytes | None) -> np.ndarray:
+        if len(self.known) > REMEMBERED_WORDS:
+            self.known.clear()
         words = (text or b"").lower().split()
-        known = self.known
-        if len(known) > REMEMBERED_WORDS:
-            known.clear()
-        out = []
-        for w in words:
-            h = known.get(w)
-            if h is None:
-                h = known[w] = xxhash.xxh64_intdigest(w)
-            out.append(h)
-        return np.array(out, dtype=np.uint64)
+        return np.frombuffer(b"".join(map(self.known.__getitem__, words)), np.uint64)
 
     def distinct(self, text: bytes | None) -> np.ndarray:
         """Sorted; a text of fewer than five words has its whole sequence as one."""

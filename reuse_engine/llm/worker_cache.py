@@ -6,15 +6,44 @@ so that the tables of one operator do not stay beside those of the next.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Hashable
+import ctypes
+import ctypes.util
+from collections.abc import Callable, Hashable, Iterator
+from contextlib import contextmanager
 from typing import Any
 
+from pyspark.sql import SparkSession
+
+#: Rows of whole texts in one Arrow batch, where an operator runs its own jobs.
+BATCH_ROWS = 1_000
+
 _held: dict[Hashable, Any] = {}
 
 
 def only(key: Hashable, build: Callable[[], Any]) -> Any:
     """The worker's object of that key; any other is dropped before it is built."""
     if key not in _held:
-        _held.clear()
+        if _held:
+            _held.clear()
+            _trim()
         _held[key] = build()
     return _held[key]
+
+
+def _trim() -> None:
+    """Give freed memory back to the system, where the C library can."""
+    libc = ctypes.CDLL(ctypes.util.find_library("c"))
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> Iterator[None]:
+    """Arrow batches of few rows for the jobs that run inside; texts can be long."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)

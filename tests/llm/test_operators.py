@@ -234,7 +234,7 @@ def test_codec_round_trip_and_parity(spark, odd, none):
         ids = codec.encode([s])[0][0]
         assert ids.tolist() == codec.other.encode(s) == whole.encode(s, add_special_tokens=False).ids
         assert codec.decode(ids).decode() == s == whole.decode(ids.tolist())
-    assert not all(codec.encode(["a▁b"])[0][0] == []) and piece_codec.encode_documents(none).count() == 0
+    assert piece_codec.encode_documents(none).count() == 0
     assert piece_codec.encode_documents(odd).where("not parity").count() == 0
 
 
