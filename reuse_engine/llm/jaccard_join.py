@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from reuse_engine.graph import connected_components
 from reuse_engine.llm.shingles import Shingler, set_digest
-from reuse_engine.llm.worker_cache import only, small_batches
+from reuse_engine.llm.worker_cache import limit_batches, only, release
 from reuse_engine.storage import materialize, spread
 
 #: Most shingles that the broadcast part of the global order holds: 12 bytes each.
@@ -105,6 +105,9 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 [nothing, nothing, pa.nulls(k, pa.binary()), pa.array(u[i : i + k]), pa.array(c[i : i + k].astype(np.int64))],
                 names=["id", "n", "sig", "token", "cnt"],
             )
+        del every, u, c
+    del seen, shingler
+    release()
 
 
 def in_order(s: np.ndarray, late: np.ndarray, weight: np.ndarray) -> np.ndarray:
@@ -142,6 +145,8 @@ def _prefixes(order):
                     [pa.array(np.concatenate(parts).view(np.int64)), pa.array(np.concatenate(ids)), pa.array(np.concatenate(ns)), pa.array(np.concatenate(pos))],
                     names=["token", "id64", "n", "pos"],
                 )
+        del seen, shingler
+        release()
 
     return run
 
@@ -177,6 +182,8 @@ def _made(column: str, make):
         for batch in _slices(batches):
             made = pa.array([make(shingler.distinct(t)) for t in _bytes(batch, "body")], pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("id")), made], names=["id", column])
+        del shingler
+        release()
 
     return run
 
@@ -370,12 +377,8 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     words: one shingle.  Rows that repeat an id give a row each; null ids keep a
     null component.  Other columns are ignored, whatever their names.
     """
-    with small_batches(docs.sparkSession):
-        return _components(docs, id_col, text_col)
-
-
-def _components(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     spark = docs.sparkSession
+    limit_batches(spark)
     body = spread(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("body")))
     features = materialize(body.mapInArrow(_features, _FEATURES), "jaccard-features")
     texts = features.where("n is not null").select("id", "n", "sig")

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reuse_engine.llm.worker_cache import only
+from reuse_engine.llm.worker_cache import limit_batches, only
 from reuse_engine.storage import spread
 
 SYMBOLS = 48
@@ -154,6 +154,7 @@ def identify(docs: DataFrame, counts: dict, id_col: str = "doc_id", text_col: st
     nothing was learned.  Repeated rows are predicted each; equal code lengths go
     to the first language by name.
     """
+    limit_batches(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -176,6 +177,7 @@ def keep_identified(docs: DataFrame, text_col: str = "text", least_score: float
     Rows are kept or dropped where they stand, with all their columns, so nothing
     is shuffled.
     """
+    limit_batches(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(learn(docs, text_col=text_col))
     at = docs.columns.index(text_col)
 

@@ -16,6 +16,7 @@ import hashlib
 import os
 import re
 import struct
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -24,15 +25,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reuse_engine.llm.worker_cache import only
+from reuse_engine.llm.worker_cache import limit_batches, only
 from reuse_engine.storage import spread
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
-#: Segments that a task remembers, and characters of a batch of whole texts.
-REMEMBERED_SEGMENTS, BATCH_CHARS = 300_000, 2_000_000
+#: Segments that a task remembers, characters of a batch of whole texts, and segments encoded at one time.
+REMEMBERED_SEGMENTS, BATCH_CHARS = 200_000, 2_000_000
+LEARN_SEGMENTS = 8_000
+SLICE_ROWS = 200
 THREADS = 2
 
 
@@ -181,9 +184,10 @@ class PieceCodec:
         """Encode segments that were not met yet, in one multithreaded batch."""
         found = self.backend.encode_batch_fast([MARK + s for s in new], add_special_tokens=False)
         others = self.other.encode([s.replace(MARK, " ") for s in new], num_threads=self.threads)
-        for s, mine, other in zip(new, found, others, strict=True):
-            self.known[s] = np.array(mine.ids, np.int32).tobytes()
-            if mine.ids != (other if s else [self.other.piece_to_id(MARK)]):  # the library gives an empty text no marker
+        for s, done, other in zip(new, found, others, strict=True):
+            mine = done.ids
+            self.known[s] = array("i", mine).tobytes()
+            if mine != (other if s else [self.other.piece_to_id(MARK)]):  # the library gives an empty text no marker
                 self.bad.add(s)
 
     def encode(self, texts: list[str]) -> list[tuple[np.ndarray, bool]]:
@@ -201,8 +205,8 @@ class PieceCodec:
         cut = [self.segments(t) for t in texts]
         known = self.known
         new = list(dict.fromkeys(s for c in cut for s in c if s not in known))
-        if new:
-            self._learn(new)
+        for at in range(0, len(new), LEARN_SEGMENTS):
+            self._learn(new[at : at + LEARN_SEGMENTS])
         look = known.__getitem__
         return [(np.frombuffer(b"".join(map(look, c)), np.int32), not self.bad or self.bad.isdisjoint(c)) for c in cut]
 
@@ -233,14 +237,15 @@ def encode_documents(docs: DataFrame, model_file: str = MODEL_FILE, id_col: str
     ``parity``: both libraries give the same ids.  Repeated rows are encoded each;
     other columns are ignored.  The model file is read once, by the driver.
     """
+    limit_batches(docs.sparkSession)
     with open(model_file, "rb") as f:
         held = docs.sparkSession.sparkContext.broadcast(f.read())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = only(("pieces", hashlib.sha1(held.value).digest()), lambda: PieceCodec(held.value))
         for batch in batches:
-            for at in range(0, len(batch), 500):
-                part = batch.slice(at, 500)
+            for at in range(0, len(batch), SLICE_ROWS):
+                part = batch.slice(at, SLICE_ROWS)
                 texts = [t or "" for t in part.column(1).to_pylist()]
                 done = codec.encode(texts)
                 tokens = [d[0] for d in done]

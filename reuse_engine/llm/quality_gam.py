@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from reuse_engine.llm.language_id import held_out
+from reuse_engine.llm.worker_cache import limit_batches
 from reuse_engine.storage import spread
 
 FIT_ROWS = 20_000
@@ -200,6 +201,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text
 
 def score_quality(docs: DataFrame, model: AdditiveModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(``id_col``, held_out, score, predicted) for every row; null and empty texts too."""
+    limit_batches(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -8,13 +8,14 @@ from __future__ import annotations
 
 import ctypes
 import ctypes.util
-from collections.abc import Callable, Hashable, Iterator
-from contextlib import contextmanager
+import gc
+from collections.abc import Callable, Hashable
 from typing import Any
 
+import pyarrow as pa
 from pyspark.sql import SparkSession
 
-#: Rows of whole texts in one Arrow batch, where an operator runs its own jobs.
+#: Rows of whole texts in one Arrow batch.
 BATCH_ROWS = 1_000
 
 _held: dict[Hashable, Any] = {}
@@ -30,20 +31,25 @@ def only(key: Hashable, build: Callable[[], Any]) -> Any:
     return _held[key]
 
 
+def release() -> None:
+    """At the end of a task: an idle worker holds no tables, and freed memory goes back."""
+    _held.clear()
+    _trim()
+
+
 def _trim() -> None:
     """Give freed memory back to the system, where the C library can."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
     libc = ctypes.CDLL(ctypes.util.find_library("c"))
     if hasattr(libc, "malloc_trim"):
         libc.malloc_trim(0)
 
 
-@contextmanager
-def small_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> Iterator[None]:
-    """Arrow batches of few rows for the jobs that run inside; texts can be long."""
+def limit_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> None:
+    """Lower the rows of an Arrow batch for this session: texts can be long, and a
+    batch is held by the JVM and by the worker at one time."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(key)
-    spark.conf.set(key, str(rows))
-    try:
-        yield
-    finally:
-        spark.conf.set(key, before)
+    now = int(spark.conf.get(key))
+    if now <= 0 or now > rows:
+        spark.conf.set(key, str(rows))
