@@ -15,14 +15,18 @@ their windows.  Open blocks lose their covered runs where these are boilerplate
 whole blocks that stand on half of the host's pages.  A page whose text would
 mostly go is a copy of others, not boilerplate, and is left whole.
 
-A host's pages are dealt into chunks by a hash of the page id, so that a host
-with a third of all pages is many groups of bounded size.
+A host of more than ``CHUNK_PAGES`` pages is dealt into chunks by a hash of the page
+id, each with its own suffix array, and pages are counted over the host: every
+chunk gives a row per distinct window, by its hash, and these are summed.  On
+hosts without open blocks only windows on half of the pages matter; such a window
+stands on half of the pages of some chunk, so only those are summed.
 """
 
 from __future__ import annotations
 
 import html as entities
 import re
+from hashlib import blake2b
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,6 +41,8 @@ MIN_RUN = 6
 MIN_PAGES = 4
 #: Pages of a host that one suffix array spans, about.
 CHUNK_PAGES = 256
+#: Repeated windows of large hosts that are put into the plan; beyond it they are joined.
+INLINE_WINDOWS = 20_000
 #: An article element with fewer words than this does not stand for the page.
 MIN_ARTICLE_WORDS = 1
 
@@ -158,83 +164,163 @@ def suffix_ranks(tokens: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray
     return np.argsort(rank, kind="stable"), rank
 
 
-def covered_tokens(streams: list[list[list[int]]], min_run: int = MIN_RUN, min_pages: int = MIN_PAGES) -> tuple[list[list[np.ndarray]], list[list[int]]]:
-    """Per page and block: tokens in repeated runs, and the least number of pages over its windows (0: a window is unique)."""
+def window_pages(streams: list[list[list[int]]], min_run: int = MIN_RUN) -> list[list[np.ndarray]]:
+    """Per page and block: the number of distinct pages that hold each window of ``min_run`` tokens."""
     flat: list[int] = []
     owner: list[int] = []
-    spans: list[tuple[int, int, int, int]] = []
+    spans: list[tuple[int, int, int]] = []
     for p, page in enumerate(streams):
-        for b, tokens in enumerate(page):
-            spans.append((p, b, len(flat), len(tokens)))
+        for tokens in page:
+            spans.append((p, len(flat), len(tokens)))
             flat += tokens
             flat.append(-1 - len(spans))  # a separator that occurs once
             owner += [p] * (len(tokens) + 1)
-    hit = np.zeros(len(flat) + 1, np.int64)
     pages_at = np.zeros(len(flat), np.int64)
     if len(flat) >= min_run:
-        order, rank = suffix_ranks(np.array(flat, np.int64), min_run)
+        _, rank = suffix_ranks(np.array(flat, np.int64), min_run)
         own = np.array(owner, np.int64)
         pairs = np.unique(rank * (len(streams) + 1) + own) // (len(streams) + 1)  # distinct (group, page)
         groups, n = np.unique(pairs, return_counts=True)
         per_rank = np.zeros(int(rank.max()) + 1, np.int64)
         per_rank[groups] = n
         pages_at = per_rank[rank]
-        start = order[pages_at[order] >= min_pages]
-        np.add.at(hit, start, 1)
-        np.add.at(hit, np.minimum(start + min_run, len(flat)), -1)
-    cover = np.cumsum(hit[:-1]) > 0
-    marks: list[list[np.ndarray]] = [[] for _ in streams]
-    least: list[list[int]] = [[] for _ in streams]
-    for p, _, at, n in spans:
-        marks[p].append(cover[at : at + n])
-        windows = pages_at[at : at + max(n - min_run + 1, 0)]
-        least[p].append(int(windows.min()) if len(windows) else 0)
-    return marks, least
-
-
-def clean_pages(pages: list[list[tuple[str, int]]]) -> list[str]:
-    """Main texts of pages of one host (chunk)."""
+    out: list[list[np.ndarray]] = [[] for _ in streams]
+    for p, at, n in spans:
+        out[p].append(pages_at[at : at + max(n - min_run + 1, 0)])
+    return out
+
+
+def window_keys(pages: list[list[str]], min_run: int = MIN_RUN) -> list[list[np.ndarray]]:
+    """Per page and block: a hash of each window of ``min_run`` tokens, the same in every chunk."""
     known: dict[str, int] = {}
-    streams = [[[known.setdefault(w, len(known)) for w in text.split(" ")] for text, _ in page] for page in pages]
-    marks, least = covered_tokens(streams)
-    half = max(MIN_PAGES, -(-len(pages) // 2))
     out = []
-    for page, mark, low in zip(pages, marks, least, strict=True):
-        kept, gone, total = [], 0, 0
-        for (text, sure), cover, pages_low in zip(page, mark, low, strict=True):
+    for page in pages:
+        keys = []
+        for text in page:
             words = text.split(" ")
-            total += len(words)
-            if sure:
-                drop = pages_low >= half
-                gone += len(words) * drop
-                if not drop:
-                    kept.append(text)
-            elif cover.any():
-                gone += int(cover.sum())
-                left = " ".join(w for w, c in zip(words, cover, strict=True) if not c)
-                if left:
-                    kept.append(left)
-            else:
-                kept.append(text)
-        out.append("\n\n".join(kept) if 2 * gone <= total else "\n\n".join(t for t, _ in page))
+            for w in words:
+                if w not in known:
+                    known[w] = int.from_bytes(blake2b(w.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little")
+            h = np.array([known[w] for w in words], np.uint64)
+            n = max(len(h) - min_run + 1, 0)
+            key = np.zeros(n, np.uint64)
+            for k in range(min_run if n else 0):
+                key = key * np.uint64(0x9E3779B97F4A7C15) + h[k : k + n]
+            keys.append(key.view(np.int64))
+        out.append(keys)
     return out
 
 
-_BLOCKS = "id long, url string, texts array<string>, sure array<int>"
+def _streams(pages: list[list[str]]) -> list[list[list[int]]]:
+    known: dict[str, int] = {}
+    return [[[known.setdefault(w, len(known)) for w in text.split(" ")] for text in page] for page in pages]
+
+
+def clean_page(page: list[tuple[str, int]], counts: list[np.ndarray], host_pages: int, min_run: int = MIN_RUN) -> str:
+    """Main text of a page, from the number of the host's pages that hold each window of its blocks."""
+    half = max(MIN_PAGES, -(-host_pages // 2))
+    kept, gone, total = [], 0, 0
+    for (text, sure), n in zip(page, counts, strict=True):
+        words = text.split(" ")
+        total += len(words)
+        if sure:
+            drop = len(n) > 0 and int(n.min()) >= half
+            gone += len(words) * drop
+            if not drop:
+                kept.append(text)
+            continue
+        hit = np.zeros(len(words) + 1, np.int64)
+        start = np.flatnonzero(n >= MIN_PAGES)
+        hit[start] += 1
+        hit[start + min_run] -= 1
+        cover = np.cumsum(hit[:-1]) > 0
+        gone += int(cover.sum())
+        left = " ".join(w for w, c in zip(words, cover, strict=True) if not c)
+        if left:
+            kept.append(left)
+    return "\n\n".join(kept) if 2 * gone <= total else "\n\n".join(t for t, _ in page)
+
+
+_BLOCKS = "id long, url string, host string, pages long, texts array<string>, sure array<int>"
+_TEXTS = "page_id long, url string, text string, n_chars long"
 
 
 def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of (id, url, host, pages, html) with blocks for html."""
     for batch in batches:
-        found = [blocks_of(h) for h in batch.column(2).to_pylist()]
+        found = [blocks_of(h) for h in batch.column(4).to_pylist()]
         texts = pa.array([[t for t, _ in f] for f in found], pa.list_(pa.string()))
         sure = pa.array([[s for _, s in f] for f in found], pa.list_(pa.int32()))
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), texts, sure], names=["id", "url", "texts", "sure"])
+        yield pa.RecordBatch.from_arrays([*batch.columns[:4], texts, sure], names=["id", "url", "host", "pages", "texts", "sure"])
+
+
+def _out(pdf: pd.DataFrame, texts: list[str]) -> pd.DataFrame:
+    return pd.DataFrame({"page_id": pdf["id"].astype("Int64"), "url": pdf["url"], "text": texts, "n_chars": pd.Series([len(t) for t in texts], index=pdf.index, dtype="int64")})
 
 
 def _clean(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Pages of one host that is one chunk."""
     pdf = pdf.sort_values("id", kind="stable")
-    texts = clean_pages([list(zip(t, s, strict=True)) for t, s in zip(pdf["texts"], pdf["sure"], strict=True)])
-    return pd.DataFrame({"page_id": pdf["id"].astype("Int64"), "url": pdf["url"], "text": texts, "n_chars": pd.Series([len(t) for t in texts], index=pdf.index, dtype="int64")})
+    counts = window_pages(_streams([list(t) for t in pdf["texts"]]))
+    return _out(pdf, [clean_page(list(zip(t, s, strict=True)), n, len(pdf)) for t, s, n in zip(pdf["texts"], pdf["sure"], counts, strict=True)])
+
+
+def _chunk_counts(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct windows of a chunk, and the pages of the chunk that hold each."""
+    pages = [list(t) for t in pdf["texts"]]
+    keys = [k for page in window_keys(pages) for k in page]
+    counts = [n for page in window_pages(_streams(pages)) for n in page]
+    if not keys:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    windows, first = np.unique(np.concatenate(keys), return_index=True)
+    return windows, np.concatenate(counts)[first]
+
+
+def _wanted(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Windows on half of a chunk's pages; or, if it has open blocks, one null: all windows of the host count."""
+    if any(0 in s for s in pdf["sure"]):
+        return pd.DataFrame({"host": [pdf["host"].iloc[0]], "window": pd.array([None], "Int64")})
+    keys = []
+    pages = [list(t) for t in pdf["texts"]]
+    for p, page in enumerate(window_pages(_streams(pages))):
+        for b, n in enumerate(page):
+            if (2 * n >= len(pages)).any():
+                keys.append(window_keys([[pages[p][b]]])[0][0][2 * n >= len(pages)])
+    windows = np.unique(np.concatenate(keys)) if keys else np.zeros(0, np.int64)
+    return pd.DataFrame({"host": pd.Series([pdf["host"].iloc[0]] * len(windows), dtype=object), "window": pd.array(windows, "Int64")})
+
+
+def _windows(pdf: pd.DataFrame) -> pd.DataFrame:
+    windows, n = _chunk_counts(pdf)
+    size = len(windows)
+    return pd.DataFrame({"host": pd.Series([pdf["host"].iloc[0]] * size, dtype=object), "chunk": np.full(size, pdf["chunk"].iloc[0], np.int64), "window": windows, "n": n})
+
+
+def _totals_of(page: list[str], windows: np.ndarray, totals: np.ndarray) -> list[np.ndarray]:
+    """Host totals of a page's windows, from sorted ``windows``; 0 for one that is not among them."""
+    out = []
+    for keys in window_keys([page])[0]:
+        at = np.minimum(np.searchsorted(windows, keys), len(windows) - 1)
+        out.append(np.where(windows[at] == keys, totals[at], 0))
+    return out
+
+
+def _clean_by_totals(pdf: pd.DataFrame, repeats: dict[str, tuple[np.ndarray, np.ndarray]]) -> pd.DataFrame:
+    """Pages of large hosts, by the host totals of repeated windows; a host without any has nothing to remove."""
+    texts = []
+    for host, host_pages, t, s in zip(pdf["host"], pdf["pages"], pdf["texts"], pdf["sure"], strict=True):
+        page = list(zip(t, s, strict=True))
+        texts.append(clean_page(page, _totals_of(list(t), *repeats[host]), host_pages) if host in repeats else "\n\n".join(t))
+    return _out(pdf, texts)
+
+
+def _clean_chunk(pdf: pd.DataFrame, found: pd.DataFrame) -> pd.DataFrame:
+    return _clean_by_totals(pdf, _by_host(found))
+
+
+def _by_host(found: pd.DataFrame) -> dict[str, tuple[np.ndarray, np.ndarray]]:
+    found = found.sort_values("window")
+    return {h: (p["window"].to_numpy(np.int64), p["total"].to_numpy(np.int64)) for h, p in found.groupby("host")}
 
 
 def host_of(url):
@@ -249,11 +335,33 @@ def extract_pages(pages: DataFrame, chunk_pages: int = CHUNK_PAGES) -> DataFrame
     null url is a host of its own kind.  Repeated rows are extracted each.  Other
     columns are ignored; an empty table gives an empty result.
     """
-    rows = pages.select(F.col("page_id").cast("long").alias("id"), "url", "html")
-    sizes = materialize(rows.groupBy(host_of(F.col("url")).alias("host")).agg(F.ceil(F.count("*") / chunk_pages).alias("chunks")), "html-hosts")
-    parsed = spread(rows).mapInArrow(_parse, _BLOCKS).withColumn("host", host_of(F.col("url")))
-    dealt = parsed.join(sizes, "host").withColumn("chunk", F.pmod(F.xxhash64("id", "url"), F.col("chunks")))
-    return dealt.groupBy("host", "chunk").applyInPandas(_clean, "page_id long, url string, text string, n_chars long")
+    rows = pages.select(F.col("page_id").cast("long").alias("id"), "url", host_of(F.col("url")).alias("host"), "html")
+    sizes = rows.groupBy("host").agg(F.count("*").alias("pages"))
+    large = materialize(sizes.where(F.col("pages") > chunk_pages), "html-hosts")
+    small = spread(rows).join(large, "host", "left_anti").select("id", "url", "host", F.lit(0).cast("long").alias("pages"), "html")
+    out = small.mapInArrow(_parse, _BLOCKS).groupBy("host").applyInPandas(_clean, _TEXTS)
+    return out.unionByName(_extract_large(rows, large, chunk_pages)) if large.head(1) else out
+
+
+def _extract_large(rows: DataFrame, large: DataFrame, chunk_pages: int) -> DataFrame:
+    """Pages of hosts of many chunks, by counts over the host."""
+    blocks = spread(rows).join(large, "host").select("id", "url", "host", "pages", "html").mapInArrow(_parse, _BLOCKS)
+    dealt = blocks.withColumn("chunk", F.pmod(F.xxhash64("id", "url"), F.ceil(F.col("pages") / chunk_pages)))
+    wanted = materialize(dealt.groupBy("host", "chunk").applyInPandas(_wanted, "host string, window long").distinct(), "html-wanted")
+    repeats: dict[str, tuple[np.ndarray, np.ndarray]] = {}
+    if wanted.head(1):
+        every = wanted.where("window is null").select("host", F.lit(True).alias("every"))
+        some = wanted.where("window is not null").select("host", "window", F.lit(True).alias("some"))
+        seen = dealt.join(wanted.select("host").distinct(), "host", "left_semi").groupBy("host", "chunk").applyInPandas(_windows, "host string, chunk long, window long, n long")
+        seen = seen.join(every, "host", "left").join(some, ["host", "window"], "left").where("every or some").drop("every", "some")
+        seen = materialize(seen, "html-windows")
+        totals = seen.groupBy("host", "window").agg(F.sum("n").alias("total")).where(F.col("total") >= MIN_PAGES)
+        totals = materialize(totals, "html-totals")
+        if totals.count() > INLINE_WINDOWS:
+            mine = seen.join(totals, ["host", "window"]).select("host", "chunk", "window", "total")
+            return dealt.groupBy("host", "chunk").cogroup(mine.groupBy("host", "chunk")).applyInPandas(_clean_chunk, _TEXTS)
+        repeats = _by_host(totals.toPandas())
+    return blocks.mapInPandas(lambda frames: (_clean_by_totals(pdf, repeats) for pdf in frames), _TEXTS)
 
 
 def op4_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:

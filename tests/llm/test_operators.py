@@ -185,6 +185,20 @@ def test_html_boilerplate_by_host(spark):
     assert html_extract.extract_pages(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+@pytest.mark.parametrize("inline", [20_000, 0])
+def test_html_counts_pages_over_the_host(spark, monkeypatch, inline):
+    monkeypatch.setattr(html_extract, "INLINE_WINDOWS", inline, raising=False)
+    rng = random.Random(7)
+    words = lambda n: " ".join(f"u{rng.randrange(10**6)}" for _ in range(n))
+    promo, notice = "join our community of readers and never miss a story again", "this notice stands in the articles of the host today"
+    unique = [words(60) for _ in range(80)]
+    rows = [(i, f"https://open.example/{i}", page(f"<div><p>{unique[i]}</p>{f'<p>{promo}</p>' if i % 8 == 0 else ''}</div>")) for i in range(40)]
+    rows += [(i, f"https://sure.example/{i}", page(f"<article><p>{unique[i]}</p>{f'<p>{notice}</p>' if i % 2 else ''}</article>")) for i in range(40, 80)]
+    for chunk in (256, 10):
+        got = {r["page_id"]: r["text"] for r in html_extract.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), chunk).collect()}
+        assert got == dict(enumerate(unique))
+
+
 def test_suffix_groups_against_brute_force():
     import numpy as np
 
