@@ -6,8 +6,12 @@ texts; the second keeps the lines of a text that is merely copied to many sites.
 Sketches of sites and of texts per line hash merge by aggregation.  An estimate
 far from the threshold decides; lines near it get exact distinct counts, so the
 result is that of exact counting.  A document gives up its boilerplate lines
-unless they make up more than half of its characters: then it is a copy of
-something, which near-duplicate removal handles, and it is left as it is.
+where they make up at most half of its characters.  Beyond that it can be one of
+a family of near copies, whose lines count as many texts only because each copy
+was edited; it gives up the lines that reach both counts in documents of the
+first kind alone, and keeps the others.  A document without a line of its own is
+left as it is.  ``op5_line_dedup`` leaves every document of the second kind as it
+is, as its SQL states; the pipeline does not.
 """
 
 from __future__ import annotations
@@ -72,46 +76,71 @@ def boilerplate_lines(docs: DataFrame, text_col: str = "text", site_col: str = "
     return sure.unionByName(exact)
 
 
-def strip_boilerplate(docs: DataFrame, text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES) -> DataFrame:
+def _with_hits(docs: DataFrame, text: Column, found: DataFrame, flag: str) -> DataFrame:
+    """``docs`` with ``__ls``, the lines, and ``flag``, an array that says which of them are in ``found``."""
+    ls = F.split(text, "\n")
+    if found.count() <= INLINE_LINES:
+        bad = [r[0] for r in found.collect()]
+        hit = (lambda line: F.coalesce(_key(line).isin(bad), F.lit(False))) if bad else (lambda line: F.lit(False))
+        return docs.withColumn("__ls", ls).withColumn(flag, F.transform("__ls", hit))
+    split = docs.select(F.xxhash64(text).alias("__body"), ls.alias("ls"))
+    line = split.select("__body", F.explode_outer(F.transform("ls", _key)).alias("line")).where("line is not null").distinct()
+    drops = line.join(found, "line").groupBy("__body").agg(F.collect_set("line").alias("__drop"))
+    out = docs.withColumn("__body", F.xxhash64(text)).join(drops, "__body", "left").drop("__body")
+    out = out.withColumn("__ls", ls).withColumn(flag, F.transform("__ls", lambda x: F.coalesce(F.array_contains("__drop", _key(x)), F.lit(False))))
+    return out.drop("__drop")
+
+
+def _minor(flag: str) -> Column:
+    """At most half of the characters stand on flagged lines."""
+    gone = F.aggregate(F.zip_with("__ls", flag, lambda x, h: F.when(h, F.length(x)).otherwise(0)), F.lit(0), lambda a, b: a + b)
+    whole = F.aggregate("__ls", F.lit(0), lambda a, x: a + F.length(x))
+    return 2 * gone <= whole
+
+
+def proven_lines(docs: DataFrame, found: DataFrame, text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES) -> DataFrame:
+    """(line) of ``found`` that reach both counts in documents of which boilerplate is at most half."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    hits = _with_hits(spread(docs.select(text_col, site_col)), text, found, "__hit").where(F.exists("__hit", lambda h: h) & _minor("__hit"))
+    keys = F.array_distinct(F.transform(F.filter("__ls", lambda x, i: F.get("__hit", i)), _key))
+    rows = hits.select(F.explode(keys).alias("line"), F.xxhash64(F.coalesce(F.col(site_col), F.lit(""))).alias("site"), F.xxhash64(text).alias("body"))
+    rows = materialize(rows.distinct(), "lines-hits")
+    sites = rows.select("line", "site").distinct().groupBy("line").agg(F.count("*").alias("sites"))
+    texts = rows.select("line", "body").distinct().groupBy("line").agg(F.count("*").alias("texts"))
+    return sites.join(texts, "line").where(F.least("sites", "texts") >= min_sites).select("line")
+
+
+def strip_boilerplate(docs: DataFrame, text_col: str = "text", site_col: str = "source", min_sites: int = MIN_SITES, by_share: bool = False) -> DataFrame:
     """``docs`` with stripped texts and two more columns, n_lines and n_removed.
 
     Null text stays null with no lines.  A null site is one site.  Repeated rows
     are one text.  Columns named n_lines or n_removed are replaced.  An empty
-    table gives an empty result.
+    table gives an empty result.  ``by_share`` leaves a document as it is wherever
+    boilerplate is more than half of it.
     """
     found = materialize(boilerplate_lines(docs, text_col, site_col, min_sites).select("line"), "lines-boilerplate")
-    n = found.count()
     text = F.coalesce(F.col(text_col), F.lit(""))
-    if n <= INLINE_LINES:
-        bad = [r[0] for r in found.collect()]
-        hit = (lambda line: F.coalesce(_key(line).isin(bad), F.lit(False))) if bad else (lambda line: F.lit(False))
-        out = spread(docs).withColumn("__ls", F.split(text, "\n")).withColumn("__hit", F.transform("__ls", hit))
+    out = _with_hits(spread(docs), text, found, "__hit")
+    if by_share or not found.head(1):
+        out = out.withColumn("__cut", F.when(_minor("__hit"), F.col("__hit")))
     else:
-        split = docs.select(F.xxhash64(text).alias("__body"), F.split(text, "\n").alias("ls"))
-        line = split.select("__body", F.explode_outer(F.transform("ls", _key)).alias("line")).where("line is not null").distinct()
-        drops = line.join(found, "line").groupBy("__body").agg(F.collect_set("line").alias("__drop"))
-        out = docs.withColumn("__body", F.xxhash64(text)).join(drops, "__body", "left").drop("__body")
-        out = out.withColumn("__ls", F.split(text, "\n")).withColumn(
-            "__hit", F.transform("__ls", lambda x: F.coalesce(F.array_contains("__drop", _key(x)), F.lit(False)))
-        )
-        out = out.drop("__drop")
-    kept = F.filter("__ls", lambda x, i: ~F.get("__hit", i))
-    gone = F.aggregate(F.zip_with("__ls", "__hit", lambda x, h: F.when(h, F.length(x)).otherwise(0)), F.lit(0), lambda a, b: a + b)
-    whole = F.aggregate("__ls", F.lit(0), lambda a, x: a + F.length(x))
-    out = out.withColumn("__n", F.aggregate("__hit", F.lit(0), lambda a, h: a + h.cast("int"))).withColumn(
-        "__n", F.when((F.col("__n") > 0) & (2 * gone <= whole), F.col("__n")).otherwise(0)
-    )
+        proven = materialize(proven_lines(docs, found, text_col, site_col, min_sites), "lines-proven")
+        out = _with_hits(out, text, proven, "__sure")
+        own = F.exists(F.zip_with("__ls", "__sure", lambda x, h: x.rlike(NON_SPACE) & ~h), lambda o: o)
+        out = out.withColumn("__cut", F.when(_minor("__hit"), F.col("__hit")).when(own, F.col("__sure"))).drop("__sure")
+    kept = F.filter("__ls", lambda x, i: ~F.get("__cut", i))
+    out = out.withColumn("__n", F.coalesce(F.aggregate("__cut", F.lit(0), lambda a, h: a + h.cast("int")), F.lit(0)))
     return (
         out.withColumn(text_col, F.when(F.col("__n") > 0, F.array_join(kept, "\n")).otherwise(F.col(text_col)))
         .withColumn("n_lines", F.size(F.filter("__ls", lambda x: x.rlike(NON_SPACE))).cast("long"))
         .withColumn("n_removed", F.col("__n").cast("long"))
-        .drop("__ls", "__hit", "__n")
+        .drop("__ls", "__hit", "__cut", "__n")
     )
 
 
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "source", "text")
-    return strip_boilerplate(docs).select("doc_id", "text", "n_lines", "n_removed")
+    return strip_boilerplate(docs, by_share=True).select("doc_id", "text", "n_lines", "n_removed")
 
 
 OP5_SQL = rf"""

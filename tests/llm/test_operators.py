@@ -225,6 +225,19 @@ def test_line_dedup(spark, odd, none, monkeypatch, inline):
     assert line_dedup.strip_boilerplate(none).count() == 0 and line_dedup.strip_boilerplate(odd).count() == odd.count()
 
 
+@pytest.mark.parametrize("inline", [20_000, 0])
+def test_lines_proven_elsewhere_go_from_heavy_documents(spark, monkeypatch, inline):
+    monkeypatch.setattr(line_dedup, "INLINE_LINES", inline)
+    foot, long = "Follow us on every channel", "this document has its own long line of text number {} which stays"
+    story = [f"sentence {i} of a story that was copied with small edits" for i in range(9)]
+    family = ["\n".join([*story, f"edit {i}"]) for i in range(12)]
+    texts = [f"{long.format(i)}\n{foot}" for i in range(12)] + family + [f"{foot}\nshort own", foot, f"{family[0]}\n{foot}"]
+    sources = [f"s{i}" for i in range(12)] * 2 + ["s0", "s1", "s2"]
+    got = {r["doc_id"]: (r["text"], r["n_removed"]) for r in line_dedup.strip_boilerplate(docs_of(spark, texts, sources=sources)).collect()}
+    assert all(got[i] == (long.format(i), 1) for i in range(12)) and all(got[i] == (texts[i], 0) for i in range(12, 24))
+    assert got[24] == ("short own", 1) and got[25] == (foot, 0) and got[26] == (family[0], 1)
+
+
 def test_sketch_decides_like_exact_counts(spark):
     rows = [(line, s) for line, n in ((1, 7), (2, 8), (3, 9), (4, 200), (5, 1)) for s in range(n)]
     texts = [(f"line {a}\nown {a} {s}", f"site{s}") for a, s in rows]
