@@ -12,8 +12,8 @@ that share that many tokens and stand on enough distinct pages are repeated
 substrings; the union of their spans is covered, so longer repeats are covered by
 their windows.  Open blocks lose their covered runs where these are boilerplate
 (on ``MIN_PAGES`` distinct pages) and keep unique runs; sure blocks lose only
-whole blocks that stand on half of the host's pages.  A page whose text would
-mostly go is a copy of others, not boilerplate, and is left whole.
+whole blocks that stand on half of the host's pages.  A page without any
+unique run is a copy of others, not boilerplate, and is left whole.
 
 A host of more than ``CHUNK_PAGES`` pages is dealt into chunks by a hash of the page
 id, each with its own suffix array, and pages are counted over the host: every
@@ -219,26 +219,22 @@ def _streams(pages: list[list[str]]) -> list[list[list[int]]]:
 def clean_page(page: list[tuple[str, int]], counts: list[np.ndarray], host_pages: int, min_run: int = MIN_RUN) -> str:
     """Main text of a page, from the number of the host's pages that hold each window of its blocks."""
     half = max(MIN_PAGES, -(-host_pages // 2))
-    kept, gone, total = [], 0, 0
+    kept = []
     for (text, sure), n in zip(page, counts, strict=True):
-        words = text.split(" ")
-        total += len(words)
         if sure:
-            drop = len(n) > 0 and int(n.min()) >= half
-            gone += len(words) * drop
-            if not drop:
+            if not len(n) or int(n.min()) < half:
                 kept.append(text)
             continue
+        words = text.split(" ")
         hit = np.zeros(len(words) + 1, np.int64)
         start = np.flatnonzero(n >= MIN_PAGES)
         hit[start] += 1
         hit[start + min_run] -= 1
         cover = np.cumsum(hit[:-1]) > 0
-        gone += int(cover.sum())
         left = " ".join(w for w, c in zip(words, cover, strict=True) if not c)
         if left:
             kept.append(left)
-    return "\n\n".join(kept) if 2 * gone <= total else "\n\n".join(t for t, _ in page)
+    return "\n\n".join(kept or (t for t, _ in page))
 
 
 _BLOCKS = "id long, url string, host string, pages long, texts array<string>, sure array<int>"

@@ -199,6 +199,17 @@ def test_html_counts_pages_over_the_host(spark, monkeypatch, inline):
         assert got == dict(enumerate(unique))
 
 
+@pytest.mark.parametrize("chunk", [256, 10])
+def test_html_short_pages_keep_only_their_own_words(spark, chunk):
+    rng = random.Random(8)
+    words = lambda n: " ".join(f"u{rng.randrange(10**6)}" for _ in range(n))
+    unique, site = [words(40) for _ in range(30)], words(60)
+    rows = [(i, f"https://h.example/{i}", page(f"<div><p>{u}</p><p>{site}</p></div>")) for i, u in enumerate(unique)]
+    rows += [(30 + i, f"https://h.example/c{i}", page(f"<div><p>{site}</p></div>")) for i in range(5)]
+    got = {r["page_id"]: r["text"] for r in html_extract.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), chunk).collect()}
+    assert got == {**dict(enumerate(unique)), **{30 + i: site for i in range(5)}}
+
+
 def test_suffix_groups_against_brute_force():
     import numpy as np
 
