@@ -2,28 +2,42 @@
 
 A lineage is cut only by writing a table to the folder that the cluster names
 in ``spark.checkpoint.dir``; every executor can read such a table again after
-another one was lost.  Nothing here uses a folder of one machine unless the
-setting is absent, which is the case in tests.
+another one was lost.  A session of one machine (master ``local``) may leave the
+setting out, as tests do; on a cluster its absence is an error.
+
+Tables that only feed the next table are removed with :func:`discard` once that
+one is written.  Tables that a returned DataFrame still scans stay until
+:func:`clean`, which the caller runs when the results were used.
 """
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no shared folder.
+#: Used only by a session of one machine that names no shared folder.
 FALLBACK_DIR = f"{tempfile.gettempdir()}/reuse_engine_shared"
+#: Bytes of input (as stored) that one partition of a dealt scan takes, about.
+DEAL_BYTES = 64 << 20
+
+_written: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_DIR).rstrip("/")
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    return (named or FALLBACK_DIR).rstrip("/")
 
 
 def new_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/reuse-{label}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/reuse-{label}-{uuid.uuid4().hex}"
+    _written.add(path)
+    return path
 
 
 def materialize(df: DataFrame, label: str, partition_by: list[str] | None = None) -> DataFrame:
@@ -34,17 +48,59 @@ def materialize(df: DataFrame, label: str, partition_by: list[str] | None = None
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    made = spark.read.schema(df.schema).parquet(path)
+    made._reuse_path = path
+    return made
+
+
+def discard(*frames: DataFrame) -> None:
+    """Remove tables of :func:`materialize` that no later plan scans."""
+    for df in frames:
+        path = getattr(df, "_reuse_path", None)
+        if path in _written:
+            _remove(df.sparkSession, path)
+
+
+def clean(spark: SparkSession) -> int:
+    """Remove every table that this process wrote to the shared folder; their number."""
+    paths = list(_written)
+    for path in paths:
+        _remove(spark, path)
+    return len(paths)
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    _written.discard(path)
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes that the scans of ``df`` read, by the file sizes that the plan knows."""
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
+def needs_deal(df: DataFrame) -> bool:
+    """True for a scan of fewer files than cores."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return stored_bytes(df) < cores * 2 * DEAL_BYTES and len(df.inputFiles()) < cores
 
 
 def spread(df: DataFrame) -> DataFrame:
     """Deal a scan of fewer files than cores over all cores.
 
     The given tables can be one file with one row group, which Spark reads in
-    one task; a table with files enough is left as it is, without a shuffle.
+    one task; a table with files or bytes enough is left as it is, without a shuffle.
     """
+    if not needs_deal(df):
+        return df
     cores = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(cores) if len(df.inputFiles()) < cores else df
+    return df.repartition(max(cores, -(-stored_bytes(df) // DEAL_BYTES)))
+
+
+def dealt(df: DataFrame, label: str) -> DataFrame:
+    """As :func:`spread`, for rows that are scanned several times: dealt rows are written once."""
+    return materialize(spread(df), label) if needs_deal(df) else df
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
