@@ -13,10 +13,10 @@ distinct segment (or text), and every text is decoded and compared.
 from __future__ import annotations
 
 import hashlib
+import itertools
 import os
 import re
 import struct
-from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reuse_engine.llm.worker_cache import limit_batches, only
+from reuse_engine.llm.worker_cache import limit_batches, only, released
 from reuse_engine.storage import spread
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
@@ -33,7 +33,7 @@ MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 #: Segments that a task remembers, characters of a batch of whole texts, and segments encoded at one time.
-REMEMBERED_SEGMENTS, BATCH_CHARS = 200_000, 2_000_000
+REMEMBERED_SEGMENTS, BATCH_CHARS = 400_000, 2_000_000
 LEARN_SEGMENTS = 8_000
 SLICE_ROWS = 200
 THREADS = 2
@@ -162,7 +162,7 @@ class PieceCodec:
         self.bad: set[str] = set()
         self.fast = self.model.by_segment
         self.backend = self.model.core() if self.fast else self.model.tokenizer()
-        self.surface = [self._surface(p, k) for p, k in zip(self.model.pieces, self.model.kinds, strict=True)]
+        self.surface = pa.array([self._surface(p, k) for p, k in zip(self.model.pieces, self.model.kinds, strict=True)], pa.large_binary())
 
     @staticmethod
     def _surface(piece: str, kind: int) -> bytes:
@@ -182,13 +182,16 @@ class PieceCodec:
 
     def _learn(self, new: list[str]) -> None:
         """Encode segments that were not met yet, in one multithreaded batch."""
-        found = self.backend.encode_batch_fast([MARK + s for s in new], add_special_tokens=False)
-        others = self.other.encode([s.replace(MARK, " ") for s in new], num_threads=self.threads)
-        for s, done, other in zip(new, found, others, strict=True):
-            mine = done.ids
-            self.known[s] = array("i", mine).tobytes()
-            if mine != (other if s else [self.other.piece_to_id(MARK)]):  # the library gives an empty text no marker
-                self.bad.add(s)
+        mine = [m.ids for m in self.backend.encode_batch_fast([MARK + s for s in new], add_special_tokens=False)]
+        plain = [s if MARK not in s else s.replace(MARK, " ") for s in new]
+        others = self.other.encode(plain, num_threads=self.threads)
+        if "" in new:  # the library gives an empty text no marker
+            others[new.index("")] = [self.other.piece_to_id(MARK)]
+        if mine != others:
+            self.bad.update(s for s, m, o in zip(new, mine, others, strict=True) if m != o)
+        flat = np.fromiter(itertools.chain.from_iterable(mine), np.int32).tobytes()
+        ends = np.cumsum([0, *map(len, mine)]) * 4
+        self.known.update(zip(new, (flat[i:j] for i, j in itertools.pairwise(ends.tolist())), strict=True))
 
     def encode(self, texts: list[str]) -> list[tuple[np.ndarray, bool]]:
         """(ids, parity) of each text."""
@@ -212,8 +215,16 @@ class PieceCodec:
 
     def decode(self, ids: np.ndarray) -> bytes:
         """Bytes of a text; the space of the dummy prefix goes."""
-        out = b"".join(map(self.surface.__getitem__, ids.tolist()))
-        return out[1:] if self.model.add_dummy_prefix and out[:1] == b" " else out
+        return self.decode_all(ids, np.array([0, len(ids)]))[0]
+
+    def decode_all(self, flat: np.ndarray, ends: np.ndarray) -> list[bytes]:
+        """Bytes of several texts, whose ids are ``flat[ends[i] : ends[i + 1]]``."""
+        made = self.surface.take(pa.array(flat, pa.int32()))
+        _, offsets, data = made.buffers()
+        at = np.frombuffer(offsets, np.int64)[made.offset : made.offset + len(flat) + 1][ends].tolist() if len(flat) else [0] * len(ends)
+        whole = memoryview(data) if data else memoryview(b"")
+        skip = self.model.add_dummy_prefix
+        return [bytes(whole[i + (skip and whole[i : i + 1] == b" ") : j]) for i, j in zip(at[:-1], at[1:], strict=True)]
 
 
 def _parts(texts: list[str]) -> Iterator[list[str]]:
@@ -241,6 +252,7 @@ def encode_documents(docs: DataFrame, model_file: str = MODEL_FILE, id_col: str
     with open(model_file, "rb") as f:
         held = docs.sparkSession.sparkContext.broadcast(f.read())
 
+    @released
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = only(("pieces", hashlib.sha1(held.value).digest()), lambda: PieceCodec(held.value))
         for batch in batches:
@@ -249,11 +261,12 @@ def encode_documents(docs: DataFrame, model_file: str = MODEL_FILE, id_col: str
                 texts = [t or "" for t in part.column(1).to_pylist()]
                 done = codec.encode(texts)
                 tokens = [d[0] for d in done]
-                ends = np.concatenate([[0], np.cumsum([len(t) for t in tokens])]).astype(np.int32)
-                flat = pa.array(np.concatenate([*tokens, np.zeros(0, np.int32)]), pa.int32())
-                trip = [codec.decode(t) == x.encode() for t, x in zip(tokens, texts, strict=True)]
+                ends = np.concatenate([[0], np.cumsum([len(t) for t in tokens])]).astype(np.int64)
+                flat = np.concatenate([*tokens, np.zeros(0, np.int32)])
+                trip = [back == x.encode("utf-8", "surrogatepass") for back, x in zip(codec.decode_all(flat, ends), texts, strict=True)]
+                lists = pa.LargeListArray.from_arrays(pa.array(ends), pa.array(flat, pa.int32())).cast(pa.list_(pa.int32()))
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(np.diff(ends).astype(np.int64)), pa.ListArray.from_arrays(pa.array(ends), flat), pa.array(trip), pa.array([d[1] for d in done])],
+                    [part.column(0), pa.array(np.diff(ends)), lists, pa.array(trip, pa.bool_()), pa.array([d[1] for d in done], pa.bool_())],
                     names=["id", "n_tokens", "tokens", "round_trip", "parity"],
                 )
 

@@ -6,7 +6,11 @@ size, and expectation-maximisation on that table estimates how often each rule
 votes rightly on good and on bad documents, and the share of good ones.  The
 posterior probability of being good replaces the demand that all rules pass.
 Texts that fail the base rules are out in any case and do not enter the estimate,
-so that the model learns the junk which the base rules do not know.
+so that the model learns the junk which the base rules do not know.  The rules
+are graded well inside what the base rules pass and look at different sides of a
+text, so that they can disagree: one that many good documents break is found to
+say little, and a document is dropped by the weight of its votes.  Estimates are
+smoothed by ``PRIOR_VOTES`` and have no other bound.
 
 All text measures are built-in column functions, evaluated once per row without
 a shuffle; the only exchange is the count of vote patterns.
@@ -27,9 +31,9 @@ from reuse_engine.storage import materialize, spread
 MIN_WORDS, MAX_REPEAT_SHARE = 10, 20
 #: Smallest posterior that is kept.
 KEEP_FROM = 0.5
-ROUNDS, SETTLED = 40, 1e-5
+ROUNDS, SETTLED = 60, 1e-5
 #: Start of the estimation: share of good documents, and how often a vote is right on good and on bad ones.
-START_GOOD, START_RIGHT_GOOD, START_RIGHT_BAD = 0.9, 0.98, 0.5
+START_GOOD, START_RIGHT_GOOD, START_RIGHT_BAD = 0.9, 0.95, 0.5
 #: Pseudo-votes that hold an accuracy near its start when few documents vote.
 PRIOR_VOTES = 10.0
 
@@ -59,8 +63,11 @@ def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         F.size("ls").cast("long").alias("n_lines"),
         F.size(F.array_distinct("w")).cast("long").alias("n_distinct"),
         F.regexp_count("text", F.lit(r"\p{Lu}")).cast("long").alias("n_upper"),
-        F.regexp_count("text", F.lit(r"[!?]{2,}")).cast("long").alias("n_shouts"),
         F.size(F.filter("w", lambda x: F.lower(x).isin(COMMON_WORDS))).cast("long").alias("n_common"),
+        (F.length("text") - F.length(F.translate("text", "0123456789", ""))).cast("long").alias("n_digits"),
+        F.size(F.filter("w", lambda x: F.length(x) == 1)).cast("long").alias("n_single"),
+        F.size(F.filter("w", lambda x: x.rlike(r"\p{L}"))).cast("long").alias("n_lettered"),
+        F.size(F.filter("ls", lambda x: x.rlike(r"[.!?:;][\x20\x09-\x0D]*$"))).cast("long").alias("n_closed"),
     )
 
 
@@ -93,15 +100,18 @@ def rule_votes() -> dict[str, Column]:
     """Rules over the columns of :func:`measured`; shares are tested on integers."""
     n, chars = F.col("n_words"), F.col("word_chars")
     return {
-        "length": _vote(n >= 30, n < MIN_WORDS),
+        "length": _vote(n >= 50, n < 20),
         "symbols": _vote(F.col("n_symbols") * 200 <= chars, F.col("n_symbols") * 20 > chars),
-        "repeats": _vote(F.col("n_repeat_words") * 50 <= n, F.col("n_repeat_words") * 100 > n * MAX_REPEAT_SHARE),
-        "lines": _vote(F.col("n_dup_lines") * 10 <= F.col("n_lines"), F.col("n_dup_lines") * 10 > F.col("n_lines") * 3),
-        "word_length": _vote((chars >= n * 4) & (chars <= n * 9), (chars < n * 2) | (chars > n * 14)),
-        "capitals": _vote(F.col("n_upper") * 8 <= chars, F.col("n_upper") * 10 > chars * 4),
-        "shouts": _vote(F.col("n_shouts") * 100 <= n, F.col("n_shouts") * 10 > n),
-        "variety": _vote(F.col("n_distinct") * 100 >= n * 30, (n >= 50) & (F.col("n_distinct") * 100 < n * 15)),
-        "common_words": _vote((F.col("n_common") * 100 >= n * 8) & (n >= MIN_WORDS), (F.col("n_common") * 100 < n * 2) & (n >= 30)),
+        "repeats": _vote(F.col("n_repeat_words") * 50 <= n, F.col("n_repeat_words") * 20 > n),
+        "lines": _vote(F.col("n_dup_lines") == 0, F.col("n_dup_lines") * 10 > F.col("n_lines")),
+        "word_length": _vote((10 * chars >= n * 44) & (10 * chars <= n * 62), (10 * chars < n * 40) | (10 * chars > n * 70)),
+        "capitals": _vote(F.col("n_upper") * 30 <= chars, F.col("n_upper") * 25 > chars),
+        "variety": _vote(F.col("n_distinct") * 10 >= n * 6, F.col("n_distinct") * 20 < n * 11),
+        "common_words": _vote(F.col("n_common") * 100 >= n * 14, F.col("n_common") * 100 < n * 8),
+        "digits": _vote(F.col("n_digits") * 100 <= chars, F.col("n_digits") * 50 > chars),
+        "single_marks": _vote(F.col("n_single") * 25 <= n, F.col("n_single") * 10 > n),
+        "letters": _vote(F.col("n_lettered") * 20 >= n * 19, F.col("n_lettered") * 10 < n * 8),
+        "closed_lines": _vote(F.col("n_closed") * 20 >= F.col("n_lines") * 19, F.col("n_closed") * 10 < F.col("n_lines") * 9),
     }
 
 
@@ -127,16 +137,6 @@ class RuleModel:
         return F.lit(1.0) / (F.lit(1.0) + F.exp(-odds))
 
 
-#: Bounds of the estimates.  The rules are written to spare good documents, so false
-#: alarms stay rare; but each may know one kind of bad document among many, so its
-#: share on bad ones can be small.
-GOOD_BOUNDS, BAD_BOUNDS = (0.97, 0.999), (0.02, 0.995)
-
-
-def _bounded(x: float, bounds: tuple[float, float]) -> float:
-    return min(bounds[1], max(bounds[0], x))
-
-
 def estimate(patterns: DataFrame, n_rules: int) -> RuleModel:
     """Expectation-maximisation on (votes, n).  No row gives the start values.
 
@@ -151,12 +151,12 @@ def estimate(patterns: DataFrame, n_rules: int) -> RuleModel:
         if not got:
             return model
         good, bad = got[n_rules, 1]  # the appended vote counts every document
-        share = lambda right, voted, start, bounds: _bounded((right + PRIOR_VOTES * start) / (voted + PRIOR_VOTES), bounds)
-        new = RuleModel(min(0.999, max(0.001, (good + PRIOR_VOTES * START_GOOD) / (good + bad + PRIOR_VOTES))), [], [])
+        share = lambda right, voted, start: (right + PRIOR_VOTES * start) / (voted + PRIOR_VOTES)
+        new = RuleModel(share(good, good + bad, START_GOOD), [], [])
         for r in range(n_rules):
             (yes_good, yes_bad), (no_good, no_bad) = got.get((r, 1), (0.0, 0.0)), got.get((r, 0), (0.0, 0.0))
-            new.right_good.append(share(yes_good, yes_good + no_good, START_RIGHT_GOOD, GOOD_BOUNDS))
-            new.right_bad.append(share(no_bad, yes_bad + no_bad, START_RIGHT_BAD, BAD_BOUNDS))
+            new.right_good.append(share(yes_good, yes_good + no_good, START_RIGHT_GOOD))
+            new.right_bad.append(share(no_bad, yes_bad + no_bad, START_RIGHT_BAD))
         was, now = [[m.good, *m.right_good, *m.right_bad] for m in (model, new)]
         model = new
         if max(abs(x - y) for x, y in zip(was, now, strict=True)) < SETTLED:
@@ -165,7 +165,9 @@ def estimate(patterns: DataFrame, n_rules: int) -> RuleModel:
 
 
 def judged(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``id_col``, the measures, base_failed, quality_prob and kept for each row.
+    """``id_col``, the measures, base_failed, quality_prob, all_passed and kept for each row.
+
+    ``all_passed`` is what the demand that no rule votes against would keep.
 
     Null and empty texts have measures of 0 and fail.  Repeated rows are judged
     each.  Other columns are ignored.  An empty table gives an empty result.
@@ -178,11 +180,29 @@ def judged(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     patterns = materialize(voted.where(~failed).groupBy("votes").agg(F.count("*").alias("n")).coalesce(1), "rules-patterns")
     model = estimate(patterns, len(rule_votes()))
     out = voted.withColumn("base_failed", failed).withColumn("quality_prob", model.posterior("votes"))
+    out = out.withColumn("all_passed", ~F.col("base_failed") & ~F.exists("votes", lambda v: F.coalesce(v == 0, F.lit(False))))
     return out.withColumn("kept", ~F.col("base_failed") & (F.col("quality_prob") >= KEEP_FROM)).withColumnRenamed("id", id_col)
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return judged(docs).select(
-        "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "quality_prob", "kept"
+        "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "quality_prob", "all_passed", "kept"
     )
+
+
+def quality_base_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The measures and the base verdict alone, which SQL can state."""
+    return op3_quality_rules(spark, sf_dir).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
+
+
+BASE_SQL = r"""
+WITH t AS (SELECT doc_id, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w,
+                  list_filter(string_split(coalesce(text, ''), chr(10)), lambda l: regexp_matches(l, '[^\x20\x09-\x0D]')) AS ls FROM documents),
+     win AS (SELECT doc_id, i, array_to_string(w[i:i + 4], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 3)) AS i FROM t WHERE len(w) >= 5)),
+     twice AS (SELECT doc_id, i FROM win WINDOW k AS (PARTITION BY doc_id, g) QUALIFY count(*) OVER k > 1),
+     cov AS (SELECT doc_id, count(DISTINCT i + k) AS n FROM twice, range(5) r(k) GROUP BY 1),
+     m AS (SELECT t.doc_id, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars, length(regexp_replace(text, '[^#*$%&|<>]', '', 'g')) AS n_symbols,
+                  len(ls) - len(list_distinct(ls)) AS n_dup_lines, coalesce(cov.n, 0) AS n_repeat_words FROM t LEFT JOIN cov USING (doc_id))
+SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m
+"""

@@ -1,15 +1,16 @@
-"""One large object for each Python worker.
+"""What Python workers hold: one large object at a time, and nothing once a task has ended.
 
-Workers are reused by later stages; a new object takes the place of the last one,
-so that the tables of one operator do not stay beside those of the next.
+Workers are reused by later stages.  A large table must not stay beside those of
+the next operator, nor in an idle worker while the JVM needs the memory.
 """
 
 from __future__ import annotations
 
 import ctypes
 import ctypes.util
+import functools
 import gc
-from collections.abc import Callable, Hashable
+from collections.abc import Callable, Hashable, Iterator
 from typing import Any
 
 import pyarrow as pa
@@ -32,11 +33,24 @@ def only(key: Hashable, build: Callable[[], Any]) -> Any:
 
 
 def release() -> None:
-    """At the end of a task: an idle worker holds no tables, and freed memory goes back."""
+    """An idle worker holds no tables, and freed memory goes back."""
     _held.clear()
     _trim()
 
 
+def released(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """``run`` over the batches of a task, with a release at its end, also after an error."""
+
+    @functools.wraps(run)
+    def task(batches: Iterator) -> Iterator:
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return task
+
+
 def _trim() -> None:
     """Give freed memory back to the system, where the C library can."""
     gc.collect()
@@ -48,7 +62,8 @@ def _trim() -> None:
 
 def limit_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> None:
     """Lower the rows of an Arrow batch for this session: texts can be long, and a
-    batch is held by the JVM and by the worker at one time."""
+    batch is held by the JVM and by the worker at one time.  The plans that the
+    operators return run after they return, so the setting stays."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     now = int(spark.conf.get(key))
     if now <= 0 or now > rows:
