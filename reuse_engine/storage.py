@@ -16,12 +16,15 @@ import re
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Used only by a session of one machine that names no shared folder.
 FALLBACK_DIR = f"{tempfile.gettempdir()}/reuse_engine_shared"
 #: Bytes of input (as stored) that one partition of a dealt scan takes, about.
 DEAL_BYTES = 64 << 20
+#: Rows of a few short columns that may be broadcast; more of them are joined on a salted key.
+BROADCAST_ROWS, SALTS = 1_000_000, 32
 
 _written: set[str] = set()
 
@@ -105,3 +108,20 @@ def dealt(df: DataFrame, label: str) -> DataFrame:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def few_broadcast(df: DataFrame, limit: int | None = None) -> DataFrame:
+    """A broadcast hint where the counted rows prove the bound, else none."""
+    return F.broadcast(df) if df.count() <= (BROADCAST_ROWS if limit is None else limit) else df
+
+
+def join_few(rows: DataFrame, few: DataFrame, key: str, salt: Column, how: str = "inner", limit: int | None = None) -> DataFrame:
+    """``rows`` joined with ``few``, a row per key, by broadcast or on (key, salt).
+
+    ``salt`` is a hash of the row: a key that many rows share is dealt over
+    ``SALTS`` tasks, each of which has a copy of the key's one row.
+    """
+    if few.count() <= (BROADCAST_ROWS if limit is None else limit):
+        return rows.join(F.broadcast(few), key, how)
+    copies = few.withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    return rows.withColumn("__salt", F.pmod(salt, F.lit(SALTS).cast("long"))).join(copies, [key, "__salt"], how).drop("__salt")
