@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reuse_engine.storage import materialize
+from reuse_engine.storage import discard, materialize
 
 MAX_ROUNDS = 60
 
@@ -58,7 +58,9 @@ def connected_components(edges: DataFrame, u: str = "a", v: str = "b", label: st
     current = materialize(_ordered(edges.where(F.col(u).isNotNull() & F.col(v).isNotNull()), u, v), f"{label}-0")
     mark = _mark(current)
     for i in range(1, MAX_ROUNDS if mark[0] else 1):
-        current, before = materialize(_small_star(_large_star(current)), f"{label}-{i}"), mark
+        last, before = current, mark
+        current = materialize(_small_star(_large_star(last)), f"{label}-{i}")
+        discard(last)
         mark = _mark(current)
         if mark == before:
             break
