@@ -7,23 +7,26 @@ Jaccard similarity of at least 3/4, tested on integers (``7 * both >= 3 *
 1. One pass over the texts names each set by a 128-bit digest; equal sets are
    one vertex from here on, whatever the number of copies.
 2. The global order puts shingles that repeat inside partitions last, by their
-   summed counts, and all others by hash.  A set's prefix is its first
-   ``n - ceil(3n/4) + 1`` shingles: linked sets share one of them.
+   summed counts, and all others by hash.  The heaviest are listed; the rest
+   share a table of buckets, so that both parts have a bound at any size.  A set's
+   prefix is its first ``n - ceil(3n/4) + 1`` shingles: linked sets share one of them.
 3. Shingles in the prefixes of two or more sets give candidate edges.  Pairs
    that met by chance go by a bitmap bound (no more shingles can be shared than
    have their bit set on the other side), which is exact too.  The components of
    the remaining edges are *families*; no link leaves a family.
-4. A family is one block (large ones are dealt into chunks of ``CHUNK`` sets).
-   A block is stored as a path-compressed trie, and a probe descends it with
-   the overlap of the shared path, cutting subtrees that cannot reach the
-   required overlap with what is left on either side.
+4. A family is one block; a large one is dealt into chunks of about ``CHUNK`` sets or
+   ``CHUNK_SHINGLES`` shingles, by size bands such that linked sets stand in the
+   same band or in neighbours.  A block is stored as a path-compressed trie, and a
+   probe descends it with the overlap of the shared path, cutting subtrees that
+   cannot reach the required overlap with what is left on either side.
 5. Probing runs until only one large component and a rest are left; the rest is
-   probed against every chunk of its family, which is exact: of two sets in
-   different components at least one belongs to a rest.
+   probed against every chunk of its band and the next ones, which is exact: of two
+   sets in different components at least one belongs to a rest.
 6. Links become components by contraction of the edge table.
 
-Nothing is capped: ``CHUNK``, ``HUBS`` and ``SMALL`` only choose between two
-exact ways.
+Nothing is capped: the constants only choose between exact ways.  No step deals
+raw rows by a key that a large group shares: what is known to be frequent is
+listed, and joins with such lists are by broadcast or on a salted key.
 """
 
 from __future__ import annotations
@@ -38,22 +41,26 @@ from pyspark.sql import functions as F
 
 from reuse_engine.graph import connected_components
 from reuse_engine.llm.shingles import Shingler, set_digest
-from reuse_engine.llm.worker_cache import limit_batches, only, release
-from reuse_engine.storage import materialize, spread
+from reuse_engine.llm.worker_cache import limit_batches, released
+from reuse_engine.storage import dealt, discard, few_broadcast, join_few, materialize
 
-#: Most shingles that the broadcast part of the global order holds: 12 bytes each.
-ORDER_LIMIT = 1_000_000
+#: Most shingles that the broadcast part of the global order lists (12 bytes each), and buckets of the others.
+ORDER_LIMIT, BUCKETS = 1_000_000, 1 << 18
 #: Shingles found in up to so many prefixes give all their pairs, others a star.
 SMALL = 128
-#: Sets in one block.
-CHUNK = 1024
-#: Sets that every chunk of a large family is probed with first.
+#: Sets, and shingles of all sets, in one block.
+CHUNK, CHUNK_SHINGLES = 1024, 4_000_000
+#: Sets of a band that every chunk near it is probed with first.
 HUBS = 8
+#: Sizes of one band are within this ratio, a little more than 4/3.
+BAND = 1.34
 #: Vertices that may be broadcast (8 bytes each) to pick the texts of families.
 BROADCAST_IDS = 2_000_000
+#: Shingles that a task counts at one time.
+COUNTED = 4_000_000
 
 _FEATURES = "id long, n long, sig binary, token long, cnt long"
-_ENTRIES = "token long, id64 long, n int, pos int"
+_ENTRIES = "token long, id64 long, n int, pos int, late boolean"
 
 
 #: Rows of a batch that are Python objects at one time.
@@ -70,54 +77,70 @@ def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield batch.slice(at, SLICE_ROWS)
 
 
-def _shingler() -> Shingler:
-    return only("shingler", Shingler)
+def _repeated(tokens: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+    """A row per shingle that two of the sets have; empties the list."""
+    every = np.concatenate(tokens)
+    tokens.clear()
+    every.sort()
+    u, c = np.unique(every[1:][every[1:] == every[:-1]], return_counts=True)  # all but the first of each
+    u, c = u.view(np.int64), (c + 1).astype(np.int64)
+    for i in range(0, len(u), 50_000):
+        k = len(u[i : i + 50_000])
+        nothing = pa.nulls(k, pa.int64())
+        yield pa.RecordBatch.from_arrays([nothing, nothing, pa.nulls(k, pa.binary()), pa.array(u[i : i + k]), pa.array(c[i : i + k])], names=["id", "n", "sig", "token", "cnt"])
 
 
+@released
 def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A row per text, then a row per shingle that two sets of the partition have."""
-    shingler, seen, tokens = _shingler(), set(), []
+    """A row per text, and rows of shingles that several sets have."""
+    shingler, seen, tokens, held = Shingler(), set(), [], 0
     for batch in _slices(batches):
         ids, ns, sigs = _bytes(batch, "id"), [], []
-        for text in _bytes(batch, "body"):
-            s = shingler.distinct(text)
+        for s in shingler.each(_bytes(batch, "body")):
             sig = set_digest(s)
             ns.append(len(s))
             sigs.append(sig)
             if len(s) and sig not in seen:
                 seen.add(sig)
                 tokens.append(s)
+                held += len(s)
         nothing = pa.nulls(len(ids), pa.int64())
         yield pa.RecordBatch.from_arrays(
             [pa.array(ids, pa.int64()), pa.array(ns, pa.int64()), pa.array(sigs, pa.binary()), nothing, nothing],
             names=["id", "n", "sig", "token", "cnt"],
         )
+        if held >= COUNTED:
+            yield from _repeated(tokens)
+            held = 0
     if tokens:
-        every = np.concatenate(tokens)
-        tokens.clear()
-        every.sort()
-        u, c = np.unique(every[1:][every[1:] == every[:-1]], return_counts=True)  # all but the first of each
-        u, c = u.view(np.int64), c + 1
-        for i in range(0, len(u), 50_000):
-            k = len(u[i : i + 50_000])
-            nothing = pa.nulls(k, pa.int64())
-            yield pa.RecordBatch.from_arrays(
-                [nothing, nothing, pa.nulls(k, pa.binary()), pa.array(u[i : i + k]), pa.array(c[i : i + k].astype(np.int64))],
-                names=["id", "n", "sig", "token", "cnt"],
-            )
-        del every, u, c
-    del seen, shingler
-    release()
-
-
-def in_order(s: np.ndarray, late: np.ndarray, weight: np.ndarray) -> np.ndarray:
-    """Sorted hashes ``s`` in the global order: not in ``late`` first, then by weight."""
-    if not len(late) or not len(s):
-        return s
-    at = np.minimum(np.searchsorted(late, s), len(late) - 1)
-    is_late = late[at] == s
-    last = s[is_late]
-    return np.concatenate([s[~is_late], last[np.argsort(weight[at[is_late]], kind="stable")]])
+        yield from _repeated(tokens)
+
+
+class Order:
+    """The global order: unlisted shingles by their bucket's weight and then by hash, then listed ones by weight."""
+
+    def __init__(self, listed: np.ndarray, weight: np.ndarray, buckets: np.ndarray) -> None:
+        self.listed, self.weight, self.buckets = listed, weight, buckets
+
+    def sort(self, s: np.ndarray) -> tuple[np.ndarray, int]:
+        """Sorted hashes ``s`` in order, and the number of those that are not listed."""
+        if not len(s):
+            return s, 0
+        is_late = np.zeros(len(s), bool)
+        if len(self.listed):
+            at = np.minimum(np.searchsorted(self.listed, s), len(self.listed) - 1)
+            is_late = self.listed[at] == s
+        rest = s[~is_late]
+        if len(self.buckets):
+            w = self.buckets[(rest % np.uint64(len(self.buckets))).astype(np.int64)]
+            some = w > 0
+            if some.any():
+                heavy = rest[some]
+                rest = np.concatenate([rest[~some], heavy[np.argsort(w[some], kind="stable")]])
+        if len(rest) == len(s):
+            return rest, len(s)
+        last = s[is_late]
+        return np.concatenate([rest, last[np.argsort(self.weight[at[is_late]], kind="stable")]]), len(rest)
 
 
 def prefix_length(n: int) -> int:
@@ -125,28 +148,28 @@ def prefix_length(n: int) -> int:
 
 
 def _prefixes(order):
+    @released
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        late, weight = order.value
-        shingler, seen = _shingler(), set()
+        ranked, shingler, seen = order.value, Shingler(), set()
         for batch in _slices(batches):
-            parts, ids, ns, pos = [], [], [], []
-            for text in _bytes(batch, "body"):
-                s = shingler.distinct(text)
+            parts, ids, ns, pos, late = [], [], [], [], []
+            for s in shingler.each(_bytes(batch, "body")):
                 if not len(s) or (sig := set_digest(s)) in seen:
                     continue
                 seen.add(sig)
                 k = prefix_length(len(s))
-                parts.append(in_order(s, late, weight)[:k])
+                ordered, unlisted = ranked.sort(s)
+                at = np.arange(k, dtype=np.int32)
+                parts.append(ordered[:k])
                 ids.append(np.full(k, int.from_bytes(sig[:8], "little", signed=True), np.int64))
                 ns.append(np.full(k, len(s), np.int32))
-                pos.append(np.arange(k, dtype=np.int32))
+                pos.append(at)
+                late.append(at >= unlisted)
             if parts:
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.concatenate(parts).view(np.int64)), pa.array(np.concatenate(ids)), pa.array(np.concatenate(ns)), pa.array(np.concatenate(pos))],
-                    names=["token", "id64", "n", "pos"],
+                    [pa.array(np.concatenate(parts).view(np.int64)), pa.array(np.concatenate(ids)), pa.array(np.concatenate(ns)), pa.array(np.concatenate(pos)), pa.array(np.concatenate(late))],
+                    names=["token", "id64", "n", "pos", "late"],
                 )
-        del seen, shingler
-        release()
 
     return run
 
@@ -177,13 +200,12 @@ def may_link(a: bytes, na: int, b: bytes, nb: int) -> bool:
 def _made(column: str, make):
     """(id, column): ``make`` of the shingles of each text."""
 
+    @released
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = _shingler()
+        shingler = Shingler()
         for batch in _slices(batches):
-            made = pa.array([make(shingler.distinct(t)) for t in _bytes(batch, "body")], pa.binary())
+            made = pa.array([make(s) for s in shingler.each(_bytes(batch, "body"))], pa.binary())
             yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("id")), made], names=["id", column])
-        del shingler
-        release()
 
     return run
 
@@ -345,11 +367,6 @@ def _block(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"a": ids[[roots[i] for i in keep]], "b": ids[keep]}, columns=["a", "b"]).astype("int64")
 
 
-def _small_enough(ids: DataFrame) -> DataFrame:
-    """A broadcast hint where the count proves the bound, else none."""
-    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-
-
 def _candidate_edges(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(star edges, pairs) between sets that share a prefix shingle.
 
@@ -357,11 +374,10 @@ def _candidate_edges(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
     around its least set; a rare one its pairs that pass the size and position
     bounds, which hold at the first shingle that a linked pair shares.
     """
-    sized = entries.withColumn("m", F.count("*").over(Window.partitionBy("token")))
-    many = sized.where(F.col("m") > SMALL)
-    hubs = many.groupBy("token").agg(F.min("id").alias("a"))
-    star = many.join(hubs, "token").where("a <> id").select("a", F.col("id").alias("b")).distinct()
-    few = sized.where(F.col("m") <= SMALL)
+    counts = entries.groupBy("token").agg(F.count("*").alias("m"), F.min("id").alias("a"))
+    many = materialize(counts.where(F.col("m") > SMALL).select("token", "a"), "jaccard-many")
+    star = join_few(entries, many, "token", F.xxhash64("id")).where("a <> id").select("a", F.col("id").alias("b")).distinct()
+    few = join_few(entries, many.select("token"), "token", F.xxhash64("id"), "left_anti")
     x = few.select("token", F.col("id").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
     y = few.select("token", F.col("id").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
     pairs = x.join(y, "token").where(
@@ -375,52 +391,57 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
     Null or wordless text: n_shingles 0, its own component.  Fewer than five
     words: one shingle.  Rows that repeat an id give a row each; null ids keep a
-    null component.  Other columns are ignored, whatever their names.
+    null component.  Other columns are ignored, whatever their names.  An empty
+    table gives an empty result.
     """
     spark = docs.sparkSession
     limit_batches(spark)
-    body = spread(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("body")))
+    body = dealt(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("binary").alias("body")), "jaccard-texts")
     features = materialize(body.mapInArrow(_features, _FEATURES), "jaccard-features")
     texts = features.where("n is not null").select("id", "n", "sig")
 
-    order = spark.sparkContext.broadcast(_late_order(features.where("token is not null").select("token", "cnt")))
+    order = spark.sparkContext.broadcast(_order(features.where("token is not null").select("token", "cnt")))
     entries = body.mapInArrow(_prefixes(order), _ENTRIES)
-    over = Window.partitionBy("token")
+    # a listed shingle is known to be shared: its rows meet nobody and are dealt evenly
+    over = Window.partitionBy("token", "alone")
     shared = (
-        entries.withColumn("lo", F.min("id64").over(over))
+        entries.withColumn("alone", F.when(F.col("late"), F.col("id64")))
+        .withColumn("lo", F.min("id64").over(over))
         .withColumn("hi", F.max("id64").over(over))
-        .where("lo <> hi")
+        .where("late or lo <> hi")
         .select("token", "id64", "n", "pos")
         .distinct()
     )
     shared = materialize(shared, "jaccard-shared")
 
-    reps = texts.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.first("n").alias("n"))
+    reps = texts.where("n > 0").groupBy("sig").agg(F.min("id").alias("rep"), F.first("n").alias("n"), F.count("*").alias("copies"))
+    reps = materialize(reps.where("rep is not null"), "jaccard-sets")
     named = reps.withColumn("id64", _low_long("sig")).select("id64", "rep", F.col("n").cast("int").alias("n"))
-    on = shared.join(named, ["id64", "n"]).select("token", F.col("rep").alias("id"), "n", "pos")
-    star, pairs = _candidate_edges(materialize(on, "jaccard-entries"))
+    on = materialize(shared.join(named, ["id64", "n"]).select("token", F.col("rep").alias("id"), "n", "pos"), "jaccard-entries")
+    star, pairs = _candidate_edges(on)
     star, pairs = materialize(star, "jaccard-star"), materialize(pairs, "jaccard-pairs")
-    ends = [star.select("a"), star.select("b"), pairs.select("a"), pairs.select("b")]
-    ids = ends[0].toDF("id").union(ends[1]).union(ends[2]).union(ends[3]).distinct()
+    discard(shared, on)
+    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     bits = _of_texts(body, ids, "bits", bitmap)
     weighed = pairs.join(bits.toDF("a", "bits_a"), "a").join(bits.toDF("b", "bits_b"), "b")
     plausible = weighed.mapInArrow(_plausible, "a long, b long")
     families = connected_components(star.unionByName(plausible), label="jaccard-family")
     families = materialize(families.select(F.col("vertex").alias("id"), F.col("component").alias("family")), "jaccard-families")
+    discard(star, pairs)
     sets = _of_texts(body, families.select("id"), "shingles", np.ndarray.tobytes)
     links = _links(families, sets)
     roots = connected_components(links, label="jaccard-links")
 
-    by_set = reps.join(roots.select(F.col("vertex").alias("rep"), "component"), "rep", "left")
-    by_set = by_set.select("sig", F.coalesce("component", "rep").alias("component"))
-    return texts.join(by_set, "sig", "left").select(
-        F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id")
+    by_set = reps.join(roots.select(F.col("vertex").alias("rep"), "component"), "rep", "left").where("copies > 1 or component is not null")
+    by_set = materialize(by_set.select("sig", F.coalesce("component", "rep").alias("component")), "jaccard-result")
+    return join_few(texts, by_set, "sig", F.xxhash64("id"), "left").select(
+        F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("component", "id")).alias("component_id")
     )
 
 
 def _of_texts(body: DataFrame, ids: DataFrame, column: str, make) -> DataFrame:
     """(id, column) for the texts of some ids: only these are shingled again, and no text is shuffled if the ids can be broadcast."""
-    wanted = body.join(_small_enough(materialize(ids, f"jaccard-{column}-ids")), "id", "left_semi")
+    wanted = body.join(few_broadcast(materialize(ids, f"jaccard-{column}-ids"), BROADCAST_IDS), "id", "left_semi")
     made = wanted.mapInArrow(_made(column, make), f"id long, {column} binary")
     return materialize(made, f"jaccard-{column}").dropDuplicates(["id"])
 
@@ -434,61 +455,115 @@ def _low_long(sig: str):
     return F.shiftleft(high, 32).bitwiseOR(low)
 
 
-def _late_order(counts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles that come last in the global order, with weights; ORDER_LIMIT at most.
+def _order(counts: DataFrame) -> Order:
+    """The global order from partial counts.
 
-    Counts are summed over all partitions; the least weight that is still listed
-    rises with the total, so that the list's length has a bound at any size.
+    Counts are summed over all partitions.  The least weight that is still listed
+    rises with the total, so that the list has at most ``ORDER_LIMIT`` shingles; the
+    others give the largest weight of each of ``BUCKETS`` buckets.
     """
-    summed = counts.groupBy("token").agg(F.sum("cnt").alias("cnt"))
     total = counts.agg(F.sum("cnt")).first()[0] or 0
     least = max(4, -(-total // ORDER_LIMIT))
-    rows = summed.where(F.col("cnt") >= least).toPandas()
-    token = rows["token"].to_numpy(np.int64).view(np.uint64)
+    listed = F.col("cnt") >= least
+    bucket = F.pmod(F.col("token"), F.lit(BUCKETS))  # a power of two: the same for signed and unsigned hashes
+    summed = counts.groupBy("token").agg(F.sum("cnt").alias("cnt"))
+    rows = summed.groupBy(listed.alias("listed"), F.when(listed, F.col("token")).otherwise(bucket).alias("key")).agg(F.max("cnt").alias("cnt")).toPandas()
+    late, other = rows[rows["listed"]], rows[~rows["listed"].astype(bool)]
+    token = late["key"].to_numpy(np.int64).view(np.uint64)
     at = np.argsort(token)
-    return token[at], rows["cnt"].to_numpy(np.int64)[at].astype(np.uint32 if total < 1 << 32 else np.uint64)
+    buckets = np.zeros(BUCKETS if len(other) else 0, np.uint32)
+    buckets[other["key"].to_numpy(np.int64)] = np.minimum(other["cnt"].to_numpy(np.int64), (1 << 32) - 1)
+    return Order(token[at], late["cnt"].to_numpy(np.int64)[at].astype(np.uint32 if total < 1 << 32 else np.uint64), buckets)
 
 
 def _links(families: DataFrame, sets: DataFrame) -> DataFrame:
     """Links (a, b) whose components are those of all links within families."""
-    sizes = families.groupBy("family").agg(F.count("*").alias("m")).withColumn("chunks", F.ceil(F.col("m") / CHUNK))
-    placed = families.join(sizes, "family").withColumn("chunk", F.pmod(F.xxhash64("id"), F.col("chunks")))
-    stored = placed.join(sets, "id").select("id", "family", "chunk", "chunks", "shingles", F.lit(0).alias("probe"))
-    stored = materialize(stored, "jaccard-blocks")
-    large = stored.where("chunks > 1")
-    order = Window.partitionBy("family").orderBy(F.xxhash64("id"), "id")
-    hub_ids = placed.where("chunks > 1").withColumn("r", F.row_number().over(order)).where(F.col("r") <= HUBS).select("id")
-    hubs = large.join(hub_ids, "id", "left_semi")
-    everywhere = F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1))
-    first = stored.unionByName(hubs.withColumn("chunk", everywhere))
-    near = materialize(_run_blocks(first), "jaccard-near")
-    if not large.limit(1).count():
+    stored = families.join(sets, "id").withColumn("n", (F.octet_length("shingles") / 8).cast("long"))
+    stored = stored.withColumn("band", F.floor(F.log("n") / float(np.log(BAND))).cast("int"))
+    stored = materialize(stored, "jaccard-stored")
+    salt = F.xxhash64("id")
+    whole = stored.groupBy("family").agg(F.count("*").alias("m"), F.sum("n").alias("tokens"))
+    large = materialize(whole.where((F.col("m") > CHUNK) | (F.col("tokens") > CHUNK_SHINGLES)).select("family"), "jaccard-large")
+    small = join_few(stored, large, "family", salt, "left_anti").select("id", "family", F.lit(0).alias("band"), F.lit(0).cast("long").alias("chunk"), "shingles", F.lit(0).alias("probe"))
+    if not large.head(1):
+        near = materialize(_run_blocks(small), "jaccard-near")
+        discard(stored, large)
         return near
 
-    # Large families: who is outside the largest component is probed everywhere.
-    roots = connected_components(near.join(placed.where("chunks > 1").select(F.col("id").alias("b")), "b", "left_semi"), label="jaccard-chunks")
-    rooted = placed.where("chunks > 1").select("id", "family").join(roots.withColumnRenamed("vertex", "id"), "id", "left")
-    rooted = rooted.withColumn("component", F.coalesce("component", "id"))
+    rows = join_few(stored, large, "family", salt)
+    counted = rows.groupBy("family", "band").agg(F.count("*").alias("m"), F.sum("n").alias("tokens"))
+    chunks = F.greatest(F.ceil(F.col("m") / CHUNK), F.ceil(F.col("tokens") / CHUNK_SHINGLES))
+    bands = materialize(counted.select(F.struct("family", "band").alias("at"), chunks.alias("chunks")), "jaccard-bands")
+    placed = join_few(rows.withColumn("at", F.struct("family", "band")), bands, "at", salt)
+    placed = placed.withColumn("chunk", F.pmod(F.xxhash64("id"), F.col("chunks"))).select("id", "family", "band", "chunk", "shingles")
+    placed = materialize(placed, "jaccard-placed")
+    # hubs: of each chunk first, so that no band is sorted in one task
+    key = F.struct(F.xxhash64("id").alias("h"), F.col("id"))
+    of_chunk = F.row_number().over(Window.partitionBy("family", "band", "chunk").orderBy(key))
+    firsts = placed.select("family", "band", "chunk", "id", of_chunk.alias("r")).where(F.col("r") <= HUBS)
+    of_band = F.row_number().over(Window.partitionBy("family", "band").orderBy(key))
+    hub_ids = materialize(firsts.withColumn("q", of_band).where(F.col("q") <= HUBS).select("id"), "jaccard-hubs")
+    hubs = placed.join(few_broadcast(hub_ids, BROADCAST_IDS), "id", "left_semi")
+    own = placed.withColumn("probe", F.lit(0))
+    first = small.unionByName(own).unionByName(_near_chunks(hubs, bands).withColumn("probe", F.lit(0)))
+    near = materialize(_run_blocks(first), "jaccard-near")
+
+    # who is outside the largest component of its family is probed in every chunk near its band
+    roots = connected_components(near, label="jaccard-chunks")
+    rooted = placed.select("id", "family").join(roots.withColumnRenamed("vertex", "id"), "id", "left")
+    rooted = materialize(rooted.withColumn("component", F.coalesce("component", "id")), "jaccard-rooted")
     main = (
         rooted.groupBy("family", "component").agg(F.count("*").alias("k"))
         .groupBy("family").agg(F.max_by("component", F.struct("k", "component")).alias("main"))
     )
-    rest = rooted.join(main, "family").where("component <> main").select("id")
-    probes = large.join(rest, "id", "left_semi").withColumn("chunk", everywhere).withColumn("probe", F.lit(1))
-    second = materialize(_run_blocks(large.unionByName(probes)), "jaccard-rest")
+    rest = join_few(rooted, materialize(main, "jaccard-main"), "family", salt).where("component <> main").select("id")
+    rest = placed.join(few_broadcast(materialize(rest, "jaccard-rest-ids"), BROADCAST_IDS), "id", "left_semi")
+    probes = _near_chunks(rest, bands).withColumn("probe", F.lit(1))
+    asked = probes.select("family", "band", "chunk").distinct().withColumn("at", F.struct("family", "band", "chunk")).select("at")
+    asked = materialize(asked, "jaccard-asked")  # chunks that nobody asks are not built again
+    again = join_few(own.withColumn("at", F.struct("family", "band", "chunk")), asked, "at", salt, "left_semi").drop("at")
+    second = materialize(_run_blocks(again.unionByName(probes)), "jaccard-rest")
+    discard(stored, placed, rooted)
     return near.unionByName(second)
 
 
+def _near_chunks(rows: DataFrame, bands: DataFrame) -> DataFrame:
+    """Each set once for every chunk of its band and of the two beside it."""
+    there = F.explode(F.array(*[F.struct("family", (F.col("band") + k).cast("int").alias("band")) for k in (-1, 0, 1)]))
+    moved = rows.drop("chunk").withColumn("at", there).drop("band")
+    met = join_few(moved, bands, "at", F.xxhash64("id"))
+    return met.select("id", "family", F.col("at.band").alias("band"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).alias("chunk"), "shingles")
+
+
 def _run_blocks(rows: DataFrame) -> DataFrame:
-    return rows.select("id", "family", "chunk", "shingles", "probe").groupBy("family", "chunk").applyInPandas(_block, "a long, b long")
+    return rows.select("id", "family", "band", "chunk", "shingles", "probe").groupBy("family", "band", "chunk").applyInPandas(_block, "a long, b long")
 
 
 def keep_one_per_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of ``docs`` whose id is the least of its component; texts without words stay."""
+    """Rows of ``docs`` whose id is the least of its component.
+
+    Texts without words and rows without an id stay.  Rows that repeat an id stand
+    or fall together: all go if one of them has a lesser id in its group.  All
+    columns are kept, whatever their names; an empty table gives an empty result.
+    """
     groups = jaccard_components(docs, id_col, text_col)
     drop = materialize(groups.where(F.col(id_col) != F.col("component_id")).select(id_col).distinct(), "jaccard-drop")
-    return docs.join(_small_enough(drop), id_col, "left_anti")
+    return docs.join(few_broadcast(drop, BROADCAST_IDS), id_col, "left_anti").select(docs.columns)
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+#: Every pair of documents that share a shingle is counted, so this is for small tables.
+OP2_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+     s AS MATERIALIZED (SELECT DISTINCT doc_id, CASE WHEN len(w) >= 5 THEN unnest([array_to_string(w[i:i + 4], ' ') FOR i IN range(1, greatest(len(w) - 3, 2))])
+                                                     ELSE '#' || array_to_string(w, ' ') END AS g FROM w WHERE len(w) > 0),
+     n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+     e AS MATERIALIZED (SELECT a, b FROM (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS k FROM s x JOIN s y ON x.g = y.g AND x.doc_id <> y.doc_id GROUP BY 1, 2) p
+       JOIN n ON n.doc_id = p.a JOIN n m ON m.doc_id = p.b WHERE 100 * k >= 75 * (n.n + m.n - k)),
+     r(v, l) AS (SELECT a, a FROM e UNION SELECT e.b, r.l FROM r JOIN e ON e.a = r.v AND e.b >= r.l)
+SELECT doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(c.l, doc_id) AS component_id
+FROM documents LEFT JOIN n USING (doc_id) LEFT JOIN (SELECT v AS doc_id, min(l) AS l FROM r GROUP BY 1) c USING (doc_id)
+"""

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as contract
 from reuse_engine.llm import chat_format, decontaminate, html_extract, jaccard_join, language_id, line_dedup, piece_codec, quality_gam, quality_rules, warc
+from reuse_engine import storage
 from tests.conftest import SMALL
 
 DOC = "doc_id long, text string, lang string, source string, n_chars long"
@@ -39,7 +40,7 @@ def none(spark):
 # --- 1 ---------------------------------------------------------------------------------------
 
 
-@pytest.mark.parametrize("name", ["op1_benchmark_decontamination", "op5_line_dedup", "op7_chat_formatting"])
+@pytest.mark.parametrize("name", ["op1_benchmark_decontamination", "op2_ngram_jaccard_join", "op5_line_dedup", "op7_chat_formatting", "op9_warc", "quality_base_measures"])
 def test_sql_agrees(spark, duck, same_rows, name):
     same_rows(contract.queries()[name](spark, SMALL), duck.sql(contract.oracle_sql()[name]).df())
 
@@ -94,9 +95,14 @@ def family(rng, base, n, edits):
     return out
 
 
-@pytest.mark.parametrize(("chunk", "small", "seed"), [(1024, 128, 1), (7, 3, 2), (5, 2, 3)])
-def test_jaccard_join_against_brute_force(spark, monkeypatch, chunk, small, seed):
-    """Small limits drive the stars, the chunks and the second probing."""
+@pytest.mark.parametrize(("chunk", "small", "seed", "listed"), [(1024, 128, 1, 10**6), (7, 3, 2, 10**6), (5, 2, 3, 0), (7, 3, 4, 300)])
+def test_jaccard_join_against_brute_force(spark, monkeypatch, chunk, small, seed, listed):
+    """Small limits drive the stars, the chunks, the second probing, salted joins and the buckets of the order."""
+    monkeypatch.setattr(jaccard_join, "ORDER_LIMIT", max(listed, 1))
+    monkeypatch.setattr(jaccard_join, "COUNTED", 500 if seed == 4 else 4_000_000)
+    if not listed:
+        monkeypatch.setattr(storage, "BROADCAST_ROWS", 0)
+        monkeypatch.setattr(jaccard_join, "BROADCAST_IDS", 0)
     monkeypatch.setattr(jaccard_join, "CHUNK", chunk)
     monkeypatch.setattr(jaccard_join, "SMALL", small)
     monkeypatch.setattr(jaccard_join, "HUBS", 2)
@@ -187,18 +193,103 @@ def test_html_boilerplate_by_host(spark):
 
 @pytest.mark.parametrize("inline", [20_000, 0])
 def test_html_counts_pages_over_the_host(spark, monkeypatch, inline):
-    monkeypatch.setattr(html_extract, "INLINE_WINDOWS", inline, raising=False)
+    """The same result for any chunk; what stands in an article stays, however often it is repeated."""
+    monkeypatch.setattr(html_extract, "INLINE_WINDOWS", inline)
     rng = random.Random(7)
     words = lambda n: " ".join(f"u{rng.randrange(10**6)}" for _ in range(n))
     promo, notice = "join our community of readers and never miss a story again", "this notice stands in the articles of the host today"
     unique = [words(60) for _ in range(80)]
     rows = [(i, f"https://open.example/{i}", page(f"<div><p>{unique[i]}</p>{f'<p>{promo}</p>' if i % 8 == 0 else ''}</div>")) for i in range(40)]
     rows += [(i, f"https://sure.example/{i}", page(f"<article><p>{unique[i]}</p>{f'<p>{notice}</p>' if i % 2 else ''}</article>")) for i in range(40, 80)]
-    for chunk in (256, 10):
+    want = {i: unique[i] + (f"\n\n{notice}" if i >= 40 and i % 2 else "") for i in range(80)}
+    for chunk in (256, 16, 10):
+        got = {r["page_id"]: r["text"] for r in html_extract.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), chunk).collect()}
+        assert got == want
+
+
+def test_html_rare_repeats_on_a_large_host(spark):
+    """Eight of a thousand pages share a sentence: one chunk or many, it goes."""
+    rng = random.Random(17)
+    words = lambda n: " ".join(f"u{rng.randrange(10**6)}" for _ in range(n))
+    shared, unique = "a sentence that only eight pages of this host have in common", [words(12) for _ in range(1000)]
+    rows = [(i, f"https://h.example/{i}", f"<p>{u}</p>{f'<p>{shared}</p>' if i % 125 == 0 else ''}") for i, u in enumerate(unique)]
+    for chunk in (2000, 256):
         got = {r["page_id"]: r["text"] for r in html_extract.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), chunk).collect()}
         assert got == dict(enumerate(unique))
 
 
+@pytest.mark.parametrize(
+    ("html", "want"),
+    [
+        ("<article><p>T</p><div class='share-price'><p>12</p></div><p class='related-work'>r</p><p class='side-effects'>s</p><p id='comment-on-law'>c</p><p>keep</p></article>", "T 12 r s c keep"),
+        ("<article><p>T</p><div class='ad'>x</div><div class='cookie-notice'>x</div><ul id=comment-list><li>x</ul><article class='comment'><p>x</p></article><p>keep</p></article>", "T keep"),
+        ("<article class=comment>reader</article><p>outside</p>", "outside"),
+        ("<article><pre><span class='token comment'># code</span> x</pre></article>", "# code x"),
+        ("<p>x<y and z</p>", "x<y and z"),
+        ("<p>a <!-- never closed <b>b</b></p>", "a b"),
+        ("<!--><p>after</p><!-- <p>no</p> --!><p>too</p>", "after too"),
+        ("<p title='a>b'>q</p><a title=it's>z</a>", "q z"),
+        ("<p>one <script>if (a < b) '</p>'</script>two</p><style>p{}</style>", "one two"),
+        ("<div hidden>h</div><div style='display: none'>n</div><div role=navigation>m</div>ok", "ok"),
+        ("<p>a &amp;lt; &#x41;&nbsp;&#10;b", "a &lt; A b"),
+    ],
+)
+def test_html_blocks(html, want):
+    assert " ".join(t for t, _ in html_extract.blocks_of(html)) == want
+
+
+def test_html_scanner_is_linear():
+    import time
+
+    for part in ("<p ", '<p a="', "<a \"", "<!--", "<![CDATA[", "<b a=b =\"", "<", "</p ", "<p><b>", "<script "):
+        text = part * (1_000_000 // len(part))
+        began = time.process_time()
+        html_extract.blocks_of(text)
+        assert time.process_time() - began < 2, part
+
+
+def test_html_awkward(spark):
+    """Repeated rows, a very long page, null ids, clashing columns, an empty table."""
+    long = " ".join(f"w{i}" for i in range(300_000))
+    rows = [(1, "http://a/1", "<p>x</p>"), (1, "http://a/1", "<p>x</p>"), (2, "http://a/2", f"<article>{long}</article>"), (None, None, "<p>n</p>"), (3, None, None)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for c in ("id", "host", "pages", "texts", "sure", "chunk", "window", "text", "n_chars"):
+        pages = pages.withColumn(c, F.lit("clash"))
+    for chunk in (256, 1):
+        got = sorted((r["page_id"] or 0, r["text"], r["n_chars"]) for r in html_extract.extract_pages(pages, chunk).collect())
+        assert got == [(0, "n", 1), (1, "x", 1), (1, "x", 1), (2, long, len(long)), (3, "", 0)]
+        assert html_extract.extract_pages(pages.limit(0), chunk).count() == 0
+
+
+def brute_host(pages):
+    """Texts of one host's open pages by exhaustive search: runs of six words on four pages go."""
+    split = [[t.split(" ") for t in p] for p in pages]
+    holders = {}
+    for i, p in enumerate(split):
+        for w in p:
+            for k in range(len(w) - 5):
+                holders.setdefault(tuple(w[k : k + 6]), set()).add(i)
+    out = []
+    for p in split:
+        kept = []
+        for w in p:
+            gone = {j for k in range(len(w) - 5) if len(holders[tuple(w[k : k + 6])]) >= 4 for j in range(k, k + 6)}
+            left = " ".join(x for j, x in enumerate(w) if j not in gone)
+            kept += [left] if left else []
+        out.append("\n\n".join(kept or [" ".join(w) for w in p]))
+    return out
+
+
+@pytest.mark.parametrize("chunk", [256, 4])
+def test_html_against_exhaustive_search(spark, chunk):
+    rng = random.Random(11)
+    for seed in range(3):
+        pages = [[" ".join(rng.choices("abcd"[: 2 + seed], k=rng.randint(1, 14))) for _ in range(rng.randint(1, 4))] for _ in range(25)]
+        rows = [(i, f"http://h/{i}", "".join(f"<p>{b}</p>" for b in p)) for i, p in enumerate(pages)]
+        got = {r["page_id"]: r["text"] for r in html_extract.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), chunk).collect()}
+        assert [got[i] for i in range(25)] == brute_host(pages)
+
+
 @pytest.mark.parametrize("chunk", [256, 10])
 def test_html_short_pages_keep_only_their_own_words(spark, chunk):
     rng = random.Random(8)
@@ -210,14 +301,17 @@ def test_html_short_pages_keep_only_their_own_words(spark, chunk):
     assert got == {**dict(enumerate(unique)), **{30 + i: site for i in range(5)}}
 
 
-def test_suffix_groups_against_brute_force():
+def test_suffix_array_against_brute_force():
     import numpy as np
 
     rng = random.Random(6)
-    tokens = np.array([rng.randrange(3) for _ in range(300)])
-    _, rank = html_extract.suffix_ranks(tokens, 6)
-    keys = [tuple(tokens[i : i + 6]) for i in range(300)]
-    assert all((rank[i] == rank[j]) == (keys[i] == keys[j]) and (rank[i] < rank[j]) == (keys[i] < keys[j]) for i in range(0, 300, 7) for j in range(300))
+    for _ in range(20):
+        tokens = [rng.randrange(3) for _ in range(rng.randint(1, 120))]
+        order, shared = html_extract.suffix_array(np.array(tokens))
+        assert order.tolist() == sorted(range(len(tokens)), key=lambda i: tokens[i:])
+        for i in range(1, len(tokens)):
+            a, b = tokens[order[i - 1] :], tokens[order[i] :]
+            assert shared[i] == next((k for k, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
 
 
 # --- 5 ---------------------------------------------------------------------------------------
@@ -247,13 +341,16 @@ def test_lines_proven_elsewhere_go_from_heavy_documents(spark, monkeypatch, inli
     got = {r["doc_id"]: (r["text"], r["n_removed"]) for r in line_dedup.strip_boilerplate(docs_of(spark, texts, sources=sources)).collect()}
     assert all(got[i] == (long.format(i), 1) for i in range(12)) and all(got[i] == (texts[i], 0) for i in range(12, 24))
     assert got[24] == ("short own", 1) and got[25] == (foot, 0) and got[26] == (family[0], 1)
+    monkeypatch.setattr(storage, "BROADCAST_ROWS", 0)
+    again = {r["doc_id"]: (r["text"], r["n_removed"]) for r in line_dedup.strip_boilerplate(docs_of(spark, texts, sources=sources)).collect()}
+    assert again == got
 
 
 def test_sketch_decides_like_exact_counts(spark):
     rows = [(line, s) for line, n in ((1, 7), (2, 8), (3, 9), (4, 200), (5, 1)) for s in range(n)]
     texts = [(f"line {a}\nown {a} {s}", f"site{s}") for a, s in rows]
     d = spark.createDataFrame([(i, t, "en", s, 0) for i, (t, s) in enumerate(texts)], DOC)
-    found = line_dedup.boilerplate_lines(d)
+    found = line_dedup.candidate_lines(d)
     names = {r[0]: i for i in range(1, 6) for r in spark.sql(f"select xxhash64('line {i}')").collect()}
     assert {names[r["line"]] for r in found.collect()} == {2, 3, 4}
 
@@ -367,16 +464,30 @@ def test_code_lengths_against_brute_force():
 
     texts = [b"the cat sat on the mat and the rat", b"a different text, 42!"]
     u, c = np.unique(np.concatenate([language_id._grams(t) for t in texts]), return_counts=True)
-    model = language_id.FrozenModel(["x"], [u], [c])
+    other = np.unique(language_id._grams(bytes(range(256)) * 3), return_counts=True)
+    model = language_id.FrozenModel(["x", "y"], [u, other[0]], [c, other[1]])
     counts = [{} for _ in range(4)]
     for t in texts:
-        s = [model.symbol[b] for b in b"   " + t.lower()]
+        s = list(b"   " + t.lower())
         for i in range(3, len(s)):
             for k in range(4):
                 d = counts[k].setdefault(tuple(s[i - k : i]), {})
                 d[s[i]] = d.get(s[i], 0) + 1
-    for t in (b"the mat", b"Zebra 7 \xc3\xa9", b"c"):
-        assert abs(model.code_lengths(t)[0] - brute_bits(counts, 3, language_id.SYMBOLS, t, model.symbol)) < 0.001 * (len(t) + 1)
+    for t in (b"the mat", b"Zebra 7 \xc3\xa9", b"c", b"the cat \xff\xfe the cat " * 40):
+        assert abs(model.code_lengths(t)[0] - brute_bits(counts, 3, 256, t, range(256))) < 1e-4 * (len(t) + 1)
+        assert np.allclose(model.all_lengths([b"x", t, b"", t])[[1, 3]], model.code_lengths(t))
+
+
+def test_many_languages_and_scripts(spark):
+    """Nine languages of one script each: the order does not fall, and no byte stands for another."""
+    starts = [0x3B1, 0x430, 0x561, 0x5D0, 0x627, 0x905, 0x3042, 0x10D0, 0x61]
+    rng = random.Random(4)
+    text = lambda s: " ".join("".join(chr(s + rng.randrange(20)) for _ in range(rng.randint(2, 8))) for _ in range(30))
+    langs = [f"l{i}" for i in range(9)]
+    learned = docs_of(spark, [text(s) for s in starts for _ in range(6)], [x for x in langs for _ in range(6)])
+    asked = docs_of(spark, [text(s) for s in starts], langs)
+    got = {r["doc_id"]: r["lang_pred"] for r in language_id.identify(asked, language_id.learn(learned)).collect()}
+    assert [got[i] for i in range(9)] == langs
 
 
 def test_language_held_out_accuracy(spark, odd, none):
@@ -393,23 +504,58 @@ def test_language_held_out_accuracy(spark, odd, none):
 # --- 9 ---------------------------------------------------------------------------------------
 
 
-def test_warc_round_trip(spark, tmp_path):
+@pytest.mark.parametrize("limit", [1_000_000, 0])
+def test_warc_round_trip(spark, tmp_path, monkeypatch, limit):
+    monkeypatch.setattr(storage, "BROADCAST_ROWS", limit)
+    long = "<p>long payload</p>" * 200_000
     rows = [(1, "http://a/\r\nX: y", "<p>same</p>"), (2, None, "<p>same</p>"), (3, "u%0A", None), (4, "", ""), (5, "é", "<p>ü\u0000</p>" * 50), (5, "é", "<p>ü\u0000</p>" * 50), (None, "n", "<p>same</p>")]
     rows += [(100 + i, f"http://h/{i}", f"<html><body>page {i} with shared words</body></html>") for i in range(200)]
-    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("digest", F.lit(1)).withColumn("response", F.lit(2))
+    rows += [(400, "http://l/1", long), (401, "http://l/2", long), (402, "http://l/3", long + "x"), (500, "a", "twice the id"), (500, "b", "other payload")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for c in ("digest", "response", "row", "first_id", "target", "record_id", "data", "name"):
+        pages = pages.withColumn(c, F.lit("clash"))
     archives = warc.write_archives(pages)
     for got in (warc.read_archives(archives), _through_files(spark, archives, tmp_path)):
         found = got.collect()
         assert len(found) == len(rows) and all(r["intact"] for r in found)
-        by = {r["page_id"]: r for r in found}
+        by = {(r["page_id"], r["url"]): r for r in found}
         for i, url, html in rows:
             body = (html or "").encode()
-            assert by[i]["payload_bytes"] == len(body) and by[i]["payload_digest"] == warc.base32_sha1(body) and by[i]["url"] == url
-        assert (by[1]["record_type"], by[1]["refers_to"]) == ("revisit", 2) and by[2]["record_type"] == "response"
-        assert (by[3]["record_type"], by[3]["refers_to"]) == ("revisit", 4) and by[5]["record_type"] == "response" and by[None]["record_type"] == "response"
+            assert by[i, url]["payload_bytes"] == len(body) and by[i, url]["payload_digest"] == warc.base32_sha1(body)
+        one = {r["page_id"]: r for r in found}
+        assert (one[1]["record_type"], one[1]["refers_to"]) == ("revisit", 2) and one[2]["record_type"] == "response" and one[None]["record_type"] == "response"
+        assert (one[3]["record_type"], one[3]["refers_to"]) == ("revisit", 4) and one[5]["record_type"] == "response"
+        assert (one[400]["record_type"], one[400]["refers_to"]) == ("revisit", 401) and one[402]["record_type"] == "response"
+        assert len({r["record_id"] for r in found}) == len(set(rows))
     assert warc.read_archives(warc.write_archives(pages.limit(0))).count() == 0
 
 
+def test_warc_damage_is_seen(spark):
+    """A payload that is not the stated one, and revisits of it or of nothing, are not intact; a cut archive is refused."""
+    good, bad = warc.base32_sha1(b"good"), warc.base32_sha1(b"bad")
+    records = [warc.record(1, "u", b"good", None, good), warc.record(2, "u", b"good", None, bad), warc.record(3, "u", b"good", warc.record_urn(1, "u", good), good),
+               warc.record(4, "u", b"bad", warc.record_urn(2, "u", bad), bad), warc.record(5, "u", b"good", "<urn:uuid:none>", good)]
+    archive = warc.pack(records)
+    got = {r["page_id"]: r for r in warc.read_archives(spark.createDataFrame([(bytearray(archive),)], "data binary")).collect()}
+    assert [got[i]["intact"] for i in range(1, 6)] == [True, False, True, False, False]
+    assert got[2]["payload_digest"] == good and got[3]["payload_bytes"] == 4 and got[5]["payload_bytes"] is None
+    with pytest.raises(Exception, match="cut off"):
+        list(warc.unpack(archive[:-3]))
+
+
+def test_warc_reads_in_linear_time():
+    import time
+
+    def took(n):
+        archive = warc.pack([warc.record(i, f"http://h/{i}", (f"<p>{i}</p>" * 150).encode(), None, "D") for i in range(n)])
+        began = time.process_time()
+        assert sum(1 for _ in warc.unpack(archive)) == n
+        return time.process_time() - began
+
+    took(2000)
+    assert took(40_000) < 40 * max(took(4000), 0.004)
+
+
 def _through_files(spark, archives, tmp_path):
     assert warc.export_archives(archives, f"file://{tmp_path}/warc").count() == archives.count()
     return warc.read_archive_files(spark, f"{tmp_path}/warc")
@@ -418,7 +564,7 @@ def _through_files(spark, archives, tmp_path):
 def test_warc_dictionary_and_single_frames():
     import zstandard
 
-    records = [warc.record(i, "u", f"<html>{i} common words in every page of this site</html>".encode() * 3, i, "D") for i in range(300)]
+    records = [warc.record(i, "u", f"<html>{i} common words in every page of this site</html>".encode() * 3, None, "D") for i in range(300)]
     data = warc.pack(records)
     assert list(warc.unpack(data)) == records
     plain = sum(len(zstandard.ZstdCompressor(level=3).compress(r)) for r in records)
