@@ -6,10 +6,9 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 WIDTH = 5
-#: White space of the contracts, and all ASCII that is neither letter nor digit.
+#: White space of the contracts.
 SPACE = r"[\x20\x09-\x0D]"
 NON_SPACE = r"[^\x20\x09-\x0D]"
-SEPARATORS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 
 def words(text: Column, separators: str = SPACE + "+") -> Column:

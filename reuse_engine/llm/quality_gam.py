@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from reuse_engine.llm.language_id import held_out
-from reuse_engine.llm.worker_cache import limit_batches
+from reuse_engine.llm.worker_cache import limit_batches, released
 from reuse_engine.storage import spread
 
 FIT_ROWS = 20_000
@@ -179,6 +179,7 @@ class AdditiveModel:
         return 1 / (1 + np.exp(-z))
 
 
+@released
 def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         rows = [list(features(t)) for t in batch.column(1).to_pylist()]
@@ -204,6 +205,7 @@ def score_quality(docs: DataFrame, model: AdditiveModel, id_col: str = "doc_id",
     limit_batches(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(model)
 
+    @released
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x = np.array([features(t) for t in batch.column(2).to_pylist()], float).reshape(-1, len(FEATURES))

@@ -60,6 +60,53 @@ def test_decontamination_finds_items_in_long_texts(spark, odd, none):
     assert decontaminate.contained_items(odd, spark.createDataFrame([(1, "one two three four"), (2, "B c d e f g")], "item_id long, text string")).count() == 3
 
 
+def test_decontamination_near_the_threshold(spark):
+    """Items of all partitions with a little over and a little under 3/4 of their shingles in a long text."""
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choices("abcdefghij", k=6))
+    items, texts, want = [], [], set()
+    for n in (20, 60, 110, 300, 700):
+        for share in (0.78, 0.78, 0.72):
+            w = [word() for _ in range(n)]
+            kept = round(share * (n - 4)) + 4
+            texts.append(" ".join([word() for _ in range(400)] + w[:kept] + [word() for _ in range(400)]))
+            if 4 * (kept - 4) >= 3 * (n - 4):
+                want.add((len(items), len(items)))
+            items.append(" ".join(w))
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contained_items(docs_of(spark, texts), bench).collect()}
+    assert got == want and 10 <= len(want) < 15
+    assert [decontaminate.least_hits(k) for k in (32, 48, 64)] == sorted(decontaminate.least_hits(k) for k in (32, 48, 64))
+
+
+def test_decontamination_marks_and_short_items(spark, duck):
+    passage = "the first thing that we saw when the door had opened"
+    texts = [f"He said \u201c{passage.replace(' ', ' \u2014 ')}\u201d.", passage.upper(), "we saw no door", "a b c", "x A-B c y", None, ""]
+    bench = spark.createDataFrame([(1, passage), (2, "A b C"), (3, "saw no"), (4, "\u2026"), (5, None)], "item_id long, text string")
+    docs = docs_of(spark, texts)
+    got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contained_items(docs, bench).collect()}
+    assert got == {(0, 1), (1, 1), (2, 3), (3, 2), (4, 2)}
+    import duckdb
+
+    c = duckdb.connect()
+    c.register("documents", docs.toPandas())
+    c.register("benchmark", bench.toPandas())
+    assert {(r[0], r[1]) for r in c.sql(decontaminate.OP1_SQL).fetchall()} == got
+
+
+def test_filtering_stages_on_awkward_rows(spark, odd, none):
+    """Repeated ids, null ids and clashing columns: all columns stay, and rows are kept as the docstrings say."""
+    bench = spark.createDataFrame([(1, "A b c d e f g h i j")], "item_id long, text string")
+    rest = decontaminate.drop_contaminated(odd, bench)
+    assert rest.columns == odd.columns and rest.count() == odd.count() - 2 and rest.where("doc_id is null").count() == 1
+    kept = jaccard_join.keep_one_per_group(odd)
+    assert kept.columns == odd.columns and kept.count() == odd.count() - 1 and kept.where("doc_id is null").count() == 1
+    known = language_id.keep_identified(odd)
+    assert known.columns == odd.columns and known.where("text is null or trim(text) = ''").count() == 0
+    for stage in (lambda d: decontaminate.drop_contaminated(d, bench), jaccard_join.keep_one_per_group, language_id.keep_identified):
+        assert stage(none).count() == 0 and stage(none).columns == none.columns
+
+
 # --- 2 ---------------------------------------------------------------------------------------
 
 
@@ -159,6 +206,44 @@ def test_quality_rules_keep_clean_documents(spark):
     assert got[got.quality == 1].kept.mean() > 0.98 and got[got.quality == 0].kept.mean() < 0.2
 
 
+def test_estimation_against_brute_force(spark):
+    """Expectation-maximisation on vote patterns equals the same rounds on single documents."""
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    good = rng.random(600) < 0.85
+    right = [(0.98, 0.9), (0.9, 0.6), (0.97, 0.3), (0.8, 0.5)]
+    votes = np.stack([np.where(rng.random(600) < np.where(good, g, b), good, ~good).astype(int) for g, b in right], 1)
+    votes[rng.random(votes.shape) < 0.2] = -1
+    rows = [([None if v < 0 else int(v) for v in row],) for row in votes]
+    patterns = spark.createDataFrame(rows, "votes array<tinyint>").groupBy("votes").agg(F.count("*").alias("n"))
+    model = quality_rules.estimate(patterns, 4)
+
+    prior, k = quality_rules.PRIOR_VOTES, 4
+    pi, rg, rb = quality_rules.START_GOOD, np.full(k, quality_rules.START_RIGHT_GOOD), np.full(k, quality_rules.START_RIGHT_BAD)
+    for _ in range(quality_rules.ROUNDS):
+        odds = np.log(pi / (1 - pi)) + np.where(votes == 1, np.log(rg / (1 - rb)), np.where(votes == 0, np.log((1 - rg) / rb), 0)).sum(1)
+        p = 1 / (1 + np.exp(-odds))
+        was = [pi, *rg, *rb]
+        yes, no = votes == 1, votes == 0
+        pi = (p.sum() + prior * quality_rules.START_GOOD) / (len(p) + prior)
+        rg = ((yes.T @ p) + prior * quality_rules.START_RIGHT_GOOD) / ((yes | no).T @ p + prior)
+        rb = ((no.T @ (1 - p)) + prior * quality_rules.START_RIGHT_BAD) / ((yes | no).T @ (1 - p) + prior)
+        if max(abs(a - b) for a, b in zip(was, [pi, *rg, *rb], strict=True)) < quality_rules.SETTLED:
+            break
+    assert np.allclose([model.good, *model.right_good, *model.right_bad], [pi, *rg, *rb], atol=1e-6)
+    # estimates are those of the votes, not of a bound: rules differ, and the good rule is told from the weak one
+    assert model.right_bad[0] > model.right_bad[1] > model.right_bad[2] and model.right_good[3] < 0.9
+
+
+def test_posterior_is_not_all_must_pass(spark):
+    d = "/root/testdata/sf0.01"
+    got = contract.queries()["op3_quality_rules"](spark, d).join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id", "left").where("not base_failed").toPandas()
+    assert (got.kept & ~got.all_passed).sum() > 30 and not (~got.kept & got.all_passed).any()
+    sound = got[got.quality == 1]
+    assert sound.kept.mean() > sound.all_passed.mean() + 0.05
+
+
 # --- 4 ---------------------------------------------------------------------------------------
 
 
@@ -424,6 +509,19 @@ def test_chat_round_trip_and_states(spark):
     assert chat_format.format_conversations(empty).count() == 0
 
 
+def test_chat_awkward(spark):
+    """Long texts, clashing columns, and conversations whose rows all repeat."""
+    long = "</s>[INST] <s> \\ word " * 20_000
+    rows = [(1, 0, "user", long), (1, 1, "assistant", long)] + [(2, 0, "user", "q"), (2, 1, "assistant", "a")] * 2
+    given = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    for c in ("turns", "t", "state", "segments", "formatted", "back", "loss"):
+        given = given.withColumn(c, F.lit("clash"))
+    done = chat_format.format_conversations(given).withColumn("back", chat_format.read_back(F.col("formatted")))
+    got = {r["conv_id"]: r for r in done.withColumn("loss", chat_format.learned_text(F.col("back"))).collect()}
+    assert got[1]["loss"] == long and [b["text"] for b in got[1]["back"]] == [long, long] and got[1]["valid"]
+    assert got[2]["loss"] == "aa" and len(got[2]["back"]) == 4 and got[2]["state"] == "refused"
+
+
 def test_chat_digests(spark):
     row = contract.queries()["op7_chat_formatting"](spark, SMALL).where("conv_id = -7").first()
     t = "</s>[INST] ok [/INST]"
@@ -586,6 +684,15 @@ def test_quality_model_held_out(spark, odd, none):
     assert quality_gam.score_quality(none, quality_gam.fit_quality(none, labels)).count() == 0
 
 
+def test_repeated_labels_of_an_id(spark):
+    """The largest label of an id counts, so the order of repeated label rows does not matter."""
+    docs = docs_of(spark, [("good words " if i % 2 else "## $$ ") * 20 for i in range(60)])
+    once = spark.createDataFrame([(i, i % 2, 0) for i in range(60)], "doc_id long, quality int, toxic int")
+    twice = once.unionByName(once.where("quality = 1").withColumn("quality", F.lit(0))).unionByName(once)
+    scores = [sorted((r["doc_id"], r["score"]) for r in quality_gam.score_quality(docs, quality_gam.fit_quality(docs, lab)).collect()) for lab in (once, twice)]
+    assert scores[0] == scores[1] and all((s >= 0.5) == (i % 2 == 1) for i, s in scores[0])
+
+
 def test_additive_model_learns_an_interaction():
     import numpy as np
 
