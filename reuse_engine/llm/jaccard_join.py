@@ -49,7 +49,7 @@ ORDER_LIMIT, BUCKETS = 1_000_000, 1 << 18
 #: Shingles found in up to so many prefixes give all their pairs, others a star.
 SMALL = 128
 #: Sets, and shingles of all sets, in one block.
-CHUNK, CHUNK_SHINGLES = 1024, 4_000_000
+CHUNK, CHUNK_SHINGLES = 256, 4_000_000
 #: Sets of a band that every chunk near it is probed with first.
 HUBS = 8
 #: Sizes of one band are within this ratio, a little more than 4/3.
