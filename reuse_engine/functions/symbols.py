@@ -17,9 +17,23 @@ def piece_hash(piece: Column, algo: str = "md5", digest_chars: int = 8) -> Colum
         return F.crc32(piece)
     if algo == "xxhash64":
         return F.pmod(F.xxhash64(piece), F.lit(1 << 32))
+    if algo == "fnv1a32":
+        return fnv1a32(piece)
     raise ValueError(f"unknown digest {algo}")
 
 
+#: Fixed values of the 32-bit FNV-1a hash.
+FNV_START, FNV_PRIME = 2166136261, 16777619
+
+
+def fnv1a32(text: Column) -> Column:
+    """32-bit FNV-1a of the UTF-8 bytes, folded byte by byte."""
+    digits = F.hex(F.encode(text, "UTF-8"))
+    octets = F.filter(F.split(F.regexp_replace(digits, "(..)", "$1 "), " "), lambda x: x != "")
+    step = lambda h, x: (h.bitwiseXOR(F.conv(x, 16, 10).cast("bigint")) * FNV_PRIME).bitwiseAND(F.lit(0xFFFFFFFF))
+    return F.aggregate(octets, F.lit(FNV_START).cast("bigint"), step)
+
+
 def symbol(number: Column) -> Column:
     return F.substr(F.lit(ALPHABET), (number % 64 + 1).cast("int"), F.lit(1))
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from reuse_engine.storage import few_broadcast, materialize
+
 #: Kind: pattern whose matches count. Fixed values.
 PATTERNS = {
     "email": r"[A-Za-z0-9._-]+@[A-Za-z0-9.]+",
@@ -12,28 +14,54 @@ PATTERNS = {
     "phone": r"[+]1 [(][0-9]{3}[)] [0-9]{3}-[0-9]{4}",
     "secret": r"(?:token|key|secret|password) *[=:]",
 }
-#: Catalogue passages that may be broadcast for the containment join.
-PASSAGE_LIMIT = 100_000
+#: Words of a passage by which it is looked up, and characters where it has too few words.
+ANCHOR_WORDS, ANCHOR_CHARS = 3, 8
+
+
+def _word_windows(words: Column, k: int) -> Column:
+    """Distinct hashes of the windows of ``k`` words."""
+    at = F.transform(F.sequence(F.lit(0), F.size(words) - k), lambda i: F.xxhash64(*[F.get(words, i + j) for j in range(k)]))
+    return F.when(F.size(words) >= k, F.array_distinct(at)).otherwise(F.array().cast("array<bigint>"))
+
+
+def passages_held(payloads: DataFrame, passages: DataFrame) -> DataFrame:
+    """(unit_id, passage): passages, of any length, that stand in a payload as substrings.
+
+    The words inside a passage, between its first and its last space, are words of
+    every payload that holds it, so a window of them is looked up by equality; a
+    passage with fewer inner words is looked up by characters, which costs a row per
+    character and is done only if there is one.  Only ids and hashes are joined;
+    payloads come back for the rows that met, and containment is tested on these.
+    """
+    given = passages.where(F.col("text") != "").select(F.col("text").alias("passage")).distinct()
+    inner = F.filter(F.slice(F.split("passage", " "), 2, F.greatest(F.size(F.split("passage", " ")) - 2, F.lit(0))), lambda w: w != "")
+    given = materialize(given.withColumn("inner", inner).withColumn("by_words", F.size("inner") >= ANCHOR_WORDS), "passages")
+    heads = given.where("by_words").select("passage", F.get(_word_windows(F.col("inner"), ANCHOR_WORDS), F.lit(0)).alias("h"))
+    words = payloads.select("unit_id", F.filter(F.split("payload", " "), lambda w: w != "").alias("w"))
+    met = words.select("unit_id", F.explode_outer(_word_windows(F.col("w"), ANCHOR_WORDS)).alias("h")).join(few_broadcast(heads), "h").select("unit_id", "passage")
+    few = given.where(~F.col("by_words"))
+    if few.head(1):
+        k = min(ANCHOR_CHARS, few.agg(F.min(F.length("passage"))).first()[0])
+        starts = F.sequence(F.lit(1), F.length("payload") - k + 1)
+        parts = F.when(F.length("payload") >= k, F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.substr(F.col("payload"), i, F.lit(k))))))
+        by_chars = few.select("passage", F.xxhash64(F.substring("passage", 1, k)).alias("h"))
+        met = met.unionByName(payloads.select("unit_id", F.explode_outer(parts).alias("h")).join(few_broadcast(by_chars), "h").select("unit_id", "passage"))
+    met = materialize(met.distinct(), "passages-met")
+    whole = payloads.join(few_broadcast(met.select("unit_id").distinct()), "unit_id", "left_semi")
+    return met.join(whole, "unit_id").where(F.contains("payload", "passage")).select("unit_id", "passage")
 
 
 def scan(payloads: DataFrame, labels: DataFrame, passages: DataFrame) -> DataFrame:
     """(unit_id, ftype, n) with n > 0.
 
     ``payloads``: unit_id, payload of each unit's representative.  ``labels``:
-    unit_id, quality, toxic.  ``passages``: text.  Passages are looked up by their
-    first twelve characters where these occur in the payload, so the join is an
-    equality, and containment is tested on the few rows that meet.
+    unit_id, quality, toxic.  ``passages``: text; empty and null ones say nothing.
     """
     cols = {k: F.regexp_count("payload", F.lit(p)).cast("bigint") for k, p in PATTERNS.items()}
     wide = payloads.select("unit_id", *[c.alias(k) for k, c in cols.items()])
     kinds = ", ".join(f"'{k}', {k}" for k in PATTERNS)
     by_pattern = wide.selectExpr("unit_id", f"stack({len(PATTERNS)}, {kinds}) as (ftype, n)").where("n > 0")
-    heads = passages.where(F.length("text") >= 12).select(F.substring("text", 1, 12).alias("head"), F.col("text").alias("passage")).distinct()
-    if heads.count() <= PASSAGE_LIMIT:
-        heads = F.broadcast(heads)
-    starts = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.length("payload") - 11, F.lit(1))), lambda i: F.substr(F.col("payload"), i, F.lit(12))))
-    met = payloads.select("unit_id", "payload", F.explode_outer(starts).alias("head")).join(heads, "head").where(F.contains("payload", "passage"))
-    held = met.groupBy("unit_id").agg(F.countDistinct("passage").alias("n")).select("unit_id", F.lit("contamination").alias("ftype"), "n")
+    held = passages_held(payloads, passages).groupBy("unit_id").agg(F.count("*").alias("n")).select("unit_id", F.lit("contamination").alias("ftype"), "n")
     marked = labels.selectExpr("unit_id", "stack(2, 'toxic', int(toxic = 1), 'low_quality', int(quality = 0)) as (ftype, n)").where("n > 0")
     return by_pattern.unionByName(held).unionByName(marked.withColumn("n", F.col("n").cast("bigint")))
 
@@ -71,6 +99,15 @@ def classified_pairs(pairs: DataFrame, units: DataFrame, found: DataFrame, count
     return both.withColumn("cls", behaviour(F.col("finds_a"), F.col("finds_b"))).withColumn("same_author", F.col("creator_a") == F.col("creator_b"))
 
 
+def shared_creators(pairs: DataFrame, unit_creators: DataFrame) -> DataFrame:
+    """Pairs with ``same_author``: some creator deployed instances of both units; ``unit_creators``: unit_id, creator."""
+    own = unit_creators.distinct()
+    x = own.select(F.col("unit_id").alias("a"), "creator")
+    y = own.select(F.col("unit_id").alias("b"), "creator")
+    both = pairs.select("a", "b").join(x, "a").join(y, ["b", "creator"]).select("a", "b").distinct().withColumn("hit", F.lit(True))
+    return pairs.select("a", "b").join(both, ["a", "b"], "left").select("a", "b", F.coalesce("hit", F.lit(False)).alias("same_author"))
+
+
 CLASSES = ("neither", "both_same", "one", "overlap", "disjoint")
 
 

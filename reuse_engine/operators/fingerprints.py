@@ -70,6 +70,13 @@ def collision_stats(units: DataFrame, dialect: str) -> DataFrame:
     return found.groupBy(symbol(piece_hash(F.col("piece"))).alias("symbol")).agg(F.count("*").alias("n_pieces"))
 
 
+def collision_rate(stats: DataFrame) -> DataFrame:
+    """Share of pairs of distinct pieces that map to one symbol, beside the share that an even spread gives (1/64)."""
+    sums = stats.agg(F.sum("n_pieces").alias("n_pieces"), F.count("*").alias("n_symbols"), F.sum(F.expr("n_pieces * (n_pieces - 1) div 2")).alias("n_colliding"))
+    rate = F.expr("(10000 * n_colliding) div greatest(n_pieces * (n_pieces - 1) div 2, 1)")
+    return sums.withColumn("rate_bp", rate).withColumn("expected_bp", F.lit(10_000 // 64).cast("bigint"))
+
+
 def compression(fps: DataFrame) -> DataFrame:
     """Fingerprint symbols for each ten thousand characters of code, per corpus and origin."""
     total = fps.groupBy("corpus", "origin").agg(

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from reuse_engine.graph import connected_components
+from reuse_engine.storage import few_broadcast
 
 
 def similarity_graph(pairs: DataFrame, threshold: int = 70) -> DataFrame:
@@ -104,6 +105,31 @@ def suggest_templates(cl: DataFrame, pairs: DataFrame, sizes: DataFrame, top: in
     return pick.select("cluster_id", F.col("p.unit_id").alias("template_unit"), (-F.col("p.s")).alias("score_sum"), F.col("p.n_members").alias("n_members"))
 
 
-def drop_templates(members: DataFrame, catalogue: DataFrame) -> DataFrame:
-    """Members whose unit is no template; ``catalogue``: unit_id."""
-    return members.join(catalogue.select("unit_id").distinct(), "unit_id", "left_anti")
+#: Least units of a cluster that a template stands for, and least bundles that make a unit common.
+TEMPLATE_UNITS, COMMON_BUNDLES = 3, 20
+
+
+def template_catalogue(suggested: DataFrame, members: DataFrame) -> DataFrame:
+    """(unit_id): suggested templates of clusters of ``TEMPLATE_UNITS`` or more, and units that ``COMMON_BUNDLES`` or more bundles hold."""
+    common = members.groupBy("unit_id").agg(F.count("*").alias("n")).where(F.col("n") >= COMMON_BUNDLES).select("unit_id")
+    return suggested.where(F.col("n_members") >= TEMPLATE_UNITS).select(F.col("template_unit").alias("unit_id")).union(common).distinct()
+
+
+def template_units(catalogue: DataFrame, cl: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(unit_id): templates, units of their clusters, and units of a similar pair with one."""
+    listed = few_broadcast(catalogue)
+    mates = cl.join(cl.join(listed, "unit_id", "left_semi").select("cluster_id").distinct(), "cluster_id", "left_semi").select("unit_id")
+    similar = pairs.join(listed.withColumnRenamed("unit_id", "a"), "a", "left_semi").select(F.col("b").alias("unit_id"))
+    similar = similar.union(pairs.join(listed.withColumnRenamed("unit_id", "b"), "b", "left_semi").select("a"))
+    return catalogue.union(mates).union(similar).distinct()
+
+
+def drop_templates(members: DataFrame, templates: DataFrame) -> DataFrame:
+    """Members whose unit is not among ``templates`` (unit_id); a bundle of nothing else is gone."""
+    return members.join(few_broadcast(templates), "unit_id", "left_anti").select("bundle_id", "unit_id")
+
+
+def elimination(members: DataFrame, left: DataFrame) -> DataFrame:
+    """(bundle_id, n_units, n_left, emptied) of every bundle."""
+    n = members.groupBy("bundle_id").agg(F.count("*").alias("n_units")).join(left.groupBy("bundle_id").agg(F.count("*").alias("k")), "bundle_id", "left")
+    return n.select("bundle_id", "n_units", F.coalesce("k", F.lit(0)).alias("n_left"), F.col("k").isNull().alias("emptied"))

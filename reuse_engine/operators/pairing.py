@@ -3,12 +3,13 @@
 Candidates come from one of these plans; all but the last lose nothing that
 their pruning keeps:
 
-``theta``   all pairs of a corpus and origin (the exhaustive baseline);
-``band``    an equi-join on logarithmic length buckets, for the length rule;
+``theta``   all pairs of a corpus and origin over a grid of tasks (the exhaustive baseline);
+``band``    an equi-join on logarithmic buckets of a length or an attribute, for the rules that bound one;
 ``qgram``   an equi-join on the rarest grams of a fingerprint (prefix filter),
             with equality of fingerprints where too few grams are required;
-``minhash`` bands of minimum hashes, for corpora where exact plans cost too much;
-            its loss is measured, not assumed.
+``minhash`` bands of minimum hashes for long fingerprints and the exact plan for
+            short ones, for corpora where exact plans cost too much; its loss is
+            measured, not assumed.
 """
 
 from __future__ import annotations
@@ -19,6 +20,10 @@ from pyspark.sql import functions as F
 from reuse_engine.functions.symbols import bound, reaches, score_bp
 
 THRESHOLD = 70
+#: Rows and columns of the grid that deals all pairs of a corpus.
+GRID = 8
+#: Fingerprints of up to so many symbols are paired exactly beside the lossy plan.
+SHORT = 12
 #: Lengths that may pair lie in one bucket or in neighbours: a bucket spans the least
 #: ratio that the rule allows, less one hundredth for rounding.
 LENGTH_RATIO = 70
@@ -60,8 +65,20 @@ def _times(text: Column, s: Column) -> Column:
 
 
 def theta_candidates(fps: DataFrame, condition: str) -> DataFrame:
-    a, b = _side(fps, "a"), _side(fps, "b")
-    return a.join(b, ["corpus", "origin"]).where(f"unit_id_a < unit_id_b and {condition}")
+    """All pairs, dealt over a grid: units of cell row r meet those of cell column c in one of ``GRID ** 2`` tasks."""
+    deal = F.pmod(F.xxhash64("unit_id"), F.lit(GRID)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(GRID - 1)))
+    dealt = fps.withColumn("own", deal).withColumn("other", every)
+    a = _side(dealt.withColumnRenamed("own", "r").withColumnRenamed("other", "c"), "a", ["r", "c"])
+    b = _side(dealt.withColumnRenamed("own", "c").withColumnRenamed("other", "r"), "b", ["r", "c"])
+    return a.join(b, ["corpus", "origin", "r", "c"]).where(f"unit_id_a < unit_id_b and {condition}").drop("r", "c")
+
+
+def attrs_candidates(fps: DataFrame, condition: str) -> DataFrame:
+    """The attribute rule lets one attribute differ, so of any two one is within the ratio: two band joins hold every pair."""
+    first, second = (band_candidates(fps, condition, by) for by in ("n_ops", "n_bytes"))
+    near = F.expr("10 * least(n_ops_a, n_ops_b) >= 7 * greatest(n_ops_a, n_ops_b)")
+    return first.where(near).unionByName(second.where(~near))
 
 
 def band_candidates(fps: DataFrame, condition: str, by: str = "n_ops", ratio: int = LENGTH_RATIO) -> DataFrame:
@@ -118,25 +135,38 @@ def _complete(fps: DataFrame, ids: DataFrame, condition: str) -> DataFrame:
     return keyed.join(a, ["corpus", "origin", "unit_id_a"]).join(b, ["corpus", "origin", "unit_id_b"]).where(condition)
 
 
-def minhash_candidates(fps: DataFrame, condition: str, bands: int = 20, rows: int = 3, q: int = 2) -> DataFrame:
-    """Pairs that agree on all minimum hashes of one band; lossy."""
-    grams = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.col("fp_len") - q + 1, F.lit(1))), lambda i: F.substr(F.col("fp"), i, F.lit(q))))
-    least = [F.array_min(F.transform(grams, lambda g, s=s: F.xxhash64(g, F.lit(s)))) for s in range(bands * rows)]
+def minhash_candidates(fps: DataFrame, condition: str, threshold: int = THRESHOLD, bands: int = 32, rows: int = 2, q: int = 2) -> DataFrame:
+    """Pairs that agree on all minimum hashes of one band, over numbered grams; lossy.
+
+    A few edits change most grams of a short fingerprint, so pairs with one of up to
+    ``SHORT`` symbols come from the exact plan over the lengths that these can meet.
+    """
+    long = fps.where(F.col("fp_len") > SHORT)
+    starts = F.sequence(F.lit(1), F.greatest(F.col("fp_len") - q + 1, F.lit(1)))
+    grams = F.transform(starts, lambda i: F.substr(F.col("fp"), i, F.lit(q)))
+    ordered = long.withColumn("gs", F.sort_array(grams))
+    nth = F.transform("gs", lambda g, i: F.concat(g, (i - F.array_position("gs", g)).cast("string")))  # place among equal grams
+    least = [F.array_min(F.transform("ns", lambda g, s=s: F.xxhash64(g, F.lit(s)))) for s in range(bands * rows)]
     keys = F.array(*[F.xxhash64(F.lit(i), *least[i * rows : (i + 1) * rows]) for i in range(bands)])
-    keyed = fps.where("fp_len > 0").select("corpus", "origin", "unit_id", F.explode_outer(keys).alias("key"))
-    pairs = keyed.withColumnRenamed("unit_id", "a").join(keyed.withColumnRenamed("unit_id", "b"), ["corpus", "origin", "key"]).where("a < b")
-    return _complete(fps, pairs.select("corpus", "origin", "a", "b").distinct(), condition)
+    keyed = ordered.withColumn("ns", nth).select("corpus", "origin", "unit_id", "fp_len", F.explode_outer(keys).alias("key"))
+    x = keyed.select("corpus", "origin", "key", F.col("unit_id").alias("a"), F.col("fp_len").alias("la"))
+    y = keyed.select("corpus", "origin", "key", F.col("unit_id").alias("b"), F.col("fp_len").alias("lb"))
+    met = x.join(y, ["corpus", "origin", "key"]).where(f"a < b and 100 * least(la, lb) >= {threshold} * greatest(la, lb)")
+    met = _complete(fps, met.select("corpus", "origin", "a", "b").distinct(), condition)
+    short = qgram_candidates(fps.where(F.col("fp_len") <= SHORT * 100 // threshold), condition, threshold)
+    return met.unionByName(short.where(F.least("fp_len_a", "fp_len_b") <= SHORT))
 
 
 def candidate_pairs(fps: DataFrame, how: str = "band", prune: str | None = "length", threshold: int = THRESHOLD) -> DataFrame:
+    """Candidates of a plan under a pruning rule; ``band`` needs a rule that bounds lengths or attributes."""
     condition = prune_condition(prune, threshold)
-    if how == "band" and prune not in ("length", "fp_len", "bag"):
-        how = "theta"  # the rule does not bound lengths, so no bucket holds both
+    if how == "band" and prune in (None, "none"):
+        raise ValueError("without a pruning rule no bucket holds both sides of a pair; use theta or qgram")
     made = {
         "theta": lambda: theta_candidates(fps, condition),
-        "band": lambda: band_candidates(fps, condition) if prune == "length" else band_candidates(fps, condition, "fp_len", threshold),
+        "band": lambda: attrs_candidates(fps, condition) if prune == "attrs" else band_candidates(fps, condition) if prune == "length" else band_candidates(fps, condition, "fp_len", threshold),
         "qgram": lambda: qgram_candidates(fps, condition, threshold),
-        "minhash": lambda: minhash_candidates(fps, condition),
+        "minhash": lambda: minhash_candidates(fps, condition, threshold),
     }[how]()
     if prune == "bag":
         far = bag_bound(F.col("fp_a"), F.col("fp_b"))
@@ -168,15 +198,16 @@ def similar_pairs(
 def compared_counts(fps: DataFrame) -> DataFrame:
     """Units, possible and compared pairs per corpus and origin, from length counts alone.
 
-    The number of compared pairs is a sum over distinct lengths, so it never
-    forms a pair of units.
+    A running total over the distinct lengths says how many units are at most 10/7
+    as long as a given one, so neither pairs of units nor pairs of lengths are formed.
     """
     lengths = fps.where("fp_len > 0").groupBy("corpus", "origin", "n_ops").agg(F.count("*").alias("c"))
-    x = lengths.select("corpus", "origin", F.col("n_ops").alias("n"), F.col("c").alias("cx"))
-    y = lengths.select("corpus", "origin", F.col("n_ops").alias("m"), F.col("c").alias("cy"))
-    pairs = x.join(y, ["corpus", "origin"]).where("n <= m and 10 * n >= 7 * m")
-    compared = pairs.groupBy("corpus", "origin").agg(F.sum(F.expr("case when n = m then cx * (cx - 1) div 2 else cx * cy end")).alias("n_compared"))
-    totals = lengths.groupBy("corpus", "origin").agg(F.sum("c").alias("n_units"))
-    return totals.join(compared, ["corpus", "origin"], "left").select(
-        "corpus", "origin", "n_units", F.expr("n_units * (n_units - 1) div 2").alias("n_possible"), F.coalesce("n_compared", F.lit(0)).alias("n_compared")
+    up = Window.partitionBy("corpus", "origin").orderBy("n_ops").rowsBetween(Window.unboundedPreceding, 0)
+    total = lengths.withColumn("upto", F.sum("c").over(up))
+    marks = total.select("corpus", "origin", F.col("n_ops").alias("at"), F.lit(0).alias("kind"), F.col("c"), F.col("upto"), F.col("upto").alias("mark"))
+    asks = total.select("corpus", "origin", F.expr("(10 * n_ops) div 7").alias("at"), F.lit(1).alias("kind"), "c", "upto", F.lit(None).cast("bigint").alias("mark"))
+    last = Window.partitionBy("corpus", "origin").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0)
+    known = marks.unionByName(asks).withColumn("near", F.last("mark", ignorenulls=True).over(last)).where("kind = 1")
+    return known.groupBy("corpus", "origin").agg(F.sum("c").alias("n_units"), F.sum(F.expr("c * (c - 1) div 2 + c * (near - upto)")).alias("n_compared")).select(
+        "corpus", "origin", "n_units", F.expr("n_units * (n_units - 1) div 2").alias("n_possible"), "n_compared"
     )

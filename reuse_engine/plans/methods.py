@@ -12,7 +12,7 @@ from reuse_engine.operators import fingerprints, homogeneity, pairing, preproces
 from reuse_engine.plans import sqltext as S
 from reuse_engine.plans.registry import query
 from reuse_engine.sources.artifacts import CORPORA, artifacts
-from reuse_engine.storage import materialize
+from reuse_engine.storage import join_few, materialize, shared_table
 
 
 def union(frames: list[DataFrame]) -> DataFrame:
@@ -28,9 +28,15 @@ def units_of(spark: SparkSession, d: str, corpora: list[str], stages: tuple[str,
 
 
 def fingers_of(spark: SparkSession, d: str, corpora: list[str], stages: tuple[str, ...] = preprocess.STAGES, **kw) -> DataFrame:
-    """Written once: the pair plans read it several times, and it is far smaller than the payloads."""
-    made = union([fingerprints.fingers(units_of(spark, d, [c], stages), CORPORA[c], **kw) for c in corpora])
-    return materialize(made, "fingers")
+    """Written once for each corpus and shared by all queries: far smaller than the payloads."""
+    key = (stages, tuple(sorted(kw.items())))
+    return union([shared_table(spark, d, "fingers", (c, *key), lambda c=c: fingerprints.fingers(units_of(spark, d, [c], stages), CORPORA[c], **kw)) for c in corpora])
+
+
+def pairs_of(spark: SparkSession, d: str, corpora: list[str], threshold: int = 70) -> DataFrame:
+    """The stored table of similar pairs under the length rule, by corpus; all later operators read it."""
+    made = lambda c: pairing.similar_pairs(fingers_of(spark, d, [c]), threshold)
+    return union([shared_table(spark, d, "pairs", (c, threshold), lambda c=c: made(c)) for c in corpora])
 
 
 ALL = list(CORPORA)
@@ -150,6 +156,7 @@ _fp_query("m13_fingerprint", ALL)
 _fp_query("m13_fingerprint_digest4", ["documents", "vm"], digest_chars=4)
 _fp_query("m13_fingerprint_crc32", ["documents", "vm"], algo="crc32")
 _fp_query("m13_fingerprint_xxhash64", ["documents", "vm"], algo="xxhash64")
+_fp_query("m13_fingerprint_fnv1a32", ["documents", "vm"], algo="fnv1a32")
 _fp_query("b03_fixed_step", MAIN, method="fixed", step=7)
 _fp_query("b04_random_boundary", MAIN, method="random")
 _fp_query("b05_rolling_trigger", MAIN, method="rolling")
@@ -191,6 +198,12 @@ def _m15(spark, d):
     return a.join(b).select("fp_a", "fp_b", fingerprints.symbol_diff(F.col("fp_a"), F.col("fp_b")).cast("bigint").alias("n_changed"))
 
 
+@query("m16_collision_share", S.with_(S.fingers(["documents"]), f"""SELECT sum(n)::BIGINT AS n_pieces, count(*) AS n_symbols, sum(n * (n - 1) // 2)::BIGINT AS n_colliding,
+  ((10000 * sum(n * (n - 1) // 2)) // greatest(sum(n) * (sum(n) - 1) // 2, 1))::BIGINT AS rate_bp, (10000 // 64)::BIGINT AS expected_bp FROM (SELECT {S.symbol('piece')} AS s, count(*) AS n FROM ({_SCRIPT_PIECES}) GROUP BY 1)"""))
+def _m16_share(spark, d):
+    return fingerprints.collision_rate(fingerprints.collision_stats(units_of(spark, d, ["documents"]), "prose"))
+
+
 @query("m16_collision_rate", S.with_(S.fingers(["documents"]), f"SELECT {S.symbol('piece')} AS symbol, count(*) AS n_pieces FROM ({_SCRIPT_PIECES}) GROUP BY 1"))
 def _m16(spark, d):
     return fingerprints.collision_stats(units_of(spark, d, ["documents"]), "prose")
@@ -201,17 +214,20 @@ def _m17(spark, d):
     return fingerprints.compression(union([fingerprints.fingers(units_of(spark, d, [c]), CORPORA[c]) for c in ALL]))
 
 
-@query("b01_exact_hash", S.with_(S.normalized(MAIN), "SELECT x.corpus, x.artifact_id AS a, y.artifact_id AS b FROM norm x JOIN norm y ON x.corpus = y.corpus AND x.origin = y.origin AND x.runtime_hash = y.runtime_hash AND x.artifact_id < y.artifact_id WHERE x.corpus <> 'pages'"))
+@query("b01_exact_hash", S.with_(S.normalized(["documents", "scripts_week"]), """SELECT corpus, artifact_id AS member, rep, n::BIGINT AS n_group FROM (
+  SELECT corpus, artifact_id, min(artifact_id) OVER w AS rep, count(*) OVER w AS n FROM norm WINDOW w AS (PARTITION BY corpus, origin, runtime_hash)) WHERE n >= 2"""))
 def _b01(spark, d):
-    rows = norm_of(spark, d, ["documents", "scripts_week"]).select("corpus", "origin", "runtime_hash", "artifact_id")
-    both = rows.withColumnRenamed("artifact_id", "a").join(rows.withColumnRenamed("artifact_id", "b"), ["corpus", "origin", "runtime_hash"])
-    return both.where("a < b").select("corpus", "a", "b")
+    """Groups of equal runtimes as members of a representative: all pairs of a group follow from them, and are not formed."""
+    rows = norm_of(spark, d, ["documents", "scripts_week"]).select("corpus", F.struct("corpus", "origin", "runtime_hash").alias("at"), "artifact_id")
+    rows = materialize(rows, "exact-rows")
+    groups = rows.groupBy("at").agg(F.min("artifact_id").alias("rep"), F.count("*").alias("n_group")).where("n_group >= 2")
+    return join_few(rows, materialize(groups, "exact-groups"), "at", F.xxhash64("artifact_id")).select("corpus", F.col("artifact_id").alias("member"), "rep", "n_group")
 
 
 @query("b02_full_edit", S.with_(S.pairs(["scripts_week"]), "SELECT p.a, p.b, levenshtein(x.tok, y.tok) AS full_dist, greatest(length(x.tok), length(y.tok)) AS full_len, p.score_bp FROM pair p JOIN finger x ON x.unit_id = p.a AND x.origin = p.origin JOIN finger y ON y.unit_id = p.b AND y.origin = p.origin"))
 def _b02(spark, d):
     fps = fingers_of(spark, d, ["scripts_week"])
-    pairs = pairing.similar_pairs(fps)
+    pairs = pairs_of(spark, d, ["scripts_week"])
     x, y = fps.select("origin", F.col("unit_id").alias("a"), F.col("tok").alias("ta")), fps.select("origin", F.col("unit_id").alias("b"), F.col("tok").alias("tb"))
     both = pairs.join(x, ["origin", "a"]).join(y, ["origin", "b"])
     return both.select("a", "b", F.levenshtein("ta", "tb").cast("bigint").alias("full_dist"), F.greatest(F.length("ta"), F.length("tb")).cast("bigint").alias("full_len"), "score_bp")
@@ -241,7 +257,7 @@ _pair_query("b06_no_prune", ["documents", "pages"], "theta", None)
 _pair_query("b07_no_erase", ["documents", "pages"], "qgram", "length", stages=("prefix", "trailer"))
 _pair_query("b08_no_strip", ["documents", "pages", "vm"], "qgram", "length", stages=("operands",))
 _pair_query("m22_prune_length", ["documents", "pages"], "band", "length")
-_pair_query("m23_prune_attrs", ["documents", "pages"], "theta", "attrs")
+_pair_query("m23_prune_attrs", ["documents", "pages"], "band", "attrs")
 _pair_query("m24_prune_fp_len", ["documents", "pages"], "band", "fp_len")
 _pair_query("m25_bag_bound", ["documents", "pages"], "band", "bag")
 _pair_query("m26_qgram_count", ["documents", "pages"], "qgram", None)
@@ -272,7 +288,7 @@ def _m30(spark, d):
 
 @query("m40_graph", S.with_(S.pairs(["documents"]), "SELECT p AS vertex, count(*) AS degree, sum(score_bp)::BIGINT AS weight FROM (SELECT a AS p, score_bp FROM pair UNION ALL SELECT b, score_bp FROM pair) GROUP BY 1"))
 def _m40(spark, d):
-    g = homogeneity.similarity_graph(pairing.similar_pairs(fingers_of(spark, d, ["documents"])))
+    g = homogeneity.similarity_graph(pairs_of(spark, d, ["documents"]))
     ends = g.select(F.col("a").alias("vertex"), "score_bp").unionByName(g.select(F.col("b").alias("vertex"), "score_bp"))
     return ends.groupBy("vertex").agg(F.count("*").alias("degree"), F.sum("score_bp").alias("weight"))
 

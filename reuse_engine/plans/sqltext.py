@@ -217,7 +217,7 @@ def findings() -> str:
     by_pattern = " UNION ALL ".join(f"SELECT unit_id, '{k}' AS ftype, len(regexp_extract_all(payload, '{p}')) AS n FROM rep" for k, p in PATTERNS.items())
     return f"""rep AS (SELECT u.unit_id, a.payload FROM unit u JOIN art a ON a.artifact_id = u.unit_id),
 found AS MATERIALIZED (SELECT * FROM ({by_pattern}
-  UNION ALL SELECT unit_id, 'contamination', count(DISTINCT b.text) FROM rep JOIN benchmark b ON length(b.text) >= 12 AND contains(payload, b.text) GROUP BY 1
+  UNION ALL SELECT unit_id, 'contamination', count(DISTINCT b.text) FROM rep JOIN benchmark b ON b.text <> '' AND contains(payload, b.text) GROUP BY 1
   UNION ALL SELECT u.unit_id, 'toxic', toxic FROM unit u JOIN labels ON doc_id::VARCHAR = u.unit_id WHERE toxic = 1
   UNION ALL SELECT u.unit_id, 'low_quality', 1 FROM unit u JOIN labels ON doc_id::VARCHAR = u.unit_id WHERE quality = 0) WHERE n > 0)"""
 

@@ -2,18 +2,21 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import broadcast, pandas_udf, udtf
 
-from reuse_engine.operators import bundles, homogeneity, pairing
+from reuse_engine.functions import symbols
+from reuse_engine.functions.symbols import FNV_PRIME, FNV_START
+from reuse_engine.operators import bundles, findings, homogeneity, pairing
 from reuse_engine.plans import sqltext as S
-from reuse_engine.plans.methods import fingers_of, norm_of, units_of
+from reuse_engine.plans.methods import fingers_of, norm_of, pairs_of, units_of
 from reuse_engine.plans.registry import query
-from reuse_engine.plans.workloads import DUPES, bundle_parts, cluster_parts
+from reuse_engine.plans.workloads import DUPES, bundle_parts, cluster_parts, finding_parts
 from reuse_engine.sources.artifacts import micros
-from reuse_engine.storage import materialize, new_path, table
+from reuse_engine.storage import join_few, materialize, new_path, table
 
 
 def _t(name: str):
@@ -200,10 +203,12 @@ def _(spark, d):
     return table(spark, d, "region").select("r_name").crossJoin(events(spark, d).select("event_type").distinct())
 
 
-@query("q_join_self", "SELECT x.doc_id AS a, y.doc_id AS b FROM documents x JOIN documents y ON md5(x.text) = md5(y.text) AND x.doc_id < y.doc_id")
+@query("q_join_self", "SELECT a, doc_id AS b FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY md5(text)) AS a FROM documents WHERE text IS NOT NULL) WHERE a < doc_id")
 def _(spark, d):
-    x = docs(spark, d).select(F.md5("text").alias("h"), F.col("doc_id").alias("a"))
-    return x.join(x.withColumnRenamed("a", "b"), "h").where("a < b").select("a", "b")
+    """A table joined with its own groups: each copy beside the first of its kind, not all pairs of a group."""
+    x = docs(spark, d).where("text is not null").select(F.md5("text").alias("h"), F.col("doc_id").alias("b"))
+    first = x.groupBy("h").agg(F.min("b").alias("a"), F.count("*").alias("n")).where("n > 1").select("h", "a")
+    return join_few(x, materialize(first, "self-groups"), "h", F.xxhash64("b")).where("a < b").select("a", "b")
 
 
 # --- aggregates -----------------------------------------------------------------------------------
@@ -455,26 +460,27 @@ def _(spark, d):
     return spark.sql("select id as max_len, similarity_bp(3L, id) as bp from range(3, 40)")
 
 
-FNV_START, FNV_PRIME = 2166136261, 16777619
-
-
 def fnv1a32(texts: pd.Series) -> pd.Series:
-    """32-bit FNV-1a of UTF-8 bytes; there is no built-in for it."""
-
-    def one(t: str | None) -> int | None:
-        if t is None:
-            return None
-        h = FNV_START
-        for b in t.encode():
-            h = ((h ^ b) * FNV_PRIME) & 0xFFFFFFFF
-        return h
-
-    return texts.map(one)
+    """32-bit FNV-1a of UTF-8 bytes over a batch: step k folds byte k of every text that has one."""
+    known = texts.dropna()
+    raw = [t.encode() for t in known]
+    sizes = np.array([len(r) for r in raw], np.int64)
+    flat, start = np.frombuffer(b"".join(raw), np.uint8).astype(np.uint64), np.concatenate([[0], np.cumsum(sizes)[:-1]]) if raw else np.zeros(0, np.int64)
+    h = np.full(len(raw), FNV_START, np.uint64)
+    left = np.flatnonzero(sizes > 0)
+    k = 0
+    while len(left):
+        h[left] = ((h[left] ^ flat[start[left] + k]) * np.uint64(FNV_PRIME)) & np.uint64(0xFFFFFFFF)
+        k += 1
+        left = left[sizes[left] > k]
+    return pd.Series(h.astype(np.int64), index=known.index, dtype="Int64").reindex(texts.index)
 
 
 @query("q_udf_scalar")
 def _(spark, d):
-    return units_of(spark, d, ["scripts"]).select("unit_id", "origin", pandas_udf(fnv1a32, "long")("tok").alias("fnv"))
+    """A vectorised function beside the built-in expression for the same hash; ``same`` is true for all."""
+    u = units_of(spark, d, ["scripts"])
+    return u.select("unit_id", "origin", pandas_udf(fnv1a32, "long")("tok").alias("fnv"), symbols.fnv1a32(F.col("tok")).alias("built_in")).withColumn("same", F.col("fnv") == F.col("built_in"))
 
 
 def gini(sizes: pd.Series) -> float:
@@ -545,10 +551,16 @@ def _(spark, d):
 
 
 def register_views(spark: SparkSession, d: str, corpora: list[str]) -> dict[str, DataFrame]:
-    """Temporary views artifacts (normalized), units, fingerprints and pairs."""
-    made = {"artifacts": norm_of(spark, d, corpora), "units": units_of(spark, d, corpora), "fingerprints": fingers_of(spark, d, corpora)}
-    made["pairs"] = pairing.similar_pairs(made["fingerprints"])
+    """Temporary views of all seven tables: artifacts (normalized), units, fingerprints, pairs, clusters, findings and bundles (the last three of documents)."""
+    made = {"artifacts": norm_of(spark, d, corpora), "units": units_of(spark, d, corpora), "fingerprints": fingers_of(spark, d, corpora), "pairs": pairs_of(spark, d, corpora)}
+    made["clusters"], made["findings"], made["bundles"] = cluster_parts(spark, d, "documents")[2], finding_parts(spark, d)[1], bundle_parts(spark, d, "documents")[1]
     for name, df in made.items():
         df.createOrReplaceTempView(name)
     return made
 
+
+@query("q_sql_views_findings", S.with_(f"{S.pairs(['documents'])}, {S.findings()},\n{S.components()}", "SELECT l AS cluster_id, ftype, count(*) AS n_units, sum(n)::BIGINT AS n_findings FROM label JOIN found ON unit_id = v GROUP BY ALL"))
+def _(spark, d):
+    """Findings by cluster, in SQL over the views."""
+    register_views(spark, d, ["documents"])
+    return spark.sql("select cluster_id, ftype, count(*) as n_units, sum(n) as n_findings from clusters join findings using (unit_id) group by cluster_id, ftype")

@@ -5,12 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from reuse_engine import graph
 from reuse_engine.operators import bundles, calibration, findings, homogeneity, pairing, preprocess
 from reuse_engine.plans import sqltext as S
-from reuse_engine.plans.methods import _vm_fp_sql, _vm_fps, _fixture_sql, fingers_of, norm_of, units_of
+from reuse_engine.plans.methods import _vm_fp_sql, _vm_fps, _fixture_sql, fingers_of, norm_of, pairs_of, union, units_of
 from reuse_engine.plans.registry import query
-from reuse_engine.sources.artifacts import artifacts
-from reuse_engine.storage import materialize, table
+from reuse_engine.sources.artifacts import CORPORA, artifacts
+from reuse_engine.storage import materialize, shared_table, table
 
 DUPES = ["scripts", "pages", "documents"]
 PAIRED = ["documents", "pages", "scripts_week"]
@@ -39,6 +40,12 @@ def _c01(spark, d):
     return _w01(spark, d).select("corpus", "origin", "n_artifacts", "n_creators")
 
 
+@query("c02_unfingerprinted", S.with_(S.fingers(PAIRED), "SELECT corpus, origin, count(*) AS n_units, count(*) FILTER (WHERE fp_len = 0) AS n_unfingerprinted FROM finger GROUP BY ALL"))
+def _c02u(spark, d):
+    """Units without a piece, which no pair can hold."""
+    return fingers_of(spark, d, PAIRED).groupBy("corpus", "origin").agg(F.count("*").alias("n_units"), F.count_if(F.col("fp_len") == 0).alias("n_unfingerprinted"))
+
+
 @query("c02_stage_counts", S.with_(S.normalized(DUPES), "SELECT corpus, origin, count(DISTINCT runtime_hash) AS n_stage1, count(DISTINCT token_hash) AS n_stage2 FROM norm GROUP BY ALL"))
 def _c02(spark, d):
     return _w01(spark, d).select("corpus", "origin", "n_stage1", "n_stage2")
@@ -110,7 +117,7 @@ _COUNTS = S.with_(S.compared(PAIRED), """SELECT u.corpus, u.origin, u.n_units, u
 @query("c06_pair_counts", _COUNTS)
 def _w06(spark, d):
     fps = fingers_of(spark, d, PAIRED)
-    similar = pairing.similar_pairs(fps).groupBy("corpus", "origin").agg(F.count("*").alias("n_similar"))
+    similar = pairs_of(spark, d, PAIRED).groupBy("corpus", "origin").agg(F.count("*").alias("n_similar"))
     return pairing.compared_counts(fps).join(similar, ["corpus", "origin"], "left").withColumn("n_similar", F.coalesce("n_similar", F.lit(0)))
 
 
@@ -122,52 +129,66 @@ def _c07(spark, d):
     return joined.selectExpr("corpus", "origin", "(n_possible * 100) div greatest(n_compared, 1) as vs_units_pct", "((n * (n - 1) div 2) * 100) div greatest(n_compared, 1) as vs_raw_pct")
 
 
-_HIST = S.with_(S.compared(PAIRED, None), """SELECT corpus, origin, bin, count(*) AS n_pairs, count(*) FILTER (WHERE kept) AS n_pruned_kept FROM (
-  SELECT c.corpus, c.origin, least(score_bp // 1000, 9) * 10 AS bin, 10 * least(x.n_ops, y.n_ops) >= 7 * greatest(x.n_ops, y.n_ops) AS kept
-  FROM comp c JOIN finger x ON x.unit_id = c.a AND x.corpus = c.corpus AND x.origin = c.origin JOIN finger y ON y.unit_id = c.b AND y.corpus = c.corpus AND y.origin = c.origin) GROUP BY ALL""")
+_HIST = S.with_(S.compared(PAIRED), """SELECT corpus, origin, least(score_bp // 1000, 9) * 10 AS bin, count(*) AS n_pairs FROM comp GROUP BY ALL
+  UNION ALL SELECT u.corpus, u.origin, -1, u.n * (u.n - 1) // 2 - coalesce(c.n, 0) FROM (SELECT corpus, origin, count(*) AS n FROM finger WHERE fp_len > 0 GROUP BY ALL) u
+  LEFT JOIN (SELECT corpus, origin, count(*) AS n FROM comp GROUP BY ALL) c ON c.corpus = u.corpus AND c.origin = u.origin""")
 
 
 @query("w07_score_hist", _HIST)
 @query("c08_score_histogram", _HIST)
 def _w07(spark, d):
-    """Every pair is scored, as the measure asks for; larger corpora take it on a hash sample of units."""
+    """Compared pairs by score, and in bin -1 the pairs that pruning spares, counted from lengths alone."""
     fps = fingers_of(spark, d, PAIRED)
-    kept = F.expr(pairing.prune_condition("length"))
-    c = pairing.candidate_pairs(fps, "theta", None).withColumn("kept", kept).withColumn("max_len", F.greatest("fp_len_a", "fp_len_b"))
-    s = c.withColumn("score_bp", pairing.score_bp(F.levenshtein("fp_a", "fp_b").cast("bigint"), F.col("max_len").cast("bigint")))
-    bins = s.withColumn("bin", F.least(F.expr("score_bp div 1000"), F.lit(9)) * 10)
-    return bins.groupBy("corpus", "origin", "bin").agg(F.count("*").alias("n_pairs"), F.count_if("kept").alias("n_pruned_kept"))
+    s = pairing.scored(pairing.candidate_pairs(fps, "band", "length"))
+    bins = s.groupBy("corpus", "origin", (F.least(F.expr("score_bp div 1000"), F.lit(9)) * 10).alias("bin")).agg(F.count("*").alias("n_pairs"))
+    spared = pairing.compared_counts(fps).select("corpus", "origin", F.lit(-1).cast("bigint").alias("bin"), (F.col("n_possible") - F.col("n_compared")).alias("n_pairs"))
+    return bins.unionByName(spared)
 
 
 @query("c09_identical_fp", S.with_(S.pairs(PAIRED), "SELECT corpus, origin, count(*) FILTER (WHERE dist = 0) AS n_identical FROM pair GROUP BY ALL"))
 def _c09(spark, d):
-    return pairing.similar_pairs(fingers_of(spark, d, PAIRED)).groupBy("corpus", "origin").agg(F.count_if(F.col("dist") == 0).alias("n_identical"))
+    return pairs_of(spark, d, PAIRED).groupBy("corpus", "origin").agg(F.count_if(F.col("dist") == 0).alias("n_identical"))
 
 
 @query("c10_involved", S.with_(S.pairs(PAIRED), "SELECT u.corpus, u.origin, n_units, coalesce(n, 0) AS n_involved, (10000 * coalesce(n, 0)) // n_units AS involved_bp FROM (SELECT corpus, origin, count(*) AS n_units FROM finger GROUP BY ALL) u LEFT JOIN (SELECT corpus, origin, count(DISTINCT v) AS n FROM (SELECT corpus, origin, a AS v FROM pair UNION ALL SELECT corpus, origin, b FROM pair) GROUP BY ALL) p ON p.corpus = u.corpus AND p.origin = u.origin"))
 def _c10(spark, d):
     fps = fingers_of(spark, d, PAIRED)
-    pairs = pairing.similar_pairs(fps)
+    pairs = pairs_of(spark, d, PAIRED)
     ends = pairs.select("corpus", "origin", F.col("a").alias("v")).unionByName(pairs.select("corpus", "origin", F.col("b").alias("v")))
     n = ends.groupBy("corpus", "origin").agg(F.countDistinct("v").alias("n"))
     total = fps.groupBy("corpus", "origin").agg(F.count("*").alias("n_units"))
     return total.join(n, ["corpus", "origin"], "left").select("corpus", "origin", "n_units", F.coalesce("n", F.lit(0)).alias("n_involved"), F.expr("(10000 * coalesce(n, 0)) div n_units").alias("involved_bp"))
 
 
-@query("w24_prune_ablation", " UNION ALL ".join(
-    f"SELECT '{r}' AS prune, corpus, count(*) AS n_compared, count(*) FILTER (WHERE sim) AS n_similar, (SELECT count(*) FROM ({S.with_(S.pairs(['documents', 'pages'], 70, None), 'SELECT corpus FROM pair')}) z WHERE z.corpus = t.corpus) - count(*) FILTER (WHERE sim) AS n_lost FROM ({S.with_(S.compared(['documents', 'pages'], None if r == 'none' else r), 'SELECT corpus, 100 * (max_len - dist) >= 70 * max_len AS sim FROM comp')}) t GROUP BY corpus"
-    for r in ("none", "length", "attrs", "fp_len")))
+#: Least edit distance that symbol counts allow, and a pruning rule by it.
+_BAG = "greatest(" + ", ".join(f"list_sum([greatest(length(x.fp) * 0 + length({p}) - length(replace({p}, s, '')) - (length({q}) - length(replace({q}, s, ''))), 0) FOR s IN list_distinct(string_split({p}, ''))])" for p, q in (("x.fp", "y.fp"), ("y.fp", "x.fp"))) + ")"
+
+
+def _ablation_sql() -> str:
+    every = S.with_(S.pairs(["documents", "pages"], 70, None), "SELECT corpus, count(*) AS n_all FROM pair GROUP BY 1")
+    parts = []
+    for rule in ("none", "length", "attrs", "fp_len", "bag"):
+        ctes = S.compared(["documents", "pages"], None if rule == "none" else "fp_len" if rule == "bag" else rule)
+        keep = f"100 * (max_len - {_BAG}) >= 70 * max_len" if rule == "bag" else "true"
+        body = f"""SELECT '{rule}' AS prune, t.corpus, count(*) AS n_compared, count(*) FILTER (WHERE sim) AS n_similar, any_value(n_all) - count(*) FILTER (WHERE sim) AS n_lost
+          FROM (SELECT c.corpus, 100 * (max_len - dist) >= 70 * max_len AS sim FROM comp c JOIN finger x ON x.unit_id = c.a AND x.corpus = c.corpus AND x.origin = c.origin
+            JOIN finger y ON y.unit_id = c.b AND y.corpus = c.corpus AND y.origin = c.origin WHERE {keep}) t JOIN ({every}) e ON e.corpus = t.corpus GROUP BY t.corpus"""
+        parts.append(f"SELECT * FROM ({S.with_(ctes, body)})")
+    return " UNION ALL ".join(parts)
+
+
+@query("w24_prune_ablation", _ablation_sql())
 def _w24(spark, d):
+    """Pairs that each rule leaves to compare, and similar ones that it loses; only the first row forms all pairs."""
     fps = fingers_of(spark, d, ["documents", "pages"])
-    every = pairing.similar_pairs(fps, how="theta", prune=None).groupBy("corpus").agg(F.count("*").alias("n_all"))
-    out = None
-    for rule in ("none", "length", "attrs", "fp_len"):
-        c = pairing.candidate_pairs(fps, "theta", rule)
-        sim = F.expr("100 * (greatest(fp_len_a, fp_len_b) - levenshtein(fp_a, fp_b)) >= 70 * greatest(fp_len_a, fp_len_b)")
+    every = pairing.similar_pairs(fps, how="qgram", prune=None).groupBy("corpus").agg(F.count("*").alias("n_all"))
+    sim = F.expr("100 * (greatest(fp_len_a, fp_len_b) - levenshtein(fp_a, fp_b)) >= 70 * greatest(fp_len_a, fp_len_b)")
+    out = []
+    for rule in ("none", "length", "attrs", "fp_len", "bag"):
+        c = pairing.candidate_pairs(fps, "theta" if rule == "none" else "band", rule)
         part = c.groupBy("corpus").agg(F.count("*").alias("n_compared"), F.count_if(sim).alias("n_similar")).join(every, "corpus")
-        part = part.select(F.lit(rule).alias("prune"), "corpus", "n_compared", "n_similar", (F.col("n_all") - F.col("n_similar")).alias("n_lost"))
-        out = part if out is None else out.unionByName(part)
-    return out
+        out.append(part.select(F.lit(rule).alias("prune"), "corpus", "n_compared", "n_similar", (F.col("n_all") - F.col("n_similar")).alias("n_lost")))
+    return union(out)
 
 
 _LOSS = S.with_(S.compared(["documents", "pages"], None), """SELECT corpus, count(*) AS n_similar, count(*) FILTER (WHERE NOT kept) AS n_lost, (10000 * count(*) FILTER (WHERE NOT kept)) // count(*) AS loss_bp FROM (
@@ -208,6 +229,31 @@ def _m31(spark, d):
     return calibration.sweep(calibration.with_truth(pairing.scored(pairing.candidate_pairs(fps, "band", "length")), fps))
 
 
+@query("m31_best_threshold", f"SELECT threshold, tp, fp, fn, (20000 * tp) // greatest(2 * tp + fp + fn, 1) AS f1_bp FROM ({_SWEEP}) ORDER BY f1_bp DESC, threshold LIMIT 1")
+def _m31_best(spark, d):
+    return calibration.best_threshold(_m31(spark, d))
+
+
+def true_pairs(spark: SparkSession, d: str, c: str) -> DataFrame:
+    """All pairs of units of which token sequences, operands erased, are 70 % alike; no pruning by fingerprint.
+
+    A token is one symbol; the exact plan over grams of symbols finds the pairs.
+    """
+    made = lambda: pairing.similar_pairs(calibration.token_fingers(fingers_of(spark, d, [c]), CORPORA[c]), 70, True, "qgram", None)
+    return shared_table(spark, d, "true-pairs", (c,), made)
+
+
+@query("m31_calibrated")
+def _m31_calibrated(spark, d):
+    """Per corpus the threshold on fingerprint scores that agrees best with the truth on tokens."""
+    out = []
+    for c in PAIRED:
+        scores = pairing.similar_pairs(fingers_of(spark, d, [c]), 40)
+        swept = calibration.sweep_against(scores, true_pairs(spark, d, c))
+        out.append(calibration.best_threshold(swept).select(F.lit(c).alias("corpus"), "*"))
+    return union(out)
+
+
 def _accuracy_sql(corpora: list[str]) -> str:
     parts = []
     for c in corpora:
@@ -217,25 +263,56 @@ def _accuracy_sql(corpora: list[str]) -> str:
     return f"SELECT *, CASE WHEN n_pred > 0 THEN (10000 * n_both) // n_pred END AS precision_bp, CASE WHEN n_true > 0 THEN (10000 * n_both) // n_true END AS recall_bp FROM ({' UNION ALL '.join(parts)})"
 
 
-def _accuracy(spark: SparkSession, d: str, corpora: list[str], methods: tuple[str, ...]) -> DataFrame:
-    out = None
-    for c in corpora:
-        for m in methods:
-            fps = fingers_of(spark, d, [c], method=m)
-            part = calibration.accuracy(calibration.with_truth(pairing.scored(pairing.candidate_pairs(fps, "band", "length")), fps)).select(F.lit(c).alias("corpus"), F.lit(m).alias("method"), "*")
-            out = part if out is None else out.unionByName(part)
-    return out
-
-
 @query("c19_accuracy", _accuracy_sql(["scripts_week"]))
 def _c19(spark, d):
-    return _accuracy(spark, d, ["scripts_week"], ("block", "fixed", "random"))
+    """Accuracy among compared pairs; w23 counts the true pairs that pruning loses too."""
+    out = []
+    for m in ("block", "fixed", "random"):
+        fps = fingers_of(spark, d, ["scripts_week"], method=m)
+        part = calibration.accuracy(calibration.with_truth(pairing.scored(pairing.candidate_pairs(fps, "band", "length")), fps))
+        out.append(part.select(F.lit("scripts_week").alias("corpus"), F.lit(m).alias("method"), "*"))
+    return union(out)
+
+
+#: Baseline: stages, cutting method and pruning rule.
+BASELINES = {
+    "block": (preprocess.STAGES, "block", "length"), "fixed": (preprocess.STAGES, "fixed", "length"), "random": (preprocess.STAGES, "random", "length"),
+    "rolling": (preprocess.STAGES, "rolling", "length"), "no_prune": (preprocess.STAGES, "block", None),
+    "no_erase": (("prefix", "trailer"), "block", "length"), "no_strip": (("operands",), "block", "length"),
+}
 
 
 @query("w23_baselines")
 def _w23(spark, d):
-    """All cutting methods on token sequences mapped to letters, pages and scripts."""
-    return _accuracy(spark, d, ["scripts_week", "pages"], ("block", "fixed", "random", "rolling"))
+    """Every baseline against all true pairs of units, by corpus, with its compression.
+
+    Units of other stages are named by artifacts; a predicted pair counts for the
+    units that hold these, and pairs within one unit are no prediction.  The whole
+    hash pairs nothing but equal token strings, which are one unit.
+    """
+    out = []
+    for c in PAIRED:
+        truth = true_pairs(spark, d, c).select("origin", "a", "b")
+        n_true = truth.agg(F.count("*").alias("n_true"))
+        norm = norm_of(spark, d, [c]).select("origin", "token_hash", "artifact_id")
+        held = norm.join(fingers_of(spark, d, [c]).select("origin", "token_hash", "unit_id"), ["origin", "token_hash"]).select("origin", "artifact_id", "unit_id")
+        held = shared_table(spark, d, "held", (c,), lambda held=held: held)
+        for name, (stages, method, prune) in BASELINES.items():
+            kw = {} if method == "block" else {"method": method}
+            fps = fingers_of(spark, d, [c], stages, **kw)
+            pairs = pairing.similar_pairs(fps, prune=prune).select("origin", "a", "b")
+            if stages != preprocess.STAGES:
+                x, y = (held.select("origin", F.col("artifact_id").alias(s), F.col("unit_id").alias(f"u{s}")) for s in ("a", "b"))
+                pairs = pairs.join(x, ["origin", "a"]).join(y, ["origin", "b"]).where("ua <> ub").select("origin", F.least("ua", "ub").alias("a"), F.greatest("ua", "ub").alias("b")).distinct()
+            marked = pairs.join(truth.withColumn("hit", F.lit(1)), ["origin", "a", "b"], "left")
+            n = marked.agg(F.count("*").alias("n_pred"), F.count("hit").alias("n_both"))
+            size = fps.agg(F.coalesce(F.sum("fp_len"), F.lit(0)).cast("bigint").alias("symbols"), F.coalesce(F.sum("n_bytes"), F.lit(0)).cast("bigint").alias("bytes"))
+            out.append(n.crossJoin(n_true).crossJoin(size).select(F.lit(c).alias("corpus"), F.lit(name).alias("method"), "*"))
+        equal = n_true.select(F.lit(c).alias("corpus"), F.lit("whole_hash").alias("method"), F.lit(0).cast("bigint").alias("n_pred"), F.lit(0).cast("bigint").alias("n_both"), "n_true")
+        sums = fingers_of(spark, d, [c]).agg(F.count("*").alias("symbols"), F.coalesce(F.sum("n_bytes"), F.lit(0)).cast("bigint").alias("bytes"))
+        out.append(equal.crossJoin(sums))
+    share = lambda of: F.when(F.col(of) > 0, F.expr(f"(10000 * n_both) div {of}"))
+    return union(out).select("corpus", "method", "n_pred", "n_true", "n_both", share("n_pred").alias("precision_bp"), share("n_true").alias("recall_bp"), F.expr("(10000 * symbols) div greatest(bytes, 1)").alias("ratio_bp"))
 
 
 # --- clusters -------------------------------------------------------------------------------
@@ -252,11 +329,10 @@ def _cluster_ctes(c: str) -> str:
 def cluster_parts(spark: SparkSession, d: str, c: str) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(fingers, pairs, clusters) of one corpus at its threshold."""
     fps = fingers_of(spark, d, [c])
-    pairs = pairing.similar_pairs(fps, CLUSTERED[c])
+    pairs = pairs_of(spark, d, [c], CLUSTERED[c])
     if c == "scripts_week":
         pairs = pairs.where(F.least("la", "lb") >= MIN_FP)
-    pairs = materialize(pairs, "pairs")
-    return fps, pairs, materialize(homogeneity.clusters(pairs), "clusters")
+    return fps, pairs, shared_table(spark, d, "clusters", (c, CLUSTERED[c]), lambda: homogeneity.clusters(pairs))
 
 
 for _c in CLUSTERED:
@@ -281,6 +357,19 @@ for _c in CLUSTERED:
     query(f"c11_cluster_counts_{_c}", S.with_(_cluster_ctes(_c), "SELECT count(DISTINCT cluster_id) AS n_clusters, count(*) AS n_clustered, (SELECT count(*) FROM finger) - count(*) AS n_isolated FROM cl"))(_run)
 
 _DOC = _cluster_ctes("documents")
+_LABELLED = S.with_(_DOC, "SELECT unit_id, cluster_id FROM cl")
+
+
+@query("m41_label_min", _LABELLED)
+def _m41_min(spark, d):
+    return graph.label_min(pairs_of(spark, d, ["documents"])).toDF("unit_id", "cluster_id")
+
+
+@query("m41_driver_unionfind", _LABELLED)
+def _m41_driver(spark, d):
+    return graph.driver_components(pairs_of(spark, d, ["documents"])).toDF("unit_id", "cluster_id")
+
+
 _SIZES = "sizes AS (SELECT cluster_id, count(*) AS n_units, sum(n_dup)::BIGINT AS n_artifacts FROM cl JOIN finger USING (unit_id) GROUP BY 1)"
 
 
@@ -372,14 +461,57 @@ def _m50(spark, d):
     return homogeneity.suggest_templates(cl, pairs, homogeneity.cluster_sizes(cl, fps))
 
 
-_MEMBERS = "mem AS MATERIALIZED (SELECT DISTINCT n.bundle_id, u.unit_id FROM norm n JOIN unit u ON u.corpus = n.corpus AND u.origin = n.origin AND u.token_hash = n.token_hash)"
+_MEMBERS = "mem0 AS MATERIALIZED (SELECT DISTINCT n.bundle_id, u.unit_id FROM norm n JOIN unit u ON u.corpus = n.corpus AND u.origin = n.origin AND u.token_hash = n.token_hash)"
+#: What is left of bundles: mem is mem0 without templates, units of their clusters, and units that are similar to one.
+_ELIMINATION = f"""med AS MATERIALIZED ({_MEDOID}),
+tmpl AS MATERIALIZED (SELECT template_unit AS unit_id FROM med WHERE n_members >= {homogeneity.TEMPLATE_UNITS} UNION SELECT unit_id FROM mem0 GROUP BY 1 HAVING count(*) >= {homogeneity.COMMON_BUNDLES}),
+alike AS MATERIALIZED (SELECT unit_id FROM tmpl UNION SELECT unit_id FROM cl WHERE cluster_id IN (SELECT cluster_id FROM cl WHERE unit_id IN (SELECT unit_id FROM tmpl))
+  UNION SELECT b FROM pair WHERE a IN (SELECT unit_id FROM tmpl) UNION SELECT a FROM pair WHERE b IN (SELECT unit_id FROM tmpl)),
+mem AS MATERIALIZED (SELECT * FROM mem0 WHERE unit_id NOT IN (SELECT unit_id FROM alike))"""
+_FUNCTIONAL = f"{_DOC}, {_SIZES}, {_MEMBERS}, {_ELIMINATION}"
 
 
-@query("m51_template_filter", S.with_(f"{_DOC}, {_SIZES}, {_MEMBERS}, med AS ({_MEDOID})", "SELECT bundle_id, unit_id FROM mem WHERE unit_id NOT IN (SELECT template_unit FROM med)"))
-@query("m71_template_elimination", S.with_(f"{_DOC}, {_SIZES}, {_MEMBERS}, med AS ({_MEDOID})", "SELECT bundle_id, unit_id FROM mem WHERE unit_id NOT IN (SELECT template_unit FROM med)"))
+def bundle_parts(spark: SparkSession, d: str, corpus: str) -> tuple[DataFrame, DataFrame]:
+    """(members, bundles), templates included."""
+    norm = norm_of(spark, d, [corpus]).drop("tok", "runtime")
+    norm = shared_table(spark, d, "bundle-norm", (corpus,), lambda: norm)
+    units = fingers_of(spark, d, [corpus]).select("corpus", "origin", "token_hash", "unit_id")
+    return shared_table(spark, d, "members", (corpus,), lambda: bundles.members(norm, units)), shared_table(spark, d, "bundles", (corpus,), lambda: bundles.bundle_table(norm))
+
+
+def functional_parts(spark: SparkSession, d: str, corpus: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(members without templates, bundles, similar pairs): what bundles are matched by."""
+    fps, linked, cl = cluster_parts(spark, d, corpus)
+    mem, bun = bundle_parts(spark, d, corpus)
+    pairs = pairs_of(spark, d, [corpus])
+
+    def left() -> DataFrame:
+        catalogue = materialize(homogeneity.template_catalogue(homogeneity.suggest_templates(cl, linked, homogeneity.cluster_sizes(cl, fps)), mem), "templates")
+        return homogeneity.drop_templates(mem, materialize(homogeneity.template_units(catalogue, cl, pairs), "template-units"))
+
+    return shared_table(spark, d, "functional", (corpus,), left), bun, pairs
+
+
+@query("m51_template_filter", S.with_(_FUNCTIONAL, "SELECT bundle_id, unit_id FROM mem"))
 def _m51(spark, d):
-    mem, _ = bundle_parts(spark, d, "documents")
-    return homogeneity.drop_templates(mem, _m50(spark, d).select(F.col("template_unit").alias("unit_id"))).select("bundle_id", "unit_id")
+    return functional_parts(spark, d, "documents")[0]
+
+
+@query("m71_template_elimination", S.with_(_FUNCTIONAL, """SELECT a.bundle_id, a.n AS n_units, coalesce(b.n, 0) AS n_left, b.n IS NULL AS emptied
+  FROM (SELECT bundle_id, count(*) AS n FROM mem0 GROUP BY 1) a LEFT JOIN (SELECT bundle_id, count(*) AS n FROM mem GROUP BY 1) b USING (bundle_id)"""))
+def _m71(spark, d):
+    return homogeneity.elimination(bundle_parts(spark, d, "documents")[0], functional_parts(spark, d, "documents")[0])
+
+
+@query("w13_templates_benchmark", S.with_(S.units(["documents"]), """SELECT item_id, count(u.unit_id) AS n_units, coalesce(sum(u.n_dup), 0)::BIGINT AS n_artifacts FROM benchmark b
+  LEFT JOIN (SELECT u.unit_id, u.n_dup, a.payload FROM unit u JOIN art a ON a.artifact_id = u.unit_id) u ON b.text <> '' AND contains(u.payload, b.text) GROUP BY 1"""))
+def _w13_benchmark(spark, d):
+    """The given catalogue of passages: units and artifacts that hold each."""
+    units, rep = document_payloads(spark, d)
+    items = table(spark, d, "benchmark").select("item_id", "text")
+    held = findings.passages_held(rep, items.select("text")).join(units.select("unit_id", "n_dup"), "unit_id")
+    n = held.groupBy(F.col("passage").alias("text")).agg(F.count("*").alias("n_units"), F.sum("n_dup").cast("bigint").alias("n_artifacts"))
+    return items.join(n, "text", "left").select("item_id", F.coalesce("n_units", F.lit(0)).alias("n_units"), F.coalesce("n_artifacts", F.lit(0)).alias("n_artifacts"))
 
 
 @query("m52_normalized_sizes", S.with_(S.units(["scripts"]), "SELECT origin, token_hash, n_dup, (10000 * n_dup) // max(n_dup) OVER (PARTITION BY origin) AS norm_bp FROM unit"))
@@ -391,13 +523,22 @@ def _m52(spark, d):
 # --- findings ---------------------------------------------------------------------------------
 
 
+def document_payloads(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """(units, payload of each unit's representative) of documents."""
+    units = shared_table(spark, d, "doc-units", (), lambda: units_of(spark, d, ["documents"]).drop("tok"))
+    arts = artifacts(spark, d, "documents").select(F.col("artifact_id").alias("unit_id"), "payload")
+    return units, arts.join(units.select("unit_id"), "unit_id", "left_semi")
+
+
 def finding_parts(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     """(units, findings) of documents."""
-    units = materialize(units_of(spark, d, ["documents"]).drop("tok"), "doc-units")
-    arts = artifacts(spark, d, "documents").select(F.col("artifact_id").alias("unit_id"), "payload")
-    labels = table(spark, d, "labels").select(F.col("doc_id").cast("string").alias("unit_id"), "quality", "toxic").join(units.select("unit_id"), "unit_id", "left_semi")
-    found = findings.scan(arts.join(units.select("unit_id"), "unit_id", "left_semi"), labels, table(spark, d, "benchmark").select("text"))
-    return units, materialize(found, "findings")
+    units, rep = document_payloads(spark, d)
+
+    def scanned() -> DataFrame:
+        labels = table(spark, d, "labels").select(F.col("doc_id").cast("string").alias("unit_id"), "quality", "toxic").join(units.select("unit_id"), "unit_id", "left_semi")
+        return findings.scan(rep, labels, table(spark, d, "benchmark").select("text"))
+
+    return units, shared_table(spark, d, "findings", (), scanned)
 
 
 _FOUND = f"{S.units(['documents'])}, {S.findings()}"
@@ -438,7 +579,7 @@ cls AS MATERIALIZED (SELECT a, b, CASE WHEN x.f IS NULL AND y.f IS NULL THEN 'ne
 
 def classified(spark: SparkSession, d: str, count_mode: str = "per_type") -> DataFrame:
     units, found = finding_parts(spark, d)
-    return findings.classified_pairs(pairing.similar_pairs(fingers_of(spark, d, ["documents"])), units, found, count_mode)
+    return findings.classified_pairs(pairs_of(spark, d, ["documents"]), units, found, count_mode)
 
 
 for _mode in ("per_type", "total"):
@@ -454,6 +595,15 @@ def _m64(spark, d):
     return classified(spark, d).select("a", "b", "same_author")
 
 
+@query("m64_authorship_any_overlap", S.with_(S.pairs(["documents"]), """SELECT a, b, EXISTS (SELECT 1 FROM norm x JOIN norm y ON x.creator = y.creator
+  JOIN unit u ON u.origin = x.origin AND u.token_hash = x.token_hash JOIN unit w ON w.origin = y.origin AND w.token_hash = y.token_hash WHERE u.unit_id = pair.a AND w.unit_id = pair.b) AS same_author FROM pair"""))
+def _m64_any(spark, d):
+    """The other reading of authorship: some creator deployed instances of both units."""
+    norm = norm_of(spark, d, ["documents"]).select("origin", "token_hash", "creator")
+    own = norm.join(fingers_of(spark, d, ["documents"]).select("origin", "token_hash", "unit_id"), ["origin", "token_hash"]).select("unit_id", "creator")
+    return findings.shared_creators(pairs_of(spark, d, ["documents"]), own)
+
+
 _TAB4 = S.with_(_class_ctes(), "SELECT same_author::VARCHAR AS same_author, " + ", ".join(f"count(*) FILTER (WHERE cls = '{c}') AS {c}" for c in findings.CLASSES) + " FROM cls GROUP BY ROLLUP (same_author)")
 
 
@@ -495,19 +645,12 @@ def _c15(spark, d):
 # --- bundles ----------------------------------------------------------------------------------
 
 
-def bundle_parts(spark: SparkSession, d: str, corpus: str) -> tuple[DataFrame, DataFrame]:
-    """(members, bundles)."""
-    norm = materialize(norm_of(spark, d, [corpus]).drop("tok", "runtime"), "bundle-norm")
-    units = units_of(spark, d, [corpus]).select("corpus", "origin", "token_hash", "unit_id")
-    return materialize(bundles.members(norm, units), "members"), materialize(bundles.bundle_table(norm), "bundles")
-
-
-_BUNDLE = f"""{_MEMBERS}, bun AS MATERIALIZED (SELECT bundle_id, min(creator) AS owner, min(deployed_us) AS deployed_us, coalesce(sum(volume_milli), 0)::BIGINT AS volume_milli FROM norm GROUP BY 1),
+_BUNDLE = """bun AS MATERIALIZED (SELECT bundle_id, min(creator) AS owner, min(deployed_us) AS deployed_us, coalesce(sum(volume_milli), 0)::BIGINT AS volume_milli FROM norm GROUP BY 1),
 siz AS MATERIALIZED (SELECT bundle_id, count(*) AS n FROM mem GROUP BY 1),
 edge AS MATERIALIZED (SELECT a AS i, b AS j, score_bp AS w FROM pair UNION ALL SELECT b, a, score_bp FROM pair UNION ALL SELECT DISTINCT unit_id, unit_id, 10000 FROM mem),
 wgt AS MATERIALIZED (SELECT x.bundle_id AS ua, y.bundle_id AS ub, e.i, e.j, e.w::BIGINT AS w FROM edge e JOIN mem x ON x.unit_id = e.i JOIN mem y ON y.unit_id = e.j JOIN bun p ON p.bundle_id = x.bundle_id JOIN bun q ON q.bundle_id = y.bundle_id
   WHERE x.bundle_id < y.bundle_id AND p.owner <> q.owner)"""
-_DOC_BUNDLES = f"{S.pairs(['documents'])}, {_BUNDLE}"
+_DOC_BUNDLES = f"{_FUNCTIONAL}, {_BUNDLE}"
 #: Optimal matching by enumeration: the smaller side's members in order, a mask of the other side's used ones, and the option to skip.
 _MATCH = """side AS MATERIALIZED (SELECT ua, ub, CASE WHEN a.n <= b.n THEN i ELSE j END AS s, CASE WHEN a.n <= b.n THEN j ELSE i END AS l, w, a.n AS n_a, b.n AS n_b FROM wgt JOIN siz a ON a.bundle_id = ua JOIN siz b ON b.bundle_id = ub),
 num AS MATERIALIZED (SELECT ua, ub, n_a, n_b, w, dense_rank() OVER (PARTITION BY ua, ub ORDER BY s) AS r, dense_rank() OVER (PARTITION BY ua, ub ORDER BY l) - 1 AS c FROM side),
@@ -518,14 +661,13 @@ best AS MATERIALIZED (SELECT k.ua, k.ub, max(total) AS total_bp, any_value(n_a)
 sim AS MATERIALIZED (SELECT ua, ub, n_a, n_b, total_bp, total_bp // n_a AS sim_ab_bp, total_bp // n_b AS sim_ba_bp, greatest(total_bp // n_a, total_bp // n_b) AS sim_bp FROM best)"""
 
 
-@query("m70_bundle_members", S.with_(_DOC_BUNDLES, "SELECT bundle_id, unit_id FROM mem"))
+@query("m70_bundle_members", S.with_(f"{S.units(['documents'])}, {_MEMBERS}", "SELECT bundle_id, unit_id FROM mem0"))
 def _m70(spark, d):
     return bundle_parts(spark, d, "documents")[0]
 
 
-def _weights(spark, d):
-    mem, bun = bundle_parts(spark, d, "documents")
-    return bundles.bipartite(mem, bun, pairing.similar_pairs(fingers_of(spark, d, ["documents"])))
+def _weights(spark, d, corpus="documents"):
+    return bundles.bipartite(*functional_parts(spark, d, corpus))
 
 
 @query("m72_bundle_candidates", S.with_(_DOC_BUNDLES, "SELECT DISTINCT ua, ub FROM wgt"))
@@ -540,15 +682,14 @@ def _m73(spark, d):
 
 @query("m74_assignment", S.with_(f"{_DOC_BUNDLES}, {_MATCH}", "SELECT ua, ub, total_bp FROM best"))
 def _m74(spark, d):
-    mem, bun = bundle_parts(spark, d, "documents")
-    w = bundles.bipartite(mem, bun, pairing.similar_pairs(fingers_of(spark, d, ["documents"])))
-    return bundles.match_bundles(bundles.bounded_pairs(w, bundles.bundle_sizes(mem), 0)).select("ua", "ub", "total_bp")
+    mem = functional_parts(spark, d, "documents")[0]
+    return bundles.match_bundles(bundles.bounded_pairs(_weights(spark, d), bundles.bundle_sizes(mem), 0)).select("ua", "ub", "total_bp")
 
 
 @query("b09_greedy_match")
 def _b09(spark, d):
-    mem, bun = bundle_parts(spark, d, "pages")
-    w = bundles.bounded_pairs(bundles.bipartite(mem, bun, pairing.similar_pairs(fingers_of(spark, d, ["pages"]))), bundles.bundle_sizes(mem), 0)
+    mem = functional_parts(spark, d, "documents")[0]
+    w = bundles.bounded_pairs(_weights(spark, d), bundles.bundle_sizes(mem), 0)
     best, quick = bundles.match_bundles(w), bundles.match_bundles(w, "greedy")
     both = best.select("ua", "ub", "total_bp").join(quick.select("ua", "ub", F.col("total_bp").alias("greedy_bp")), ["ua", "ub"])
     return both.agg(F.count("*").alias("n_pairs"), F.count_if(F.col("greedy_bp") < F.col("total_bp")).alias("n_worse"), F.sum("total_bp").alias("optimal_bp"), F.sum("greedy_bp").alias("greedy_bp"))
@@ -556,17 +697,16 @@ def _b09(spark, d):
 
 @query("m75_directional_sim", S.with_(f"{_DOC_BUNDLES}, {_MATCH}", "SELECT * FROM sim"))
 def _m75(spark, d):
-    mem, bun = bundle_parts(spark, d, "documents")
-    return bundles.bundle_clones(mem, bun, pairing.similar_pairs(fingers_of(spark, d, ["documents"])), 0)
+    return bundles.bundle_clones(*functional_parts(spark, d, "documents"), 0)
 
 
 _CLONES = S.with_(f"{_DOC_BUNDLES}, {_MATCH}", "SELECT * FROM sim WHERE sim_bp >= 7000")
 
 
 def clones_of(spark: SparkSession, d: str, corpus: str = "documents") -> tuple[DataFrame, DataFrame]:
-    """(clone pairs, bundles)."""
-    mem, bun = bundle_parts(spark, d, corpus)
-    return materialize(bundles.bundle_clones(mem, bun, pairing.similar_pairs(fingers_of(spark, d, [corpus]))), "clones"), bun
+    """(clone pairs, bundles), templates eliminated first."""
+    mem, bun, pairs = functional_parts(spark, d, corpus)
+    return shared_table(spark, d, "clones", (corpus,), lambda: bundles.bundle_clones(mem, bun, pairs)), bun
 
 
 @query("m76_clone_pairs", _CLONES)

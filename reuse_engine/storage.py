@@ -15,9 +15,11 @@ from __future__ import annotations
 import re
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: Used only by a session of one machine that names no shared folder.
 FALLBACK_DIR = f"{tempfile.gettempdir()}/reuse_engine_shared"
@@ -27,6 +29,7 @@ DEAL_BYTES = 64 << 20
 BROADCAST_ROWS, SALTS = 1_000_000, 32
 
 _written: set[str] = set()
+_shared: dict[tuple, tuple[str, StructType]] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -125,3 +128,20 @@ def join_few(rows: DataFrame, few: DataFrame, key: str, salt: Column, how: str =
         return rows.join(F.broadcast(few), key, how)
     copies = few.withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
     return rows.withColumn("__salt", F.pmod(salt, F.lit(SALTS).cast("long"))).join(copies, [key, "__salt"], how).drop("__salt")
+
+
+def _mark(spark: SparkSession, sf_dir: str) -> tuple:
+    """Name, time and length of everything directly under a folder."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    found = at.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(at)
+    return tuple(sorted((f.getPath().getName(), f.getModificationTime(), f.getLen()) for f in found))
+
+
+def shared_table(spark: SparkSession, sf_dir: str, label: str, key: tuple, build: Callable[[], DataFrame]) -> DataFrame:
+    """A table that several queries read: written by the first of them, and again when the given tables have changed."""
+    full = (spark.sparkContext.applicationId, shared_dir(spark), sf_dir, _mark(spark, sf_dir), label, key)
+    if full not in _shared or _shared[full][0] not in _written:
+        made = materialize(build(), label)
+        _shared[full] = (made._reuse_path, made.schema)
+    path, schema = _shared[full]
+    return spark.read.schema(schema).parquet(path)
