@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -19,7 +21,7 @@ def token_array(dialect: str) -> Column:
     return whole.otherwise(F.split("tok", d.gap if d.gap else ""))
 
 
-def _at_boundaries(tokens: str, ends: Column, gap: str) -> Column:
+def _at_boundaries(tokens: Column, ends: Callable[[Column], Column], gap: str) -> Column:
     """Pieces of a token array: ``ends(i)`` says whether token i (from 0) ends one."""
     marked = F.array_join(F.transform(tokens, lambda t, i: F.concat(t, F.when(ends(i), F.lit("|")).otherwise(F.lit(gap)))), "")
     return F.filter(F.transform(F.split(marked, r"\|"), lambda p: F.trim(p)), lambda p: p != "")
@@ -29,21 +31,21 @@ def pieces(units: DataFrame, dialect: str, method: str = "block", step: int = 7,
     """Adds ``pieces`` by a cutting method: block, fixed, random or rolling."""
     if method == "block":
         return units.withColumn("pieces", DIALECTS[dialect].pieces(F.col("tok")))
-    out = units.withColumn("__t", token_array(dialect))
     gap = DIALECTS[dialect].gap
     if method == "fixed":
-        ends = lambda i: (i + 1) % step == 0
+        ends = lambda s, i: (i + 1) % step == 0
     elif method == "random":
         draw = lambda i: F.md5(F.concat(F.col("unit_id"), F.lit(":"), i.cast("string"), F.lit(f":{SEED}")))
-        ends = lambda i: F.conv(F.substring(draw(i), 1, 8), 16, 10).cast("bigint") % RANDOM_PERIOD == 0
+        ends = lambda s, i: F.conv(F.substring(draw(i), 1, 8), 16, 10).cast("bigint") % RANDOM_PERIOD == 0
     elif method == "rolling":
-        out = out.withColumn("__h", F.transform("__t", lambda t: F.crc32(t)))
-        total = lambda i: F.aggregate(F.slice("__h", F.greatest(i - window + 2, F.lit(1)), F.lit(window)), F.lit(0).cast("bigint"), lambda a, x: a + x)
-        ends = lambda i: total(i) % modulus == modulus - 1
+        total = lambda h, i: F.aggregate(F.slice(h, F.greatest(i - window + 2, F.lit(1)), F.least(i + 1, F.lit(window))), F.lit(0).cast("bigint"), lambda a, x: a + x)
+        ends = lambda s, i: total(s["h"], i) % modulus == modulus - 1
     else:
         raise ValueError(f"unknown method {method}")
-    out = out.withColumn("pieces", _at_boundaries("__t", ends, gap))
-    return out.drop("__t", "__h")
+    # tokens and hashes are bound once, as the only element of an array
+    hashes = F.transform(token_array(dialect), lambda t: F.crc32(t)) if method == "rolling" else F.lit(None).cast("array<bigint>")
+    bound = F.array(F.struct(token_array(dialect).alias("t"), hashes.alias("h")))
+    return units.withColumn("pieces", F.get(F.transform(bound, lambda s: _at_boundaries(s["t"], lambda i: ends(s, i), gap)), 0))
 
 
 def fingers(units: DataFrame, dialect: str, method: str = "block", algo: str = "md5", digest_chars: int = 8, **options: int) -> DataFrame:

@@ -81,10 +81,14 @@ def attrs_candidates(fps: DataFrame, condition: str) -> DataFrame:
     return first.where(near).unionByName(second.where(~near))
 
 
+def length_bucket(n: Column, ratio: int = LENGTH_RATIO) -> Column:
+    """Logarithmic bucket of a length: lengths that may pair lie in one or in neighbours."""
+    return F.floor(F.log(F.greatest(n, F.lit(1)).cast("double")) / F.log(F.lit(100 / (ratio - 1)))).cast("int")
+
+
 def band_candidates(fps: DataFrame, condition: str, by: str = "n_ops", ratio: int = LENGTH_RATIO) -> DataFrame:
     """Each pair meets once: the left side visits its bucket and both neighbours."""
-    bucket = F.floor(F.log(F.greatest(F.col(by), F.lit(1)).cast("double")) / F.log(F.lit(100 / (ratio - 1)))).cast("int")
-    banded = fps.withColumn("bucket", bucket)
+    banded = fps.withColumn("bucket", length_bucket(F.col(by), ratio))
     a = _side(banded, "a", ["bucket"]).withColumn("bucket", F.explode(F.array(*[F.col("bucket") + k for k in (-1, 0, 1)])))
     b = _side(banded, "b", ["bucket"])
     return a.join(b, ["corpus", "origin", "bucket"]).where(f"unit_id_a < unit_id_b and {condition}").drop("bucket")
@@ -146,7 +150,8 @@ def minhash_candidates(fps: DataFrame, condition: str, threshold: int = THRESHOL
     grams = F.transform(starts, lambda i: F.substr(F.col("fp"), i, F.lit(q)))
     ordered = long.withColumn("gs", F.sort_array(grams))
     nth = F.transform("gs", lambda g, i: F.concat(g, (i - F.array_position("gs", g)).cast("string")))  # place among equal grams
-    least = [F.array_min(F.transform("ns", lambda g, s=s: F.xxhash64(g, F.lit(s)))) for s in range(bands * rows)]
+    seeded = lambda seed: F.array_min(F.transform("ns", lambda g: F.xxhash64(g, F.lit(seed))))
+    least = [seeded(seed) for seed in range(bands * rows)]
     keys = F.array(*[F.xxhash64(F.lit(i), *least[i * rows : (i + 1) * rows]) for i in range(bands)])
     keyed = ordered.withColumn("ns", nth).select("corpus", "origin", "unit_id", "fp_len", F.explode_outer(keys).alias("key"))
     x = keyed.select("corpus", "origin", "key", F.col("unit_id").alias("a"), F.col("fp_len").alias("la"))

@@ -487,7 +487,7 @@ def functional_parts(spark: SparkSession, d: str, corpus: str) -> tuple[DataFram
 
     def left() -> DataFrame:
         catalogue = materialize(homogeneity.template_catalogue(homogeneity.suggest_templates(cl, linked, homogeneity.cluster_sizes(cl, fps)), mem), "templates")
-        return homogeneity.drop_templates(mem, materialize(homogeneity.template_units(catalogue, cl, pairs), "template-units"))
+        return homogeneity.drop_templates(mem, materialize(homogeneity.template_units(catalogue, cl, linked), "template-units"))
 
     return shared_table(spark, d, "functional", (corpus,), left), bun, pairs
 
@@ -720,6 +720,13 @@ def _w17p(spark, d):
     return clones_of(spark, d, "pages")[0]
 
 
+@query("w17_bundle_matches_pages")
+def _w17m(spark, d):
+    """Bundles of pages matched with templates left in, which their definition excludes: what elimination removes there."""
+    mem, bun = bundle_parts(spark, d, "pages")
+    return bundles.bundle_clones(mem, bun, pairs_of(spark, d, ["pages"]))
+
+
 _CC = f"{_DOC_BUNDLES}, {_MATCH}, clone AS MATERIALIZED (SELECT * FROM sim WHERE sim_bp >= 7000), {S.components('clone', 'ua', 'ub', 'b')}, bcl AS MATERIALIZED (SELECT v AS bundle_id, l AS cluster_id FROM blabel)"
 _ORIG = f"orig AS MATERIALIZED (SELECT cluster_id, first(bundle_id ORDER BY coalesce(deployed_us, {S.LATEST}), bundle_id) AS original FROM bcl JOIN bun USING (bundle_id) GROUP BY 1)"
 _IMPACT = f"""{_CC}, {_ORIG}, imp AS MATERIALIZED (SELECT *, CASE WHEN original_milli > 0 THEN (10000 * clone_milli) // original_milli END AS ratio_bp FROM (

@@ -15,7 +15,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from reuse_engine.functions.symbols import bound, score_bp
 from reuse_engine.graph import connected_components
+from reuse_engine.operators import pairing
 from reuse_engine.storage import new_path
 
 DAY_US = 86_400_000_000
@@ -28,30 +30,50 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("us", F.unix_micros("ts"))
 
 
-def run_now(stream: DataFrame, label: str, mode: str = "append") -> DataFrame:
-    """Run to the end of what is there; returns what was written."""
+def run_now(stream: DataFrame, label: str, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Run to the end of what is there; returns what was written.
+
+    In update mode every batch writes the rows of the keys that it touched, and the
+    last row of each key counts, whatever the number of batches.
+    """
     spark, path = stream.sparkSession, new_path(stream.sparkSession, f"stream-{label}")
     schema = stream.schema
-    options = stream.writeStream.trigger(availableNow=True).option("checkpointLocation", f"{path}-state")
+    options = stream.writeStream.trigger(availableNow=True).option("checkpointLocation", new_path(spark, f"stream-{label}-state"))
     if mode == "append":
         options.format("parquet").option("path", path).start().awaitTermination()
         return spark.read.schema(schema).parquet(path)
+    if not keys:
+        raise ValueError("update mode needs the keys of a row")
 
     def save(rows: DataFrame, batch_id: int) -> None:
         rows.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
 
     options.outputMode(mode).foreachBatch(save).start().awaitTermination()
-    last = spark.read.parquet(path)
-    return last.where(F.col("batch") == last.agg(F.max("batch")).first()[0]).drop("batch")
+    others = [c for c in schema.names if c not in keys]
+    rows = spark.read.schema(schema.add("batch", "long")).parquet(path)
+    last = rows.groupBy(*keys).agg(F.max_by(F.struct(*others), "batch").alias("v"))
+    return last.select(*[c if c in keys else F.col(f"v.{c}").alias(c) for c in schema.names if c != "batch"])
+
+
+def artifact_stream(arts: DataFrame, label: str, parts: int = 4) -> DataFrame:
+    """Deployments as a file stream: artifacts written to the shared folder in files, read a few at a time."""
+    spark, path = arts.sparkSession, new_path(arts.sparkSession, f"stream-{label}-input")
+    rows = arts.withColumn("deployed", F.timestamp_micros(F.coalesce("deployed_us", F.lit(0))))
+    rows.repartition(parts, "artifact_id").write.parquet(path)
+    return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", max(1, parts // 2)).parquet(path)
 
 
 def tumbling(stream: DataFrame) -> DataFrame:
-    """Deployments and distinct creators (approximate) per origin and day."""
+    """Events and distinct creators per origin and day.
+
+    A day's creators are counted by two windowed aggregates in a row: one row per
+    creator first, so that no state holds a set of creators.
+    """
     day = F.window("ts", "1 day")
     origin = F.when(F.col("user_id") % 2 == 0, "direct").otherwise("factory")
-    return stream.withWatermark("ts", "1 day").groupBy(day.alias("w"), origin.alias("origin")).agg(F.count("*").alias("n_events")).select(
-        F.unix_micros("w.start").alias("day_us"), "origin", "n_events"
-    )
+    own = stream.withWatermark("ts", "1 day").groupBy(day.alias("w"), origin.alias("origin"), "user_id").agg(F.count("*").alias("n"))
+    both = own.groupBy(F.window(F.window_time("w"), "1 day").alias("d"), "origin").agg(F.sum("n").alias("n_events"), F.count("*").alias("n_creators"))
+    return both.select(F.unix_micros("d.start").alias("day_us"), "origin", "n_events", "n_creators")
 
 
 def sliding(stream: DataFrame) -> DataFrame:
@@ -65,55 +87,71 @@ def sessions(stream: DataFrame) -> DataFrame:
     """Bursts of one creator with gaps under six hours."""
     burst = F.session_window("ts", "6 hours")
     return stream.withWatermark("ts", "1 day").groupBy(burst.alias("w"), "user_id").agg(F.count("*").alias("n_events")).select(
-        "user_id", F.unix_micros("w.start").alias("start_us"), "n_events"
+        "user_id", F.unix_micros("w.start").alias("start_us"), F.unix_micros("w.end").alias("end_us"), "n_events"
     )
 
 
-def first_seen(stream: DataFrame) -> DataFrame:
-    """First event of each user and kind within the watermark."""
-    return stream.withWatermark("ts", "365 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type")
+def first_seen(units: DataFrame) -> DataFrame:
+    """(origin, token_hash) when it is first deployed; the state is a hash per unit, as many as the stored units."""
+    return units.select("origin", "token_hash").dropDuplicates(["origin", "token_hash"])
+
 
+def known_neighbours(units: DataFrame, stored: DataFrame, threshold: int = 70) -> DataFrame:
+    """(artifact_id, unit_id, score_bp): deployments against the stored fingerprints, by a band join on their lengths.
 
-def static_lookup(stream: DataFrame, catalogue: DataFrame) -> DataFrame:
-    """New events against a stored table of event kinds."""
-    return stream.join(F.broadcast(catalogue), "event_type").select("event_id", "event_type", "weight")
+    ``units``: corpus, origin, artifact_id and fp, fp_len, n_ops of each deployment.
+    """
+    new = units.where("fp_len > 0").select("origin", "artifact_id", F.col("fp").alias("fp_a"), F.col("fp_len").alias("la"), F.col("n_ops").alias("n_a"))
+    old = stored.where("fp_len > 0").select("origin", "unit_id", F.col("fp").alias("fp_b"), F.col("fp_len").alias("lb"), F.col("n_ops").alias("n_b"))
+    new = new.withColumn("bucket", F.explode(F.array(*[pairing.length_bucket(F.col("n_a")) + k for k in (-1, 0, 1)])))
+    met = new.join(old.withColumn("bucket", pairing.length_bucket(F.col("n_b"))), ["origin", "bucket"])
+    near = met.where("10 * least(n_a, n_b) >= 7 * greatest(n_a, n_b)").withColumn("m", F.greatest("la", "lb"))
+    near = near.withColumn("dist", F.expr(f"levenshtein(fp_a, fp_b, {bound(threshold, 'm')})")).where("dist >= 0")
+    return near.where(f"100 * (m - dist) >= {threshold} * m").select("artifact_id", "unit_id", score_bp(F.col("dist").cast("bigint"), F.col("m").cast("bigint")).alias("score_bp"))
 
 
-def interval_join(stream: DataFrame) -> DataFrame:
-    """Purchases within one hour after a click of the same user."""
-    left = stream.where("event_type = 'click'").select(F.col("user_id").alias("u"), F.col("ts").alias("t0"), F.col("event_id").alias("click_id")).withWatermark("t0", "1 hour")
-    right = stream.where("event_type = 'purchase'").select("user_id", F.col("ts").alias("t1"), F.col("event_id").alias("purchase_id")).withWatermark("t1", "1 hour")
+def reported(deployments: DataFrame, reports: DataFrame, how: str = "inner") -> DataFrame:
+    """(deploy_id, report_id): reports of a finding within an hour after a deployment of the same creator.
+
+    Both sides have (user_id, event_id, ts).  A left outer join gives a deployment
+    without a report once the watermark has passed its hour.
+    """
+    left = deployments.select(F.col("user_id").alias("u"), F.col("ts").alias("t0"), F.col("event_id").alias("deploy_id")).withWatermark("t0", "1 hour")
+    right = reports.select("user_id", F.col("ts").alias("t1"), F.col("event_id").alias("report_id")).withWatermark("t1", "1 hour")
     near = F.expr("u = user_id and t1 >= t0 and t1 <= t0 + interval 1 hour")
-    return left.join(right, near).select("click_id", "purchase_id")
+    return left.join(right, near, how).select("deploy_id", "report_id")
 
 
 def _earliest(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    best = state.get if state.exists else (1 << 62, 1 << 62)
+    best = state.get if state.exists else (1 << 62, "")
     for pdf in batches:
-        i = pdf.sort_values(["us", "event_id"]).iloc[0]
-        best = min(best, (int(i["us"]), int(i["event_id"])))
+        i = pdf.sort_values(["us", "artifact_id"]).iloc[0]
+        best = min(best, (int(i["us"]), str(i["artifact_id"])))
     state.update(best)
-    yield pd.DataFrame({"user_id": [key[0]], "first_us": [best[0]], "event_id": [best[1]]})
+    yield pd.DataFrame({"cluster_id": [key[0]], "first_us": [best[0]], "artifact_id": [best[1]]})
+
 
+def cluster_originals(units: DataFrame, labels: DataFrame) -> DataFrame:
+    """Earliest deployment of each cluster; one that arrives late may revise it, so updates are emitted.
 
-def stateful_original(stream: DataFrame) -> DataFrame:
-    """Earliest event of each user; late data may revise it, so updates are emitted."""
-    rows = stream.select("user_id", "us", "event_id").groupBy("user_id")
-    return rows.applyInPandasWithState(_earliest, "user_id long, first_us long, event_id long", "us long, event_id long", "update", GroupStateTimeout.NoTimeout)
+    ``units``: origin, token_hash, artifact_id, us; ``labels``: origin, token_hash, cluster_id.
+    """
+    rows = units.join(labels, ["origin", "token_hash"]).select("cluster_id", "us", "artifact_id").groupBy("cluster_id")
+    return rows.applyInPandasWithState(_earliest, "cluster_id string, first_us long, artifact_id string", "us long, artifact_id string", "update", GroupStateTimeout.NoTimeout)
 
 
 def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows that a one-day watermark drops when a second file repeats the oldest events after the newest."""
     events = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
     path = new_path(spark, "stream-late-input")
-    events.coalesce(1).write.parquet(path)
-    source = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(path)
+    events.write.parquet(path)
+    source = spark.readStream.schema(events.schema).parquet(path)
     counts = source.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day")).count()
-    out = new_path(spark, "stream-late")
-    run = counts.writeStream.format("noop").trigger(availableNow=True).option("checkpointLocation", f"{out}-state").outputMode("append").start()
+    out = new_path(spark, "stream-late-state")
+    run = counts.writeStream.format("noop").trigger(availableNow=True).option("checkpointLocation", out).outputMode("append").start()
     run.awaitTermination()
-    events.orderBy("ts").limit(10).coalesce(1).write.mode("append").parquet(path)
-    run = counts.writeStream.format("noop").trigger(availableNow=True).option("checkpointLocation", f"{out}-state").outputMode("append").start()
+    events.orderBy("ts").limit(10).write.mode("append").parquet(path)
+    run = counts.writeStream.format("noop").trigger(availableNow=True).option("checkpointLocation", out).outputMode("append").start()
     run.awaitTermination()
     dropped = sum(int(op["numRowsDroppedByWatermark"]) for p in run.recentProgress for op in _operators(p))
     return spark.createDataFrame([(dropped,)], "n_dropped long")
