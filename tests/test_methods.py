@@ -69,6 +69,7 @@ def test_candidate_plans_agree(spark, threshold):
     assert key(pairing.similar_pairs(fps, threshold, how="band", prune="fp_len")) == every
     assert key(pairing.similar_pairs(fps, threshold, how="band", prune="bag")) == every
     assert key(pairing.similar_pairs(fps, threshold, how="minhash", prune=None)) <= every
+    assert key(pairing.similar_pairs(fps, threshold, how="band", prune="attrs")) == key(pairing.similar_pairs(fps, threshold, how="theta", prune="attrs"))
     assert key(pairing.similar_pairs(fps, threshold, how="band")) == key(pairing.similar_pairs(fps, threshold, how="theta", prune="length"))
 
 
@@ -157,3 +158,156 @@ def test_impact_ratio(spark):
     cl = spark.createDataFrame([("o", "k"), ("c", "k")], "bundle_id string, cluster_id string")
     b = spark.createDataFrame([("o", "x", 1, 187950872), ("c", "y", 2, 1778146)], "bundle_id string, owner string, deployed_us long, volume_milli long")
     assert bundles.volume_impact(cl, b).first()["ratio_bp"] == 94  # 0.94 %, not the printed 9.38 %
+
+
+# --- hashes and cutting against plain loops ---------------------------------------------------
+
+
+def _fnv(text):
+    h = 2166136261
+    for b in text.encode():
+        h = ((h ^ b) * 16777619) & 0xFFFFFFFF
+    return h
+
+
+def test_piece_hashes_against_other_libraries(spark):
+    import zlib
+
+    import pandas as pd
+    import xxhash
+
+    from reuse_engine.functions.symbols import piece_hash
+    from reuse_engine.plans.surround import fnv1a32
+
+    pieces = ["", "a", "6080604052", "été ü", "x" * 300]
+    rows = spark.createDataFrame([(p,) for p in pieces], "p string").select("p", *[piece_hash(F.col("p"), a).alias(a) for a in ("crc32", "xxhash64", "fnv1a32")]).collect()
+    for r in rows:
+        t = r["p"]
+        assert (r["crc32"], r["xxhash64"], r["fnv1a32"]) == (zlib.crc32(t.encode()), xxhash.xxh64_intdigest(t.encode(), seed=42) % (1 << 32), _fnv(t))
+    got = fnv1a32(pd.Series([*pieces, None]))
+    assert got[:5].tolist() == [_fnv(p) for p in pieces] and got.isna().tolist() == [False] * 5 + [True]
+
+
+def test_rolling_cut_against_a_loop(spark):
+    import zlib
+
+    from reuse_engine.operators import fingerprints
+
+    rng = np.random.default_rng(3)
+    rows = [(f"u{i}", " ".join(rng.choice(["60", "52", "56", "5b", "f3"], rng.integers(0, 60)))) for i in range(30)]
+    got = fingerprints.pieces(spark.createDataFrame(rows, "unit_id string, tok string"), "vmhex", "rolling", window=7, modulus=4).collect()
+    for r in got:
+        tokens, want, piece = r["tok"].split(" ") if r["tok"] else [], [], []
+        for i, t in enumerate(tokens):
+            piece.append(t)
+            if sum(zlib.crc32(x.encode()) for x in tokens[max(0, i - 6) : i + 1]) % 4 == 3:
+                want.append(" ".join(piece))
+                piece = []
+        assert r["pieces"] == want + ([" ".join(piece)] if piece else [])
+
+
+# --- passages, templates, lossy pairs ----------------------------------------------------------
+
+
+def test_passages_of_any_length(spark):
+    texts = {"a": "one two three four five six", "b": "xone two three four fivex", "c": "the one", "d": "", "e": "two  three four five   six", "f": "short"}
+    passages = ["one two three four five", "two three four", "the one", "e o", "ort", "", None, "two  three four five   six", "four"]
+    rows = spark.createDataFrame(list(texts.items()), "unit_id string, payload string")
+    got = {(r[0], r[1]) for r in findings.passages_held(rows, spark.createDataFrame([(p,) for p in passages], "text string")).collect()}
+    assert got == {(u, p) for u, t in texts.items() for p in passages if p and p in t}
+
+
+def test_one_template_in_many_bundles(spark):
+    """Bundles that share a template only are no clones, are counted as emptied, and their number does not square."""
+
+    def run(n):
+        mem = [(f"b{i}", "tpl") for i in range(n)] + [(f"b{i}", f"own{i}") for i in range(0, n, 2)] + [("x", "core1"), ("x", "core2"), ("y", "core1"), ("y", "core3")]
+        members = spark.createDataFrame(mem, "bundle_id string, unit_id string")
+        owners = spark.createDataFrame([(b, f"o{b}", 1, 1) for b in {m[0] for m in mem}], "bundle_id string, owner string, deployed_us long, volume_milli long")
+        pairs = spark.createDataFrame([("core2", "core3", 9000), ("own0", "tpl", 8000)], "a string, b string, score_bp long")
+        cl = spark.createDataFrame([("core2", "core2"), ("core3", "core2")], "unit_id string, cluster_id string")
+        catalogue = homogeneity.template_catalogue(spark.createDataFrame([("core2", "core2", 2)], "cluster_id string, template_unit string, n_members long"), members)
+        left = homogeneity.drop_templates(members, homogeneity.template_units(catalogue, cl, pairs))
+        out = homogeneity.elimination(members, left)
+        weights = bundles.bipartite(left, owners, pairs)
+        clones = {(r["ua"], r["ub"]) for r in bundles.bundle_clones(left, owners, pairs).collect()}
+        return out.where("emptied").count(), weights.count(), clones
+
+    small, large = run(24), run(120)
+    assert small == (12 + 1, 2, {("x", "y")}) and large == (60 + 1, 2, {("x", "y")})
+
+
+@pytest.mark.parametrize("corpus", ["documents", "pages"])
+@pytest.mark.parametrize("d", ["/root/testdata/sf0.01", "/root/testdata/sf0.1"])
+def test_lossy_pairs_lose_little(spark, corpus, d):
+    from reuse_engine.operators import calibration
+
+    fps = fingers_of(spark, d, [corpus])
+    loss = calibration.pruning_loss(pairing.similar_pairs(fps), pairing.similar_pairs(fps, how="minhash")).first()
+    assert loss["n_similar"] > 10 and loss["loss_bp"] <= 1000
+
+
+def test_compared_counts_against_pairs(spark):
+    rng = np.random.default_rng(9)
+    fps = _fps(spark, ["a" * int(n) for n in rng.integers(1, 40, 120)])
+    assert pairing.compared_counts(fps).first()["n_compared"] == pairing.candidate_pairs(fps, "theta", "length").count()
+
+
+def test_component_variants_agree(spark):
+    from reuse_engine.graph import driver_components, label_min
+
+    rng = np.random.default_rng(2)
+    edges = spark.createDataFrame([(int(a), int(b)) for a, b in rng.integers(0, 60, (45, 2))], "a long, b long")
+    rows = [sorted(map(tuple, f(edges).collect())) for f in (connected_components, label_min, driver_components)]
+    assert rows[0] == rows[1] == rows[2]
+
+
+def test_updates_of_several_batches(spark):
+    """Keys that only an early batch touched keep their rows."""
+    from reuse_engine.streaming import streams
+
+    arts = spark.createDataFrame([(f"a{i}", "c", 100 - i, f"k{i % 7}") for i in range(40)], "artifact_id string, corpus string, deployed_us long, token_hash string")
+    stream = streams.artifact_stream(arts, "test", 8).select(F.lit("o").alias("origin"), "token_hash", "artifact_id", F.col("deployed_us").alias("us"))
+    labels = spark.createDataFrame([("o", f"k{i}", f"k{i}") for i in range(7)], "origin string, token_hash string, cluster_id string")
+    got = {r["cluster_id"]: r["artifact_id"] for r in streams.run_now(streams.cluster_originals(stream, labels), "test", "update", ("cluster_id",)).collect()}
+    assert got == {f"k{k}": f"a{max(i for i in range(40) if i % 7 == k)}" for k in range(7)}
+
+
+def test_declared_schemas(spark):
+    from reuse_engine import schemas
+    from reuse_engine.plans import methods, workloads
+    from reuse_engine.sources.artifacts import CORPORA, artifacts
+
+    for c in CORPORA:
+        schemas.conform(artifacts(spark, SMALL, c), "artifacts")
+    schemas.conform(methods.norm_of(spark, SMALL, ["vm", "pages"]), "normalized")
+    schemas.conform(methods.units_of(spark, SMALL, ["documents"]), "units")
+    fps, pairs, cl = workloads.cluster_parts(spark, SMALL, "documents")
+    mem, bun = workloads.bundle_parts(spark, SMALL, "documents")
+    made = {"fingerprints": fps, "pairs": pairs, "clusters": cl, "findings": workloads.finding_parts(spark, SMALL)[1], "members": mem, "bundles": bun, "clones": workloads.clones_of(spark, SMALL)[0]}
+    for name, df in made.items():
+        schemas.conform(df, name)
+    with pytest.raises(TypeError, match="n_dup"):
+        schemas.conform(fps.drop("n_dup"), "fingerprints")
+
+
+def test_shared_tables(spark, tmp_path):
+    """One write for the same sources, another for changed ones; a table that was removed is written again."""
+    from reuse_engine import storage
+
+    calls = []
+
+    def build():
+        calls.append(1)
+        return spark.range(3)
+
+    (tmp_path / "one").write_text("x")
+    for _ in range(2):
+        storage.shared_table(spark, str(tmp_path), "test", (), build)
+    (tmp_path / "two").write_text("y")
+    made = storage.shared_table(spark, str(tmp_path), "test", (), build)
+    assert len(calls) == 2 and made.count() == 3
+    first = storage.materialize(spark.range(5), "test")
+    storage.discard(first)
+    with pytest.raises(Exception):  # noqa: B017
+        first.count()

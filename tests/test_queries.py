@@ -3,19 +3,17 @@
 import pytest
 
 import __spark_entry__ as contract
+from reuse_engine.plans.catalog import ORACLES, QUERIES
 from tests.conftest import SMALL
 
-CHOSEN = [
-    "m01_strip_prefix", "m02_strip_trailer", "m04_tokenize", "m06_token_hash_dedupe", "m13_fingerprint", "m14_features", "b03_fixed_step", "b04_random_boundary",
-    "m23_prune_attrs", "m25_bag_bound", "m26_qgram_count", "m27_band_join", "b06_no_prune", "b08_no_strip", "w03_dup_distribution", "w04_top10_dups", "w06_pair_counts", "w07_score_hist",
-    "w08_calibrate", "w10_clusters_pages", "w11_pareto", "w14_vuln_prevalence", "w15_vuln_pairs", "w17_bundle_clones", "w18_impact", "w20_worked_example", "w21_redeploy",
-    "w22_motivating", "q_join_asof", "q_agg_gsets", "q_win_range", "q_stream_tumbling", "q_stream_stateful", "s07_components_batch",
-]
+@pytest.mark.parametrize("name", sorted(ORACLES))
+def test_equals_sql(spark, duck, same_rows, name):
+    same_rows(QUERIES[name](spark, SMALL), duck.sql(ORACLES[name]).df())
 
 
-@pytest.mark.parametrize("name", CHOSEN)
-def test_equals_sql(spark, duck, same_rows, name):
-    same_rows(contract.queries()[name](spark, SMALL), duck.sql(contract.oracle_sql()[name]).df())
+@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES)))
+def test_runs(spark, name):
+    assert QUERIES[name](spark, SMALL).count() >= 0
 
 
 def test_contract(spark):
