@@ -14,7 +14,7 @@ from reuse_engine.llm.jaccard_join import keep_one_per_group
 from reuse_engine.llm.language_id import keep_identified
 from reuse_engine.llm.line_dedup import strip_boilerplate
 from reuse_engine.llm.piece_codec import encode_documents
-from reuse_engine.storage import materialize
+from reuse_engine.storage import discard, materialize
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -61,5 +61,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        done, docs = docs, materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        discard(done)
     return STAGES[-1][1](spark, docs, sf_dir)
