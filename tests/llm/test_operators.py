@@ -684,6 +684,30 @@ def test_quality_model_held_out(spark, odd, none):
     assert quality_gam.score_quality(none, quality_gam.fit_quality(none, labels)).count() == 0
 
 
+def test_scores_are_sums_of_table_entries():
+    """Vectorised scoring against a loop over rows, features and pairs."""
+    import bisect
+    import math
+
+    import numpy as np
+
+    rng = np.random.default_rng(8)
+    x = rng.random((400, 4)).round(2)
+    model = quality_gam.AdditiveModel().fit(x[:300], ((x[:300, 0] > 0.4) & (x[:300, 2] < 0.7)).astype(float))
+    for row, score in zip(x[300:], model.score(x[300:]), strict=True):
+        place = [bisect.bisect_right(cuts.tolist(), v) for cuts, v in zip(model.cuts, row, strict=True)]
+        z = model.start + sum(t[i] for t, i in zip(model.tables, place, strict=True)) + sum(t[place[a], place[b]] for (a, b), t in zip(model.pairs, model.pair_tables, strict=True))
+        assert abs(score - 1 / (1 + math.exp(-z))) < 1e-9
+
+
+def test_quality_features_against_plain_counts():
+    for text in ("Good words, and good words.\nGood words!", "## $$ | A1 b", "", None, "é" * 3):
+        got = dict(zip(quality_gam.FEATURES, quality_gam.features(None if text is None else text.encode()), strict=True))
+        body = (text or "").encode()
+        for name, chars in quality_gam._DELETE.items():
+            assert got[name] == sum(b in chars for b in body) / max(len(body), 1)
+
+
 def test_repeated_labels_of_an_id(spark):
     """The largest label of an id counts, so the order of repeated label rows does not matter."""
     docs = docs_of(spark, [("good words " if i % 2 else "## $$ ") * 20 for i in range(60)])
@@ -707,6 +731,36 @@ def test_additive_model_learns_an_interaction():
 # --- pipeline --------------------------------------------------------------------------------
 
 
+def test_pipeline_against_sql_and_the_library(spark):
+    """Every stage stated anew: frozen models by plain loops, SQL on what the stage before left, and the SentencePiece library."""
+    import duckdb
+    import sentencepiece
+
+    import corpus_pipeline
+    from reuse_engine.llm import decontaminate
+
+    given = spark.read.parquet(f"{SMALL}/documents.parquet")
+    counts = language_id.learn(given)
+    model = language_id.FrozenModel(counts["langs"], counts["grams"], counts["counts"])
+    docs = given.toPandas()
+    found = [model.predict(None if t is None else t.encode()) for t in docs.text]
+    docs = docs[[lang != "und" and score >= 0.5 for lang, score in found]]
+    c = duckdb.connect()
+    c.execute(f"create view benchmark as select * from read_parquet('{SMALL}/benchmark.parquet')")
+
+    def state(sql):
+        c.register("documents", docs)
+        return c.sql(sql).df()
+
+    docs = docs.drop(columns="text").merge(state(line_dedup.OP5_SQL)[["doc_id", "text"]], on="doc_id")
+    groups = state(jaccard_join.OP2_SQL)
+    docs = docs[docs.doc_id.isin(groups[groups.doc_id == groups.component_id].doc_id)]
+    docs = docs[~docs.doc_id.isin(state(decontaminate.OP1_SQL).doc_id)]
+    library = sentencepiece.SentencePieceProcessor(model_file=piece_codec.MODEL_FILE)
+    want = {r.doc_id: library.encode(r.text) for r in docs.itertuples()}
+    assert {r["doc_id"]: r["tokens"] for r in corpus_pipeline.run(spark, SMALL).collect()} == want
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
