@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reuse_engine.llm.worker_cache import limit_batches, only, released
+from reuse_engine.llm.worker_cache import limit_batches, only, released, trim
 from reuse_engine.storage import spread
 
 MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
@@ -269,6 +269,7 @@ def encode_documents(docs: DataFrame, model_file: str = MODEL_FILE, id_col: str
                     [part.column(0), pa.array(np.diff(ends)), lists, pa.array(trip, pa.bool_()), pa.array([d[1] for d in done], pa.bool_())],
                     names=["id", "n_tokens", "tokens", "round_trip", "parity"],
                 )
+            trim()  # the libraries' threads free in pieces
 
     kind = docs.schema[id_col].dataType.simpleString()
     rows = spread(docs.select(id_col, text_col)).select(F.col(id_col).alias("id"), F.col(text_col).cast("string"))

@@ -27,7 +27,7 @@ def only(key: Hashable, build: Callable[[], Any]) -> Any:
     if key not in _held:
         if _held:
             _held.clear()
-            _trim()
+            trim()
         _held[key] = build()
     return _held[key]
 
@@ -35,7 +35,7 @@ def only(key: Hashable, build: Callable[[], Any]) -> Any:
 def release() -> None:
     """An idle worker holds no tables, and freed memory goes back."""
     _held.clear()
-    _trim()
+    trim()
 
 
 def released(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
@@ -51,7 +51,7 @@ def released(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterat
     return task
 
 
-def _trim() -> None:
+def trim() -> None:
     """Give freed memory back to the system, where the C library can."""
     gc.collect()
     pa.default_memory_pool().release_unused()
