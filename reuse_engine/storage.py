@@ -130,6 +130,11 @@ def join_few(rows: DataFrame, few: DataFrame, key: str, salt: Column, how: str =
     return rows.withColumn("__salt", F.pmod(salt, F.lit(SALTS).cast("long"))).join(copies, [key, "__salt"], how).drop("__salt")
 
 
+def _exists(spark: SparkSession, path: str) -> bool:
+    at = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at)
+
+
 def _mark(spark: SparkSession, sf_dir: str) -> tuple:
     """Name, time and length of everything directly under a folder."""
     at = spark._jvm.org.apache.hadoop.fs.Path(sf_dir)
@@ -140,7 +145,7 @@ def _mark(spark: SparkSession, sf_dir: str) -> tuple:
 def shared_table(spark: SparkSession, sf_dir: str, label: str, key: tuple, build: Callable[[], DataFrame]) -> DataFrame:
     """A table that several queries read: written by the first of them, and again when the given tables have changed."""
     full = (spark.sparkContext.applicationId, shared_dir(spark), sf_dir, _mark(spark, sf_dir), label, key)
-    if full not in _shared or _shared[full][0] not in _written:
+    if full not in _shared or not _exists(spark, _shared[full][0]):
         made = materialize(build(), label)
         _shared[full] = (made._reuse_path, made.schema)
     path, schema = _shared[full]
