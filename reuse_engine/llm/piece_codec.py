@@ -32,8 +32,8 @@ MODEL_FILE = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
-#: Segments of a generation that a task remembers (two of them), characters of a batch of whole texts, and segments encoded at one time.
-REMEMBERED_SEGMENTS, BATCH_CHARS = 120_000, 2_000_000
+#: Segments that a task remembers, characters of a batch of whole texts, and segments encoded at one time.
+REMEMBERED_SEGMENTS, BATCH_CHARS = 200_000, 2_000_000
 LEARN_SEGMENTS = 8_000
 SLICE_ROWS = 200
 THREADS = 2
@@ -159,7 +159,6 @@ class PieceCodec:
         self.threads = threads
         self.other = sentencepiece.SentencePieceProcessor(model_proto=data)
         self.known: dict[str, bytes] = {}
-        self.before: dict[str, bytes] = {}  # the generation before: what is asked again moves on, the rest is forgotten
         self.bad: set[str] = set()
         self.fast = self.model.by_segment
         self.backend = self.model.core() if self.fast else self.model.tokenizer()
@@ -204,14 +203,11 @@ class PieceCodec:
                 out += [(np.array(m.ids, np.int32), m.ids == o) for m, o in zip(mine, others, strict=True)]
             return out
         if len(self.known) > REMEMBERED_SEGMENTS:
-            self.before, self.known = self.known, {}
-            self.bad.intersection_update(self.before)
+            self.known.clear()
+            self.bad.clear()
         cut = [self.segments(t) for t in texts]
         known = self.known
-        asked = set().union(*cut).difference(known)
-        met = asked.intersection(self.before)
-        known.update((s, self.before[s]) for s in met)
-        new = list(asked.difference(met))
+        new = list(dict.fromkeys(s for c in cut for s in c if s not in known))
         for at in range(0, len(new), LEARN_SEGMENTS):
             self._learn(new[at : at + LEARN_SEGMENTS])
         look = known.__getitem__
