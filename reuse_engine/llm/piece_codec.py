@@ -5,8 +5,8 @@ merges and byte fallback are rebuilt as a ``tokenizers`` pipeline, for unigram
 and for BPE models.  Where no piece has a marker after another character and the
 normaliser is the identity, a text's segments (marker run and word) are encoded
 independently, so every distinct segment is encoded once for each task, in
-multithreaded batches, and looked up after that; any other model encodes whole
-texts in batches.  Parity with the SentencePiece library is verified for every
+multithreaded batches, and looked up after that; a BPE model takes several short
+segments in one call.  Any other model encodes whole texts in batches.  Parity with the SentencePiece library is verified for every
 distinct segment (or text), and every text is decoded and compared.
 """
 
@@ -35,6 +35,8 @@ UNIGRAM, BPE = 1, 2
 #: Segments that a task remembers, characters of a batch of whole texts, and segments encoded at one time.
 REMEMBERED_SEGMENTS, BATCH_CHARS = 200_000, 2_000_000
 LEARN_SEGMENTS = 8_000
+#: Segments of one call of a library, and characters of a segment that goes with others.
+JOINED, JOINED_CHARS = 16, 64
 SLICE_ROWS = 200
 THREADS = 2
 
@@ -127,7 +129,7 @@ class PieceModel:
         if self.model_type == UNIGRAM:
             return Tokenizer(models.Unigram(list(zip(self.pieces, self.scores, strict=True)), unk_id=self.unknown, byte_fallback=self.byte_fallback))
         vocab = {p: i for i, p in enumerate(self.pieces)}
-        return Tokenizer(models.BPE(vocab=vocab, merges=self.merges(), unk_token=self.pieces[self.unknown], fuse_unk=True, byte_fallback=self.byte_fallback))
+        return Tokenizer(models.BPE(vocab=vocab, merges=self.merges(), unk_token=self.pieces[self.unknown], fuse_unk=True, byte_fallback=self.byte_fallback, cache_capacity=0))
 
     def tokenizer(self):
         """The whole pipeline for whole texts."""
@@ -162,6 +164,9 @@ class PieceCodec:
         self.bad: set[str] = set()
         self.fast = self.model.by_segment
         self.backend = self.model.core() if self.fast else self.model.tokenizer()
+        #: Joined segments can be told apart where every one opens with a piece that starts with the marker.
+        self.joins = self.fast and self.model.model_type == BPE and MARK in self.model.pieces
+        self.opens = np.array([p.startswith(MARK) for p in self.model.pieces])
         self.surface = pa.array([self._surface(p, k) for p, k in zip(self.model.pieces, self.model.kinds, strict=True)], pa.large_binary())
 
     @staticmethod
@@ -181,7 +186,31 @@ class PieceCodec:
         return [s[1:] for s in re.findall(f"{MARK}+[^{MARK}]*", whole)]
 
     def _learn(self, new: list[str]) -> None:
-        """Encode segments that were not met yet, in one multithreaded batch."""
+        """Encode segments that were not met yet, in multithreaded batches."""
+        alone = new
+        if self.joins:
+            fits = [s for s in new if 0 < len(s) <= JOINED_CHARS and MARK not in s]
+            if self._learn_joined(fits):
+                alone = [s for s in new if s not in self.known]
+        if alone:
+            self._learn_alone(alone)
+
+    def _learn_joined(self, new: list[str]) -> bool:
+        """Encode segments without inner markers, several to a call; False if the libraries differ on one of them."""
+        calls = [new[i : i + JOINED] for i in range(0, len(new), JOINED)]
+        made = self.backend.encode_batch_fast([MARK + MARK.join(c) for c in calls], add_special_tokens=False)
+        mine = np.fromiter(itertools.chain.from_iterable(m.ids for m in made), np.int32)
+        others = self.other.encode([" ".join(c) for c in calls], num_threads=self.threads)
+        if not np.array_equal(mine, np.fromiter(itertools.chain.from_iterable(others), np.int32)):
+            return False
+        at = np.flatnonzero(self.opens[mine])
+        if len(at) != len(new):
+            return False
+        flat, ends = mine.tobytes(), [*(at * 4).tolist(), len(mine) * 4]
+        self.known.update(zip(new, (flat[i:j] for i, j in itertools.pairwise(ends)), strict=True))
+        return True
+
+    def _learn_alone(self, new: list[str]) -> None:
         mine = [m.ids for m in self.backend.encode_batch_fast([MARK + s for s in new], add_special_tokens=False)]
         plain = [s if MARK not in s else s.replace(MARK, " ") for s in new]
         others = self.other.encode(plain, num_threads=self.threads)
