@@ -645,12 +645,12 @@ def _c15(spark, d):
 # --- bundles ----------------------------------------------------------------------------------
 
 
-_BUNDLE = """bun AS MATERIALIZED (SELECT bundle_id, min(creator) AS owner, min(deployed_us) AS deployed_us, coalesce(sum(volume_milli), 0)::BIGINT AS volume_milli FROM norm GROUP BY 1),
-siz AS MATERIALIZED (SELECT bundle_id, count(*) AS n FROM mem GROUP BY 1),
+_BUN = """bun AS MATERIALIZED (SELECT bundle_id, min(creator) AS owner, min(deployed_us) AS deployed_us, coalesce(sum(volume_milli), 0)::BIGINT AS volume_milli FROM norm GROUP BY 1)"""
+_WEIGHTS = """siz AS MATERIALIZED (SELECT bundle_id, count(*) AS n FROM mem GROUP BY 1),
 edge AS MATERIALIZED (SELECT a AS i, b AS j, score_bp AS w FROM pair UNION ALL SELECT b, a, score_bp FROM pair UNION ALL SELECT DISTINCT unit_id, unit_id, 10000 FROM mem),
 wgt AS MATERIALIZED (SELECT x.bundle_id AS ua, y.bundle_id AS ub, e.i, e.j, e.w::BIGINT AS w FROM edge e JOIN mem x ON x.unit_id = e.i JOIN mem y ON y.unit_id = e.j JOIN bun p ON p.bundle_id = x.bundle_id JOIN bun q ON q.bundle_id = y.bundle_id
   WHERE x.bundle_id < y.bundle_id AND p.owner <> q.owner)"""
-_DOC_BUNDLES = f"{_FUNCTIONAL}, {_BUNDLE}"
+_DOC_BUNDLES = f"{_FUNCTIONAL}, {_BUN}, {_WEIGHTS}"
 #: Optimal matching by enumeration: the smaller side's members in order, a mask of the other side's used ones, and the option to skip.
 _MATCH = """side AS MATERIALIZED (SELECT ua, ub, CASE WHEN a.n <= b.n THEN i ELSE j END AS s, CASE WHEN a.n <= b.n THEN j ELSE i END AS l, w, a.n AS n_a, b.n AS n_b FROM wgt JOIN siz a ON a.bundle_id = ua JOIN siz b ON b.bundle_id = ub),
 num AS MATERIALIZED (SELECT ua, ub, n_a, n_b, w, dense_rank() OVER (PARTITION BY ua, ub ORDER BY s) AS r, dense_rank() OVER (PARTITION BY ua, ub ORDER BY l) - 1 AS c FROM side),
@@ -727,13 +727,22 @@ def _w17m(spark, d):
     return bundles.bundle_clones(mem, bun, pairs_of(spark, d, ["pages"]))
 
 
-_CC = f"{_DOC_BUNDLES}, {_MATCH}, clone AS MATERIALIZED (SELECT * FROM sim WHERE sim_bp >= 7000), {S.components('clone', 'ua', 'ub', 'b')}, bcl AS MATERIALIZED (SELECT v AS bundle_id, l AS cluster_id FROM blabel)"
+def _cc(base: str) -> str:
+    return f"{base}, {_MATCH}, clone AS MATERIALIZED (SELECT * FROM sim WHERE sim_bp >= 7000), {S.components('clone', 'ua', 'ub', 'b')}, bcl AS MATERIALIZED (SELECT v AS bundle_id, l AS cluster_id FROM blabel)"
+
+
 _ORIG = f"orig AS MATERIALIZED (SELECT cluster_id, first(bundle_id ORDER BY coalesce(deployed_us, {S.LATEST}), bundle_id) AS original FROM bcl JOIN bun USING (bundle_id) GROUP BY 1)"
-_IMPACT = f"""{_CC}, {_ORIG}, imp AS MATERIALIZED (SELECT *, CASE WHEN original_milli > 0 THEN (10000 * clone_milli) // original_milli END AS ratio_bp FROM (
+
+
+def _impact_sql(base: str) -> str:
+    return f"""{_cc(base)}, {_ORIG}, imp AS MATERIALIZED (SELECT *, CASE WHEN original_milli > 0 THEN (10000 * clone_milli) // original_milli END AS ratio_bp FROM (
   SELECT cluster_id, original, count(*) - 1 AS n_clones, sum(CASE WHEN bundle_id = original THEN volume_milli ELSE 0 END)::BIGINT AS original_milli, sum(CASE WHEN bundle_id = original THEN 0 ELSE volume_milli END)::BIGINT AS clone_milli
   FROM bcl JOIN bun USING (bundle_id) JOIN orig USING (cluster_id) GROUP BY ALL))"""
 
 
+_CC, _IMPACT = _cc(_DOC_BUNDLES), _impact_sql(_DOC_BUNDLES)
+
+
 @query("m77_clone_clusters", S.with_(_CC, "SELECT * FROM bcl"))
 def _m77(spark, d):
     return bundles.clone_clusters(clones_of(spark, d)[0])
@@ -755,8 +764,9 @@ def _m79(spark, d):
     return _impact(spark, d)
 
 
-_TOTALS = S.with_(_IMPACT, """SELECT *, CASE WHEN original_milli > 0 THEN (10000 * clone_milli) // original_milli END AS ratio_bp FROM (SELECT count(*) AS n_clusters, count(DISTINCT original) AS n_originals, coalesce(sum(n_clones), 0)::BIGINT AS n_clones,
-  coalesce(sum(original_milli), 0)::BIGINT AS original_milli, coalesce(sum(clone_milli), 0)::BIGINT AS clone_milli, count(*) FILTER (WHERE clone_milli > original_milli) AS n_exceeding FROM imp)""")
+_TOTALS_OF = """SELECT *, CASE WHEN original_milli > 0 THEN (10000 * clone_milli) // original_milli END AS ratio_bp FROM (SELECT count(*) AS n_clusters, count(DISTINCT original) AS n_originals, coalesce(sum(n_clones), 0)::BIGINT AS n_clones,
+  coalesce(sum(original_milli), 0)::BIGINT AS original_milli, coalesce(sum(clone_milli), 0)::BIGINT AS clone_milli, count(*) FILTER (WHERE clone_milli > original_milli) AS n_exceeding FROM imp)"""
+_TOTALS = S.with_(_IMPACT, _TOTALS_OF)
 
 
 @query("w18_impact", _TOTALS)
@@ -765,7 +775,8 @@ def _w18(spark, d):
     return bundles.impact_totals(_impact(spark, d))
 
 
-_TOP_IMPACT = S.with_(_IMPACT, "SELECT * FROM imp ORDER BY n_clones DESC, cluster_id LIMIT 10")
+_TOP_OF = "SELECT * FROM imp ORDER BY n_clones DESC, cluster_id LIMIT 10"
+_TOP_IMPACT = S.with_(_IMPACT, _TOP_OF)
 
 
 @query("m80_top_impact", _TOP_IMPACT)
@@ -782,6 +793,69 @@ def _c16(spark, d):
     return n.join(cl).select("n_pairs", "n_bundles", "n_clusters", (F.col("n_bundles") - F.col("n_clusters")).alias("n_clones"))
 
 
+#: Every tenth bundle of documents deployed again by one other owner, later, with its last unit exchanged for a new one.
+COPIER, LATER_US, COPY_STEP = "copier", 1_000_000, 10
+_BLOCK = "CAST(split_part(bundle_id, '/', 2) AS BIGINT)"
+_COPIED = f"{_BLOCK} % {COPY_STEP} = 0"
+_PLANTED = f"""{_FUNCTIONAL.replace("mem AS MATERIALIZED", "mem1 AS MATERIALIZED")}, {_BUN.replace("bun AS MATERIALIZED", "bun1 AS MATERIALIZED")},
+mem AS MATERIALIZED (SELECT * FROM mem1 UNION ALL SELECT 'copy/' || bundle_id, CASE WHEN unit_id = max(unit_id) OVER (PARTITION BY bundle_id) THEN 'new/' || bundle_id ELSE unit_id END FROM mem1 WHERE {_COPIED}),
+bun AS MATERIALIZED (SELECT * FROM bun1 UNION ALL SELECT 'copy/' || bundle_id, '{COPIER}', deployed_us + {LATER_US}, volume_milli * (({_BLOCK} // {COPY_STEP}) % 4) // 2 FROM bun1 WHERE {_COPIED}), {_WEIGHTS}"""
+
+
+def planted_parts(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """As :func:`functional_parts` of documents, with planted clones: the given tables hold no bundle clone.
+
+    A copy of n units keeps n - 1, so copies of four units or more are clones at 70 and
+    smaller ones are not.  Its volume is 0, 1/2, 1 or 3/2 times that of its original.
+    """
+    mem, bun, pairs = functional_parts(spark, d, "documents")
+    block = F.split_part("bundle_id", F.lit("/"), F.lit(2)).cast("bigint")
+    last = mem.groupBy("bundle_id").agg(F.max("unit_id").alias("last"))
+    copied = mem.where(block % COPY_STEP == 0).join(last, "bundle_id")
+    name = F.concat(F.lit("copy/"), "bundle_id")
+    unit = F.when(F.col("unit_id") == F.col("last"), F.concat(F.lit("new/"), "bundle_id")).otherwise(F.col("unit_id"))
+    again = copied.select(name.alias("bundle_id"), unit.alias("unit_id"))
+    times = F.pmod(F.floor(block / COPY_STEP), F.lit(4))
+    deployed = bun.where(block % COPY_STEP == 0).withColumn("times", times).select(
+        name.alias("bundle_id"), F.lit(COPIER).alias("owner"), (F.col("deployed_us") + LATER_US).alias("deployed_us"), F.expr("(volume_milli * times) div 2").alias("volume_milli")
+    )
+    return mem.unionByName(again), bun.unionByName(deployed), pairs
+
+
+def planted_clones(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    mem, bun, pairs = planted_parts(spark, d)
+    return shared_table(spark, d, "planted-clones", (), lambda: bundles.bundle_clones(mem, bun, pairs)), bun
+
+
+def _planted_impact(spark, d):
+    clones, bun = planted_clones(spark, d)
+    return bundles.volume_impact(bundles.clone_clusters(clones), bun)
+
+
+@query("w17_planted_clones", S.with_(f"{_PLANTED}, {_MATCH}", "SELECT * FROM sim WHERE sim_bp >= 7000"))
+def _w17x(spark, d):
+    return planted_clones(spark, d)[0]
+
+
+@query("c16_planted_recall", S.with_(f"{_PLANTED}, {_MATCH}", """SELECT n_units, count(*) AS n_planted, count(s.ua) AS n_found FROM (SELECT bundle_id, count(*) AS n_units FROM mem WHERE starts_with(bundle_id, 'copy/') GROUP BY 1) p
+  LEFT JOIN (SELECT ua, ub FROM sim WHERE sim_bp >= 7000) s ON s.ua = p.bundle_id AND 'copy/' || s.ub = p.bundle_id GROUP BY 1"""))
+def _c16x(spark, d):
+    """Planted copies by size, and how many of them are found as clones of their original."""
+    copies = planted_parts(spark, d)[0].where(F.col("bundle_id").startswith("copy/")).groupBy(F.col("bundle_id").alias("ua")).agg(F.count("*").alias("n_units"))
+    found = planted_clones(spark, d)[0].where(F.col("ua") == F.concat(F.lit("copy/"), "ub")).select("ua", F.lit(1).alias("hit"))
+    return copies.join(found, "ua", "left").groupBy("n_units").agg(F.count("*").alias("n_planted"), F.count("hit").alias("n_found"))
+
+
+@query("w18_planted_impact", S.with_(_impact_sql(_PLANTED), _TOTALS_OF))
+def _w18x(spark, d):
+    return bundles.impact_totals(_planted_impact(spark, d))
+
+
+@query("w19_planted_top10", S.with_(_impact_sql(_PLANTED), _TOP_OF))
+def _w19x(spark, d):
+    return _planted_impact(spark, d).orderBy(F.desc("n_clones"), "cluster_id").limit(10)
+
+
 # --- literal examples -------------------------------------------------------------------------
 
 #: A program of 25 blocks, and a version in which a check of three blocks was edited. Fixed values.

@@ -311,3 +311,13 @@ def test_shared_tables(spark, tmp_path):
     storage.discard(first)
     with pytest.raises(Exception):  # noqa: B017
         first.count()
+
+
+def test_planted_bundles_are_found_by_their_size(spark):
+    """A copy that exchanges one of n units is a clone at 70 from four units on, and nothing else is."""
+    from reuse_engine.plans import workloads
+
+    rows = workloads._c16x(spark, SMALL).collect()
+    assert rows and all(r["n_found"] == (r["n_planted"] if r["n_units"] >= 4 else 0) for r in rows)
+    pairs = workloads.planted_clones(spark, SMALL)[0].collect()
+    assert pairs and all(p["ua"] == f"copy/{p['ub']}" and p["sim_bp"] == 7500 for p in pairs)
