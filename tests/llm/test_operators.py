@@ -458,6 +458,28 @@ def test_codec_round_trip_and_parity(spark, odd, none):
     assert piece_codec.encode_documents(odd).where("not parity").count() == 0
 
 
+def test_codec_joined_segments_equal_single_ones():
+    data = open(piece_codec.MODEL_FILE, "rb").read()
+    joined, alone = piece_codec.PieceCodec(data), piece_codec.PieceCodec(data)
+    draw, letters = random.Random(5), [*range(33, 127), *range(192, 256), 10, 0x65E5, 0x1D54F]
+    words = ["".join(map(chr, draw.choices(letters, k=draw.randint(1, 12)))) for _ in range(3_000)]
+    words = list(dict.fromkeys([*words, "", "x" * 200, "<unk>", "</s>", "<0x41>", piece_codec.MARK, f"{piece_codec.MARK}a", *(s for t in ODD_STRINGS for s in joined.segments(t))]))
+    joined._learn(words)
+    alone._learn_alone(words)
+    assert joined.joins and joined.known == alone.known and joined.bad == alone.bad == set()
+
+    class Wrong:
+        """A library that differs on the texts that hold one word."""
+
+        def encode(self, texts, num_threads):
+            return [[*ids, 7] if "wrong" in t else ids for t, ids in zip(texts, alone.other.encode(texts, num_threads=num_threads), strict=True)]
+
+    differs = piece_codec.PieceCodec(data)
+    differs.other = Wrong()
+    assert [ok for _, ok in differs.encode(["all is right", "one is wrong", "right again"])] == [True, False, True]
+    assert differs.bad == {"wrong"}
+
+
 def _message(*fields):
     out = b""
     for number, value in fields:
