@@ -63,7 +63,7 @@ def _dedupe(spark, d):
   FROM norm n JOIN finger x ON x.origin = n.origin AND x.token_hash = n.token_hash JOIN finger y ON y.origin = x.origin AND 10 * least(x.n_ops, y.n_ops) >= 7 * greatest(x.n_ops, y.n_ops)
   WHERE x.fp_len > 0 AND y.fp_len > 0) WHERE 100 * (m - dist) >= 70 * m"""))
 def _static(spark, d):
-    return streams.run_now(streams.known_neighbours(_deployed(spark, d), fingers_of(spark, d, ["scripts_week"])), "static")
+    return streams.neighbours_now(_deployed(spark, d), fingers_of(spark, d, ["scripts_week"]))
 
 
 _REPORTS = """SELECT c.event_id AS deploy_id, p.event_id AS report_id FROM events c {how} JOIN events p ON c.user_id = p.user_id AND p.event_type = 'error'

@@ -15,10 +15,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from reuse_engine.functions.symbols import bound, score_bp
+from reuse_engine.functions.symbols import score_bp
 from reuse_engine.graph import connected_components
 from reuse_engine.operators import pairing
-from reuse_engine.storage import new_path
+from reuse_engine.operators.chunks import chunk_pairs
+from reuse_engine.storage import discard, materialize, new_path
 
 DAY_US = 86_400_000_000
 
@@ -97,17 +98,37 @@ def first_seen(units: DataFrame) -> DataFrame:
 
 
 def known_neighbours(units: DataFrame, stored: DataFrame, threshold: int = 70) -> DataFrame:
-    """(artifact_id, unit_id, score_bp): deployments against the stored fingerprints, by a band join on their lengths.
+    """(artifact_id, unit_id, score_bp): a batch of deployments against the stored fingerprints, by the chunk plan.
 
     ``units``: corpus, origin, artifact_id and fp, fp_len, n_ops of each deployment.
+    Distinct fingerprints of both sides meet once, however often they were deployed.
     """
-    new = units.where("fp_len > 0").select("origin", "artifact_id", F.col("fp").alias("fp_a"), F.col("fp_len").alias("la"), F.col("n_ops").alias("n_a"))
-    old = stored.where("fp_len > 0").select("origin", "unit_id", F.col("fp").alias("fp_b"), F.col("fp_len").alias("lb"), F.col("n_ops").alias("n_b"))
-    new = new.withColumn("bucket", F.explode(F.array(*[pairing.length_bucket(F.col("n_a")) + k for k in (-1, 0, 1)])))
-    met = new.join(old.withColumn("bucket", pairing.length_bucket(F.col("n_b"))), ["origin", "bucket"])
-    near = met.where("10 * least(n_a, n_b) >= 7 * greatest(n_a, n_b)").withColumn("m", F.greatest("la", "lb"))
-    near = near.withColumn("dist", F.expr(f"levenshtein(fp_a, fp_b, {bound(threshold, 'm')})")).where("dist >= 0")
-    return near.where(f"100 * (m - dist) >= {threshold} * m").select("artifact_id", "unit_id", score_bp(F.col("dist").cast("bigint"), F.col("m").cast("bigint")).alias("score_bp"))
+    new = units.where("fp_len > 0").select("origin", "artifact_id", "fp", "fp_len", F.col("n_ops").alias("n_a"))
+    old = stored.where("fp_len > 0").select("origin", "unit_id", "fp", "fp_len", F.col("n_ops").alias("n_b"))
+    sides = [side.select("origin", "fp", "fp_len", F.lit(not is_new).alias("old"), F.lit(is_new).alias("new")) for side, is_new in ((old, False), (new, True))]
+    kinds = sides[0].unionByName(sides[1]).groupBy("origin", "fp", "fp_len").agg(F.max("old").alias("old"), F.max("new").alias("new"))
+    met = chunk_pairs(kinds.select(F.lit("").alias("corpus"), "*", F.col("fp").alias("unit_id")), threshold, lambda n: pairing.length_bucket(n, threshold), sided=True)
+    met = met.select("origin", F.col("a").alias("x"), F.col("b").alias("y"), "dist")
+    same = kinds.where("old and new").select("origin", F.col("fp").alias("x"), F.col("fp").alias("y"), F.lit(0).alias("dist"))
+    links = met.unionByName(met.select("origin", F.col("y").alias("x"), F.col("x").alias("y"), "dist")).unionByName(same)
+    near = links.join(new.select("origin", F.col("fp").alias("x"), "artifact_id", "n_a", F.col("fp_len").alias("la")), ["origin", "x"])
+    near = near.join(old.select("origin", F.col("fp").alias("y"), "unit_id", "n_b", F.col("fp_len").alias("lb")), ["origin", "y"])
+    near = near.where("10 * least(n_a, n_b) >= 7 * greatest(n_a, n_b)").withColumn("m", F.greatest("la", "lb"))
+    return near.select("artifact_id", "unit_id", score_bp(F.col("dist").cast("bigint"), F.col("m").cast("bigint")).alias("score_bp"))
+
+
+def neighbours_now(units: DataFrame, stored: DataFrame) -> DataFrame:
+    """Run :func:`known_neighbours` on every batch of a stream to the end of what is there."""
+    spark, path = units.sparkSession, new_path(units.sparkSession, "stream-static")
+
+    def save(rows: DataFrame, batch_id: int) -> None:
+        kept = materialize(rows, "stream-static-batch")
+        known_neighbours(kept, stored).write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+        discard(kept)
+
+    run = units.select("origin", "artifact_id", "fp", "fp_len", "n_ops").writeStream.trigger(availableNow=True)
+    run.option("checkpointLocation", new_path(spark, "stream-static-state")).foreachBatch(save).start().awaitTermination()
+    return spark.read.schema("artifact_id string, unit_id string, score_bp long").parquet(path).select("artifact_id", "unit_id", "score_bp")
 
 
 def reported(deployments: DataFrame, reports: DataFrame, how: str = "inner") -> DataFrame:
