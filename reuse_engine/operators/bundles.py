@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from reuse_engine.graph import connected_components
 from reuse_engine.operators import assignment
+from reuse_engine.storage import materialize
 
 BUNDLE_THRESHOLD = 70
 FULL_BP = 10_000
@@ -75,8 +76,20 @@ def _solve(algo: str):
 
 
 def match_bundles(weights: DataFrame, algo: str = "optimal") -> DataFrame:
-    """(ua, ub, n_a, n_b, total_bp, matched); one Arrow group per bundle pair."""
-    return weights.groupBy("ua", "ub").applyInPandas(_solve(algo), "ua string, ub string, n_a long, n_b long, total_bp long, matched long")
+    """(ua, ub, n_a, n_b, total_bp, matched); one Arrow group per bundle pair with a choice.
+
+    Where no unit of either side has two edges there is none, and the sum of all edges is the
+    best total of any algorithm.
+    """
+    weights = materialize(weights, "weights")
+    sums = weights.groupBy("ua", "ub", "n_a", "n_b").agg(
+        F.count("*").alias("n"), F.countDistinct("i").alias("n_i"), F.countDistinct("j").alias("n_j"), F.sum("w").cast("bigint").alias("total_bp"), F.count_if(F.col("w") > 0).alias("matched")
+    )
+    sums = materialize(sums, "weight-sums")
+    free = F.expr("n = n_i and n = n_j")
+    chosen = weights.join(sums.where(~free).select("ua", "ub"), ["ua", "ub"], "left_semi")
+    solved = chosen.groupBy("ua", "ub").applyInPandas(_solve(algo), "ua string, ub string, n_a long, n_b long, total_bp long, matched long")
+    return sums.where(free).select("ua", "ub", "n_a", "n_b", "total_bp", "matched").unionByName(solved)
 
 
 def bundle_sizes(mem: DataFrame) -> DataFrame:
@@ -90,7 +103,7 @@ def bundle_similarity(matched: DataFrame) -> DataFrame:
 
 
 def bundle_clones(mem: DataFrame, bundles: DataFrame, pairs: DataFrame, threshold: int = BUNDLE_THRESHOLD, algo: str = "optimal") -> DataFrame:
-    weights = bounded_pairs(bipartite(mem, bundles, pairs), bundle_sizes(mem), threshold)
+    weights = bounded_pairs(materialize(bipartite(mem, bundles, pairs), "edges"), bundle_sizes(mem), threshold)
     return bundle_similarity(match_bundles(weights, algo)).where(F.col("sim_bp") >= threshold * 100)
 
 
